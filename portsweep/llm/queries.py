@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import jaccard_join, packing, pii, quality, secret_scan, substring_dedup, topk_search
+from . import html_extract, jaccard_join, packing, pii, quality, secret_scan, substring_dedup, topk_search
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,6 +28,10 @@ def op4_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk_search.search(_table(spark, sf_dir, "embeddings"))
 
 
+def op5_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(_table(spark, sf_dir, "pages"))
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -41,7 +45,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_secret_scan, op2_pii, op3_substring_dedup, op4_topk_search, op8_packing, op9_jaccard_join, op10_quality)}
+    return {f.__name__: f for f in (op1_secret_scan, op2_pii, op3_substring_dedup, op4_topk_search, op5_html_extract, op8_packing, op9_jaccard_join, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
