@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, html_extract, jaccard_join, packing, pii, quality, secret_scan, substring_dedup, topk_search
+from . import bpe, html_extract, jaccard_join, packing, pii, quality, secret_scan, substring_dedup, token_file, topk_search
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -32,6 +32,10 @@ def op5_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(_table(spark, sf_dir, "pages"))
 
 
+def op6_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_file.round_trip(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digests(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -49,7 +53,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_secret_scan, op2_pii, op3_substring_dedup, op4_topk_search, op5_html_extract, op7_bpe, op8_packing, op9_jaccard_join, op10_quality)}
+    return {f.__name__: f for f in (op1_secret_scan, op2_pii, op3_substring_dedup, op4_topk_search, op5_html_extract, op6_token_file, op7_bpe, op8_packing, op9_jaccard_join, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
