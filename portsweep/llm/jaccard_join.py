@@ -27,12 +27,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, materialize, maybe_broadcast, mix64, roll, with_columns_only, with_rows
+from .common import BROADCAST_BYTES, materialize, maybe_broadcast, mix64, roll, slices, with_columns_only, with_rows
 from .components import components
 
 SKETCH_BITS = 22
 _RANGES = 16
-_PIVOT_ROUNDS = 3
+_PIVOT_ROUNDS = 1
 _HALVES = 1
 
 
@@ -54,7 +54,7 @@ def _profile(width: int, bits: int):
         names = ["row", "doc_id", "n", "s1", "s2", "part", "counts"]
         mask, counts, any_rows = np.uint64((1 << bits) - 1), np.zeros(1 << bits, np.uint32), False
         salt = np.uint64(0xD6E8FEB86659FD93)
-        for b in batches:
+        for b in slices(batches):
             n, s1, s2, held = [], [], [], []
             for t in b.column("text"):
                 g = shingles(t.as_py(), width)
@@ -64,7 +64,8 @@ def _profile(width: int, bits: int):
                 held.append((g & mask).astype(np.int64))
             if held:
                 any_rows = True
-                counts += np.bincount(np.concatenate(held), minlength=1 << bits).astype(np.uint32)
+                at, times = np.unique(np.concatenate(held), return_counts=True)
+                counts[at] += times.astype(np.uint32)
             yield pa.RecordBatch.from_arrays([b.column("row"), b.column("doc_id"), pa.array(n, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.nulls(len(n), pa.int32()), pa.nulls(len(n), pa.binary())], names)
         if any_rows:
             chunks = counts.reshape(_RANGES, -1)
@@ -122,7 +123,7 @@ class JaccardJoin:
         width, levels, num, den = self.width, self.levels, self.num, self.den
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
+            for b in slices(batches):
                 n, cut = [], []
                 for t in b.column("text"):
                     g = shingles(t.as_py(), width)
@@ -134,14 +135,14 @@ class JaccardJoin:
 
         copies = self.profile.join(self.classes.where("copies > 1").select("s1", "s2", "n", "rep"), ["s1", "s2", "n"]).where("row <> rep").select("row")
         kept = self.docs.join(maybe_broadcast(copies, 16), "row", "left_anti")
-        return kept.mapInArrow(run, "id bigint, n bigint, tokens array<bigint>").select("id", "n", F.explode("tokens").alias("token"))
+        return materialize(kept.mapInArrow(run, "id bigint, n bigint, tokens array<bigint>"), "prefixes").select("id", "n", F.explode("tokens").alias("token"))
 
     def _segments(self, rows: DataFrame, carried: list[str]) -> DataFrame:
         """rows (text and carried bigint columns) -> carried, fragment, grams."""
         width, levels = self.width, self.levels
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
+            for b in slices(batches):
                 at, fragments, offsets, values = [], [], [0], []
                 for i, t in enumerate(b.column("text")):
                     g, fragment = _ordered(shingles(t.as_py(), width), levels.value)
@@ -171,6 +172,16 @@ class JaccardJoin:
         """Sizes alone allow a link."""
         return self.den * F.least(x, y) >= self.num * F.greatest(x, y)
 
+    def _enough(self) -> F.Column:
+        """Necessary for a link: so many common n-grams in the two prefixes.
+
+        All n-grams of the set whose prefix ends first in the order, up to that end, are in both prefixes if they are
+        common; of the rest it has least(n) - 1. Both must add up to the overlap that a link needs.
+        """
+        up = lambda a, b: F.ceil(a / b)
+        need = up(self.num * (F.col("na") + F.col("nb")), F.lit(self.num + self.den))
+        return F.col("common") >= need - up(self.num * F.greatest("na", "nb"), F.lit(self.den)) + 1
+
     def links(self) -> tuple[DataFrame, DataFrame]:
         """Tested links (u, v) between representatives that connect all that are linked, and node, component over them."""
         every = self._prefixes()
@@ -192,7 +203,8 @@ class JaccardJoin:
             members = self._open(members.drop("comp"), found)
         x, y = members.alias("x"), members.alias("y")
         near = x.join(y, "token").where((F.col("x.comp") < F.col("y.comp")) & self._fits("x.n", "y.n"))
-        pairs = near.select(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.col("x.n").alias("na"), F.col("y.n").alias("nb")).distinct()
+        pairs = near.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.col("x.n").alias("na"), F.col("y.n").alias("nb")).agg(F.count("*").alias("common"))
+        pairs = pairs.where(self._enough()).drop("common")
         last = materialize(self._linked(materialize(pairs, "pairs")), "links")
         if not last.isEmpty():
             edges = edges.union(last)
