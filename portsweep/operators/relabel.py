@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..plans.rounds import cut, downward
+from ..plans.rounds import cut, downward, upward
 from .ports import ranked
 
 
@@ -72,7 +72,7 @@ def token_trace(numbered: DataFrame, ports: DataFrame) -> DataFrame:
     A vertex tries its ports to children in rank order and its other ports before them in port order; a trial of a link
     that is no tree link goes there and back. Times come from sums over subtrees, no walk is made.
     """
-    t = numbered.select("v", "parent", "rank", "lo", "new_id", "size", "level")
+    t = numbered.select("v", "parent", "rank", "size", "level")
     e = ports.where("alive").select(F.col("src").alias("v"), F.col("dst").alias("u"), "port")
     up = t.select(F.col("v").alias("u"), F.col("parent").alias("u_parent"))
     own = t.select("v", "parent")
@@ -80,7 +80,8 @@ def token_trace(numbered: DataFrame, ports: DataFrame) -> DataFrame:
     tries = ranked(other.select("v", "u", "port"), "v", [F.col("port")], "nth")
     counts = tries.groupBy("v").agg(F.count("*").alias("tries"))
     with_tries = t.join(counts, "v", "left").withColumn("tries", F.coalesce("tries", F.lit(0)).cast("bigint"))
-    inner = with_tries.alias("x").join(with_tries.alias("y"), F.col("y.new_id").between(F.col("x.lo"), F.col("x.new_id"))).groupBy(F.col("x.v").alias("v")).agg((F.sum(2 * F.col("y.tries")) + 2 * (F.count("*") - 1)).alias("inside"))
+    inner = upward(with_tries, with_tries.select("v", F.col("tries").alias("all_tries")), {"all_tries": F.sum})
+    inner = inner.join(t.select("v", "size"), "v").select("v", (2 * F.col("all_tries") + 2 * (F.col("size") - 1)).alias("inside"))
     rows = with_tries.join(inner, "v")
     sib = W.partitionBy("parent").orderBy("rank").rowsBetween(W.unboundedPreceding, -1)
     rows = cut(rows.withColumn("ahead", F.coalesce(F.sum(F.col("inside") + 2).over(sib), F.lit(0))))
