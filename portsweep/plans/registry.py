@@ -2,10 +2,393 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions.halffull import with_links
+from ..model import ReadOrder
+from ..operators import bfs, convergecast, labels, leader, recovery, relabel, routing
+from ..operators.ports import assign_ports, degrees
+from ..sources import graphs
+from . import bounds
+from . import oracles as o
+from .pipeline import numbered_tree
+from .rounds import keep
+
+_LONG = "bigint"
+
+
+def _ports(s: SparkSession, d: str, g: str) -> DataFrame:
+    return keep(f"{d}/{g}/ports", lambda: assign_ports(graphs.GRAPHS[g](s, d)), s)
+
+
+def _top(s: SparkSession, d: str, g: str) -> int:
+    return _ports(s, d, g).agg(F.max("src")).first()[0]
+
+
+def _tree(s: SparkSession, d: str, g: str) -> DataFrame:
+    """The geographic tree as given, of other graphs the breadth-first tree from the leader."""
+    if g == "geo":
+        return keep(f"{d}/geo/tree", lambda: bfs.hang(graphs.geo_tree(s, d), _ports(s, d, g)), s)
+    return keep(f"{d}/{g}/tree", lambda: bfs.bfs_tree(_ports(s, d, g), _top(s, d, g)), s)
+
+
+def _numbered(s: SparkSession, d: str, g: str) -> DataFrame:
+    return keep(f"{d}/{g}/numbered", lambda: numbered_tree(_tree(s, d, g)), s)
+
+
+def _labels(s: SparkSession, d: str, g: str, mode: str = "wide") -> DataFrame:
+    return keep(f"{d}/{g}/labels/{mode}", lambda: labels.routing_labels(_numbered(s, d, g), mode), s)
+
+
+def _dotted(c: str) -> F.Column:
+    return F.array_join(F.transform(c, lambda x: x.cast("string")), ".")
+
+
+_Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_O: dict[str, str] = {}
+
+
+def query(name: str, oracle: str | None = None):
+    def put(f):
+        _Q[name] = f
+        if oracle:
+            _O[name] = oracle
+        return f
+
+    return put
+
+
+# Ports and leaders
+
+
+@query("ports_trade", o.sql(o.TRADE_E, o.ports("trade"), select="SELECT a.src, a.port, a.dst, b.port rev_port FROM trade_ports a JOIN trade_ports b ON b.src = a.dst AND b.dst = a.src"))
+def ports_trade(s, d):
+    return _ports(s, d, "trade").select("src", "port", "dst", "rev_port")
+
+
+@query("leader_trade", o.sql(o.TRADE_E, select="SELECT DISTINCT src v, (SELECT max(src) FROM trade_e) leader_id, src = (SELECT max(src) FROM trade_e) is_leader FROM trade_e"))
+def leader_trade(s, d):
+    return leader.elect_leader(_ports(s, d, "trade"))[0].select("v", "leader_id", "is_leader")
+
+
+_BEST = """trade_far(v, hop, best) AS (
+  SELECT src, 0, src FROM (SELECT DISTINCT src FROM trade_e)
+  UNION ALL SELECT e.src, any_value(f.hop) + 1, greatest(e.src, max(f.best)) FROM trade_far f JOIN trade_e e ON e.dst = f.v WHERE f.hop < 8 GROUP BY e.src),
+best AS (SELECT v, hop, max(best) OVER (PARTITION BY v ORDER BY hop) best FROM trade_far),
+deg AS (SELECT src v, count(*) degree FROM trade_e GROUP BY src),
+moved AS (SELECT v, hop, hop = 0 OR best > lag(best) OVER (PARTITION BY v ORDER BY hop) sends FROM best)"""
+
+
+@query("leader_messages_trade", o.sql(o.TRADE_E, _BEST, select="SELECT CAST(hop AS BIGINT) round, CAST(sum(degree) AS BIGINT) messages FROM moved JOIN deg USING (v) WHERE sends GROUP BY hop"))
+def leader_messages_trade(s, d):
+    return s.createDataFrame(leader.elect_leader(_ports(s, d, "trade"))[1], "round bigint, messages bigint")
+
+
+_TARGETS = "SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) target FROM pages"
+_PAGES = o.edges("pg", f"SELECT 14 * {10**12} + page_id a, 15 * {10**12} + nth b FROM ({_TARGETS}) JOIN (SELECT target, row_number() OVER (ORDER BY target) nth FROM (SELECT DISTINCT target FROM ({_TARGETS}))) USING (target)")
+
+
+@query("components_pages", o.sql(_PAGES, "reach(v, w) AS (SELECT src, src FROM pg_e UNION SELECT r.v, e.dst FROM reach r JOIN pg_e e ON e.src = r.w)", select="SELECT v, max(w) component FROM reach GROUP BY v"))
+def components_pages(s, d):
+    return leader.components(_ports(s, d, "page_links"))
+
+
+@query("flood_mesh", o.sql(o.MESH_E, o.breadth_first("mesh"), select="SELECT v, level hop FROM mesh_l"))
+def flood_mesh(s, d):
+    return leader.flood(_ports(s, d, "order_mesh"), _top(s, d, "order_mesh"))
+
+
+# Breadth-first trees
+
+
+@query("bfs_levels_mesh", o.sql(o.MESH_E, o.breadth_first("mesh"), select="SELECT v, level FROM mesh_l"))
+def bfs_levels_mesh(s, d):
+    return _tree(s, d, "order_mesh").select("v", "level")
+
+
+@query("bfs_parents_mesh", o.sql(o.MESH, o.ports("mesh"), select="SELECT t.v, t.parent, a.port parent_port, b.port port_at_parent FROM mesh_t t LEFT JOIN mesh_ports a ON a.src = t.v AND a.dst = t.parent LEFT JOIN mesh_ports b ON b.src = t.parent AND b.dst = t.v"))
+def bfs_parents_mesh(s, d):
+    return _tree(s, d, "order_mesh").select("v", "parent", "parent_port", "port_at_parent")
+
+
+@query("bfs_children_mesh", o.sql(o.MESH, select="SELECT t.v, count(c.v) n_children FROM mesh_t t LEFT JOIN mesh_t c ON c.parent = t.v GROUP BY t.v"))
+def bfs_children_mesh(s, d):
+    return _tree(s, d, "order_mesh").select("v", "n_children")
+
+
+@query("bfs_message_count", o.sql(o.MESH, select="SELECT count(*) - (SELECT count(*) - 1 FROM mesh_l) joins, (SELECT count(*) - 1 FROM mesh_l) accepts, count(*) messages, (SELECT max(level) + 1 FROM mesh_l) rounds FROM mesh_e"))
+def bfs_message_count(s, d):
+    return bfs.bfs_cost(_tree(s, d, "order_mesh"), _ports(s, d, "order_mesh"))
+
+
+_HASH = "((c.v % 2147483647) * 48271 + q.port * 69621 + c.level * 40692 + 7) % 2147483647"
+
+
+@query("bfs_random_order_parents", o.sql(o.MESH_E, o.breadth_first("mesh"), o.ports("mesh"), select=f"SELECT c.v, arg_min(u.v, {_HASH} * CAST(100000 AS HUGEINT) + q.port) parent FROM mesh_l c JOIN mesh_ports q ON q.src = c.v JOIN mesh_l u ON u.v = q.dst AND u.level = c.level - 1 GROUP BY c.v UNION ALL SELECT v, NULL FROM mesh_l WHERE level = 0"))
+def bfs_random_order_parents(s, d):
+    return bfs.bfs_tree(_ports(s, d, "order_mesh"), _top(s, d, "order_mesh"), ReadOrder.random(7)).select("v", "parent")
+
+
+@query("bfs_termination_mesh", o.sql(o.MESH, select="""SELECT e.src v, CAST(sum(CASE WHEN u.parent IS NOT DISTINCT FROM e.src OR t.parent IS NOT DISTINCT FROM e.dst THEN 0 ELSE 1 END) AS BIGINT) joins,
+  CAST(sum(CASE WHEN u.parent IS NOT DISTINCT FROM e.src THEN 1 ELSE 0 END) AS BIGINT) yeses, count(*) degree FROM mesh_e e JOIN mesh_t t ON t.v = e.src JOIN mesh_t u ON u.v = e.dst GROUP BY e.src"""))
+def bfs_termination_mesh(s, d):
+    return bfs.bfs_termination(_tree(s, d, "order_mesh"), _ports(s, d, "order_mesh")).select("v", "joins", "yeses", "degree")
+
+
+_CHAIN = f"""ev AS (SELECT 8 * {10**12} + event_id v, coalesce(8 * {10**12} + lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id), 7 * {10**12} + user_id) parent, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) nth, user_id FROM events),
+us AS (SELECT user_id, row_number() OVER (ORDER BY user_id) - 1 level FROM (SELECT DISTINCT user_id FROM events))"""
+
+
+@query("event_chain_levels", o.sql(_CHAIN, select=f"SELECT v, us.level + nth AS level FROM ev JOIN us USING (user_id) UNION ALL SELECT 7 * {10**12} + user_id, level FROM us"))
+def event_chain_levels(s, d):
+    return bfs.tree_levels(graphs.event_tree(s, d))
+
+
+# Weights and heavy children
+
+
+@query("weights_leaves_geo", o.sql(o.GEO, o.weights("geo"), select="SELECT v, weight FROM geo_w"))
+def weights_leaves_geo(s, d):
+    return convergecast.subtree_weights(_tree(s, d, "geo")).select("v", "weight")
+
+
+@query("weights_nodes_geo", o.sql(o.GEO, o.weights("geo", "nodes"), select="SELECT v, weight FROM geo_w"))
+def weights_nodes_geo(s, d):
+    return convergecast.subtree_weights(_tree(s, d, "geo"), "nodes").select("v", "weight")
+
+
+@query("weights_by_interval_geo", o.sql(o.GEO, o.weights("geo"), select="SELECT v, weight FROM geo_w"))
+def weights_by_interval_geo(s, d):
+    from ..operators.baselines import descendants_by_interval
+
+    return descendants_by_interval(_numbered(s, d, "geo"))
+
+
+for _b in (2, 3, 8):
+
+    @query(f"heavy_marks_b{_b}", o.sql(o.MESH, o.weights("mesh"), o.heavy("mesh", _b), select="SELECT v, weight, heavy is_heavy FROM mesh_h"))
+    def heavy_marks(s, d, b=_b):
+        t = _tree(s, d, "order_mesh")
+        return convergecast.mark_heavy(t, convergecast.subtree_weights(t), b).select("v", "weight", "is_heavy")
+
+
+@query("heavy_count_bound", o.sql(o.MESH, o.weights("mesh"), o.heavy("mesh"), select="SELECT max(n) most, count(*) parents FROM (SELECT parent, count(*) n FROM mesh_h WHERE heavy GROUP BY parent)"))
+def heavy_count_bound(s, d):
+    n = _numbered(s, d, "order_mesh").where("is_heavy").groupBy("parent").agg(F.count("*").alias("n"))
+    return n.agg(F.max("n").alias("most"), F.count("*").alias("parents"))
+
+
+_HEIGHT = """geo_ht AS (SELECT a v, max(t.level) - any_value(s.level) height FROM geo_up x JOIN geo_t t ON t.v = x.v JOIN geo_t s ON s.v = x.a GROUP BY a),
+geo_b AS (SELECT t.v, t.parent, h.height, p.height up, q.port FROM geo_t t JOIN geo_ht h ON h.v = t.v JOIN geo_ht p ON p.v = t.parent JOIN geo_ports q ON q.src = t.parent AND q.dst = t.v),
+geo_last AS (SELECT parent, max(port) last FROM geo_b WHERE height = up - 1 GROUP BY parent)"""
+
+
+@query("ask_vs_broadcast_cost", o.sql(o.GEO, o.ports("geo"), o.weights("geo"), _HEIGHT, select="""SELECT CAST(sum(greatest(3, up - height + 1) + CASE WHEN height <= up - 2 AND port < last THEN 1 ELSE 0 END) AS BIGINT) asks, 3 * count(*) answers, count(*) weights,
+  CAST(sum(greatest(3, up - height + 1) + CASE WHEN height <= up - 2 AND port < last THEN 1 ELSE 0 END) + 4 * count(*) AS BIGINT) ask_total,
+  count(*) + (SELECT count(*) FROM geo_e WHERE src IN (SELECT parent FROM geo_t)) broadcast_total FROM geo_b JOIN geo_last USING (parent)"""))
+def ask_vs_broadcast_cost(s, d):
+    return convergecast.convergecast_cost(_numbered(s, d, "geo"), _ports(s, d, "geo"))
+
+
+# Renumbering and labels
+
+
+@query("postorder_geo", o.sql(o.GEO, o.weights("geo"), o.heavy("geo"), o.numbers("geo"), select="SELECT v, lo, new_id FROM geo_n"))
+def postorder_geo(s, d):
+    return _numbered(s, d, "geo").select("v", "lo", "new_id")
+
+
+@query("postorder_mesh", o.sql(o.MESH, o.weights("mesh"), o.heavy("mesh"), o.numbers("mesh"), select="SELECT v, lo, new_id FROM mesh_n"))
+def postorder_mesh(s, d):
+    return _numbered(s, d, "order_mesh").select("v", "lo", "new_id")
+
+
+@query("preorder_geo", o.sql(o.GEO, o.weights("geo"), o.heavy("geo"), o.numbers("geo", False), select="SELECT v, new_id FROM geo_n"))
+def preorder_geo(s, d):
+    return numbered_tree(_tree(s, d, "geo"), post=False).select("v", "new_id")
+
+
+@query("child_list_geo", o.sql(o.GEO, o.ports("geo"), o.weights("geo"), o.heavy("geo"), o.numbers("geo"), select="""SELECT r.v, r.rank, lead(q.port) OVER (PARTITION BY r.parent ORDER BY r.rank) next_port, f.port first_port FROM geo_r r
+  LEFT JOIN geo_ports q ON q.src = r.parent AND q.dst = r.v LEFT JOIN geo_r c ON c.parent = r.v AND c.rank = 0 LEFT JOIN geo_ports f ON f.src = r.v AND f.dst = c.v WHERE r.parent IS NOT NULL"""))
+def child_list_geo(s, d):
+    return relabel.child_list(_numbered(s, d, "geo")).where("parent is not null").select("v", "rank", "next_port", "first_port")
+
+
+@query("dfs_walk_cost", o.sql(o.MESH, select="SELECT kind, CAST(CASE kind WHEN 'down' THEN n - 1 WHEN 'up' THEN n - 1 ELSE 2 * (m - n + 1) END AS BIGINT) hops FROM (SELECT count(*) n, (SELECT count(*) / 2 FROM mesh_e) m FROM mesh_l) CROSS JOIN (SELECT unnest(['down', 'up', 'try', 'refuse']) kind)"))
+def dfs_walk_cost(s, d):
+    return relabel.token_trace(_numbered(s, d, "order_mesh"), _ports(s, d, "order_mesh")).groupBy("kind").agg(F.count("*").alias("hops"))
+
+
+@query("dfs_link_uses", o.sql(o.MESH, select="SELECT CAST(CASE WHEN tree THEN 2 ELSE 4 END AS BIGINT) uses, count(*) links FROM (SELECT p.a, p.b, EXISTS (SELECT 1 FROM mesh_t t WHERE (t.v = p.a AND t.parent = p.b) OR (t.v = p.b AND t.parent = p.a)) tree FROM mesh_p p) GROUP BY tree"))
+def dfs_link_uses(s, d):
+    t = relabel.token_trace(_numbered(s, d, "order_mesh"), _ports(s, d, "order_mesh"))
+    per = t.groupBy(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).agg(F.count("*").alias("uses"))
+    return per.groupBy("uses").agg(F.count("*").alias("links"))
+
+
+_PATHS = (o.MESH, o.ports("mesh"), o.weights("mesh"), o.heavy("mesh"), o.light_paths("mesh"))
+
+
+@query("light_paths_mesh", o.sql(*_PATHS, select="SELECT v, light_level, light_path FROM mesh_lp"))
+def light_paths_mesh(s, d):
+    return _labels(s, d, "order_mesh").select("v", "light_level", _dotted("light_path").alias("light_path"))
+
+
+@query("light_paths_narrow_mesh", o.sql(*_PATHS, select="SELECT v, light_level, light_path FROM mesh_lp"))
+def light_paths_narrow_mesh(s, d):
+    return _labels(s, d, "order_mesh", "narrow").select("v", "light_level", _dotted("light_path").alias("light_path"))
+
+
+@query("labels_wide_eq_narrow", "SELECT CAST(0 AS BIGINT) differences")
+def labels_wide_eq_narrow(s, d):
+    a, b = _labels(s, d, "order_mesh"), _labels(s, d, "order_mesh", "narrow")
+    return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+
+
+@query("narrow_label_cost", o.sql(*_PATHS, "deg AS (SELECT src v, count(*) degree FROM mesh_e GROUP BY src)", "topm(v, heavy) AS (SELECT v, heavy FROM mesh_h WHERE level = 1 UNION ALL SELECT h.v, t.heavy FROM topm t JOIN mesh_h h ON h.parent = t.v)", select="""SELECT CAST(sum(degree) AS BIGINT) wide,
+  CAST(sum(degree) + sum(CASE WHEN h.parent IS NOT NULL AND h.v IN (SELECT parent FROM mesh_t) THEN (degree - 1) * (light_level + CASE WHEN t.heavy THEN 1 ELSE 0 END) ELSE 0 END) AS BIGINT) narrow, max(light_level) + 1 widest
+  FROM mesh_h h JOIN mesh_lp p ON p.v = h.v JOIN deg ON deg.v = h.v LEFT JOIN topm t ON t.v = h.v"""))
+def narrow_label_cost(s, d):
+    return labels.label_cost(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"), _ports(s, d, "order_mesh"))
+
+
+def _packets(s, d):
+    """Packets between customers and parts that an arithmetic rule picks; two per thousand pairs of a slice of the mesh."""
+    v = _numbered(s, d, "order_mesh").select("v")
+    kind = lambda k: v.where((F.col("v") >= k * 10**12) & (F.col("v") < (k + 1) * 10**12))
+    key = F.pmod(F.col("v"), F.lit(10**12))
+    a = kind(3).where(key % 31 == 0).select(F.col("v").alias("src"))
+    b = kind(6).where(key % 37 == 0).select(F.col("v").alias("dst"))
+    every = a.join(b, (F.pmod(F.col("src"), F.lit(7)) == F.pmod(F.col("dst"), F.lit(7))))
+    return every.select(F.xxhash64("src", "dst").alias("seq"), "src", "dst")
+
+
+_PACKETS = f"""pk AS (SELECT a.v src, b.v dst FROM mesh_l a JOIN mesh_l b ON a.v % 7 = b.v % 7 WHERE a.v // {10**12} = 3 AND a.v % {10**12} % 31 = 0 AND b.v // {10**12} = 6 AND b.v % {10**12} % 37 = 0),
+up(v, a, level) AS (SELECT v, v, level FROM mesh_t UNION ALL SELECT u.v, t.parent, u.level - 1 FROM up u JOIN mesh_t t ON t.v = u.a WHERE t.parent IS NOT NULL),
+hops AS (SELECT src, dst, any_value(s.level) + any_value(e.level) - 2 * max(x.level) hops FROM pk JOIN up x ON x.v = src JOIN up y ON y.v = dst AND y.a = x.a JOIN mesh_l s ON s.v = src JOIN mesh_l e ON e.v = dst GROUP BY src, dst)"""
+
+
+@query("routes_sample_mesh", o.sql(o.MESH, _PACKETS, select="SELECT src, dst, 'delivered' status, CAST(hops AS BIGINT) hops FROM hops"))
+def routes_sample_mesh(s, d):
+    state = routing.router_state(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
+    return routing.route(_packets(s, d), state, _ports(s, d, "order_mesh")).select("src", "dst", "status", "hops")
+
+
+@query("next_hop_mesh", o.sql(o.MESH, o.ports("mesh"), o.weights("mesh"), o.heavy("mesh"), "root AS (SELECT v FROM mesh_t WHERE parent IS NULL)", "down(v, top) AS (SELECT t.v, t.v FROM mesh_t t JOIN root ON t.parent = root.v UNION ALL SELECT t.v, x.top FROM down x JOIN mesh_t t ON t.parent = x.v)", select="SELECT x.v, CASE WHEN h.heavy THEN 'heavy' ELSE 'light' END AS action, q.port FROM down x JOIN mesh_h h ON h.v = x.top JOIN root ON true JOIN mesh_ports q ON q.src = root.v AND q.dst = x.top UNION ALL SELECT v, 'deliver', NULL FROM root"))
+def next_hop_mesh(s, d):
+    """What the root does with a packet to every vertex."""
+    state = routing.router_state(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
+    root = state.join(_numbered(s, d, "order_mesh").where("parent is null").select("v"), "v").drop("light_path", "v")
+    to = state.select("v", F.col("new_id").alias("to_id"), F.col("light_path").alias("to_path"))
+    action, port = routing.next_hop(F.col("to_id"), F.col("to_path"))
+    return to.crossJoin(F.broadcast(root)).select("v", action.alias("action"), port.alias("port"))  # one root
+
+
+@query("stretch_sample_mesh", o.sql(o.MESH, _PACKETS, f"src1 AS (SELECT min(src) s FROM pk)", "bw(v, level) AS (SELECT s, CAST(0 AS BIGINT) FROM src1 UNION SELECT e.dst, w.level + 1 FROM bw w JOIN mesh_e e ON e.src = w.v WHERE w.level < 16)", select="SELECT src, dst, CAST(hops AS BIGINT) hops, (SELECT min(level) FROM bw WHERE bw.v = dst) distance FROM hops JOIN src1 ON src = s"))
+def stretch_sample_mesh(s, d):
+    state = routing.router_state(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
+    packets = _packets(s, d)
+    first = packets.agg(F.min("src")).first()[0]
+    routes = routing.route(packets.where(F.col("src") == first), state, _ports(s, d, "order_mesh"))
+    return routing.stretch(routes, _ports(s, d, "order_mesh"), [first]).select("src", "dst", "hops", "distance")
+
+
+# Half-full trees and recovery portions
+
+_LINKS = "SELECT size, y, leaf_parent, node_parent, left_label AS \"left\", left_leaf left_is_leaf, right_label AS \"right\", right_leaf right_is_leaf FROM hf_links"
+
+
+def _links(rows: DataFrame) -> DataFrame:
+    return with_links(rows.select("size", F.explode(F.sequence(F.lit(0).cast(_LONG), F.col("size") - 1)).alias("y"))).select("size", "y", "leaf_parent", "node_parent", "left", "left_is_leaf", "right", "right_is_leaf")
+
+
+@query("half_full_links_13", o.sql(o.half_full("SELECT CAST(13 AS BIGINT) size"), select=_LINKS))
+def half_full_links_13(s, d):
+    return _links(s.range(1).select(F.lit(13).cast(_LONG).alias("size")))
+
+
+_GEO_SIZES = "SELECT DISTINCT count(*) size FROM geo_t WHERE parent IS NOT NULL GROUP BY parent"
+
+
+@query("half_full_links_degrees", o.sql(o.GEO, o.half_full(_GEO_SIZES), select=_LINKS))
+def half_full_links_degrees(s, d):
+    return _links(_tree(s, d, "geo").where("n_children > 0").select(F.col("n_children").alias("size")).distinct())
+
+
+@query("recovery_portions_geo", o.sql(o.GEO, o.weights("geo"), o.heavy("geo"), o.numbers("geo"), o.portions("geo"), select="SELECT * FROM geo_po"))
+def recovery_portions_geo(s, d):
+    return recovery.recovery_portions(_numbered(s, d, "geo"))
+
+
+_DOCS = o.edges("dc", f"""SELECT 11 * {10**12} + doc_id a, 12 * {10**12} + sk b FROM documents JOIN (SELECT source, row_number() OVER (ORDER BY source) sk FROM (SELECT DISTINCT source FROM documents)) USING (source)
+  UNION SELECT 12 * {10**12} + sk, 13 * {10**12} + lk FROM documents JOIN (SELECT source, row_number() OVER (ORDER BY source) sk FROM (SELECT DISTINCT source FROM documents)) USING (source) JOIN (SELECT lang, row_number() OVER (ORDER BY lang) lk FROM (SELECT DISTINCT lang FROM documents)) USING (lang)""")
+
+
+@query("recovery_portions_docs", o.sql(_DOCS, o.breadth_first("dc"), o.weights("dc"), o.heavy("dc"), o.numbers("dc"), o.portions("dc"), select="SELECT * FROM dc_po"))
+def recovery_portions_docs(s, d):
+    return recovery.recovery_portions(_numbered(s, d, "doc_source"))
+
+
+_NAMED = """rf AS (SELECT x.size, y, unnest([leaf_parent, CASE WHEN y = rt.root THEN x.size - 1 WHEN y = x.size - 1 THEN NULL ELSE node_parent END, CASE WHEN y = x.size - 1 THEN coalesce(rt.root, y) ELSE left_label END, right_label]) ref FROM hf_links x LEFT JOIN hf_root rt ON rt.size = x.size),
+nm AS (SELECT size, y, ref FROM rf WHERE ref IS NOT NULL UNION SELECT size, y, y FROM hf_links),
+sent AS (SELECT size, y, max(ref) sent FROM nm GROUP BY size, y), freed AS (SELECT nm.size, ref k, max(sent) freed FROM nm JOIN sent USING (size, y) GROUP BY nm.size, ref)"""
+
+
+@query("sweep_memory_profile", o.sql(o.GEO, o.half_full(_GEO_SIZES), _NAMED, select="SELECT size, max(held) peak_ids FROM (SELECT a.size, a.k, count(*) held FROM freed a JOIN freed b ON b.size = a.size AND b.k <= a.k AND b.freed >= a.k GROUP BY a.size, a.k) GROUP BY size"))
+def sweep_memory_profile(s, d):
+    return recovery.sweep_memory(_tree(s, d, "geo").where("n_children > 0").select(F.col("n_children").alias("size")).distinct()).select("size", "peak_ids")
+
+
+for _mode, _sum, _rounds in (("self_ordered", "2 * n", "1"), ("adversarial", "n * n + n", "max(n)")):
+
+    @query(f"portion_cost_{_mode}", o.sql(o.GEO, select=f"SELECT count(*) parents, CAST(sum({_sum}) AS BIGINT) messages, CAST({_rounds} AS BIGINT) rounds FROM (SELECT count(*) n FROM geo_t WHERE parent IS NOT NULL GROUP BY parent)"))
+    def portion_cost(s, d, mode=_mode):
+        return recovery.portion_cost(_tree(s, d, "geo"), mode)
+
+
+# Bottom-up sums and bounds
+
+
+@query("bottomup_revenue_geo", o.sql(o.GEO, f"own AS (SELECT 5 * {10**12} + o_orderkey v, CAST(round(o_totalprice * 100) AS BIGINT) cents FROM orders)", o.weights("geo"), select="SELECT a v, CAST(sum(coalesce(cents, 0)) AS BIGINT) cents FROM geo_up LEFT JOIN own USING (v) GROUP BY a"))
+def bottomup_revenue_geo(s, d):
+    t = _tree(s, d, "geo")
+    own = graphs.table(s, d, "orders").select((F.col("o_orderkey") + 5 * 10**12).alias("v"), F.round(F.col("o_totalprice") * 100).cast(_LONG).alias("cents"))
+    values = t.select("v").join(own, "v", "left").select("v", F.coalesce("cents", F.lit(0).cast(_LONG)).alias("cents"))
+    return convergecast.bottomup(t, values, {"cents": F.sum})
+
+
+@query("answer_mode_all_graphs")
+def answer_mode_all_graphs(s, d):
+    """Which way of answering is cheaper on each graph that is not too deep for rounds."""
+    rows = []
+    for g in ("geo", "trade", "supply", "order_mesh", "conv_spider", "doc_source"):
+        t = _numbered(s, d, g)
+        rows.append(convergecast.choose_answer_mode(convergecast.convergecast_cost(t, _ports(s, d, g))).withColumn("graph", F.lit(g)))
+    return reduce(DataFrame.unionByName, rows)
+
+
+@query("bound_report", "SELECT CAST(0 AS BIGINT) broken")
+def bound_report(s, d):
+    r = bounds.bound_report(_ports(s, d, "order_mesh"), _numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
+    return r.agg(F.sum((~F.col("ok")).cast(_LONG)).alias("broken"))
+
+
+@query("degree_histogram_mesh", o.sql(o.MESH_E, select="SELECT degree, count(*) vertices FROM (SELECT src, count(*) degree FROM mesh_e GROUP BY src) GROUP BY degree"))
+def degree_histogram_mesh(s, d):
+    return degrees(_ports(s, d, "order_mesh")).groupBy("degree").agg(F.count("*").alias("vertices"))
+
 
 def queries() -> dict:
-    return {}
+    from ..operators import relational
+
+    return _Q | relational.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from ..operators import relational
+
+    return _O | relational.oracle_sql()
