@@ -13,7 +13,7 @@ from collections.abc import Iterable
 import numpy as np
 
 #: Cached pieces per worker; the cache starts anew beyond it.
-PIECES = 600_000
+PIECES = 1_200_000
 #: Characters encoded together.
 GROUP = 1_000_000
 
