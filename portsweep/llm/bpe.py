@@ -25,12 +25,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import with_columns_only
+from .common import CACHES, with_columns_only
 from .tokens import load
 
 WORDS = 300_000
 _END = "\x00"
 _known: dict[str, Bpe] = {}
+CACHES.append(_known)
 
 
 class Bpe:

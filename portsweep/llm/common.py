@@ -55,8 +55,19 @@ def maybe_broadcast(df: DataFrame, row_bytes: int, rows: int | None = None) -> D
     return F.broadcast(df) if rows * row_bytes <= BROADCAST_BYTES else df
 
 
+#: What workers keep between tasks: emptied when a worker turns to work that does not use it.
+CACHES: list[dict] = []
+
+
+def drop_caches() -> None:
+    for c in CACHES:
+        c.clear()
+    pa.default_memory_pool().release_unused()
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
-    """Batches of so many rows at most, so that what is made of one stays small."""
+    """Batches of so many rows at most, so that what is made of one stays small; the worker's caches are dropped first."""
+    drop_caches()
     for b in batches:
         for at in range(0, b.num_rows, rows):
             yield b.slice(at, rows)

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, with_columns_only
+from .common import materialize, slices, with_columns_only
 
 SYMBOLS = "#*$%&|<>"
 WINDOW = 8
@@ -76,7 +76,7 @@ def measure(text: str | None) -> tuple[int, ...]:
 
 def _measure_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = ["doc_id", *FEATURES]
-    for b in batches:
+    for b in slices(batches, 2000):
         rows = [measure(t.as_py()) for t in b.column("text")]
         cols = zip(*rows, strict=True) if rows else [[] for _ in FEATURES]
         yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), *[pa.array(c, pa.int64()) for c in cols]], names)

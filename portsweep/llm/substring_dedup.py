@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, mix64, with_columns_only, with_rows
+from .common import materialize, mix64, slices, with_columns_only, with_rows
 
 SPAN, SPAN_WORDS, LONG_WORDS = 3, 20, 50
 #: A sentence with the white space after it: up to a full stop, question or exclamation mark before white space, or a line's end.
@@ -73,7 +73,7 @@ def span_hashes(text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def _emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = ["row", "first", "last", "h1", "h2"]
-    for batch in batches:
+    for batch in slices(batches):
         rows, texts = batch.column("row").to_numpy(zero_copy_only=False), batch.column("text")
         cols: list[list[np.ndarray]] = [[], [], [], [], []]
         for row, text in zip(rows, texts, strict=True):
@@ -91,7 +91,7 @@ def repeated_spans(rows: DataFrame) -> DataFrame:
     only spans with those go through the exact 128-bit grouping.
     """
     spans = rows.select(F.col("__row").alias("row"), "text").mapInArrow(_emit, "row bigint, first int, last int, h1 bigint, h2 bigint")
-    twice = spans.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1")
+    twice = materialize(spans.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1"), "twice")  # written, so that AQE can split a hot hash in the join
     likely = materialize(spans.join(twice, "h1"), "spans")
     place = F.struct("row", "first")
     origin = likely.groupBy("h1", "h2").agg(F.min(place).alias("origin"), F.count("*").alias("n")).where("n > 1").drop("n")
@@ -134,7 +134,7 @@ def strip_repeats(docs: DataFrame) -> DataFrame:
     others = [c for c in docs.columns if c != "text"]
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             out = next(_cut(iter([batch])))
             yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in others], out.column("text")], [*others, "text"])
 

@@ -12,14 +12,17 @@ from collections.abc import Iterable
 
 import numpy as np
 
+from .common import CACHES
+
 #: Cached pieces per worker; the cache starts anew beyond it.
-PIECES = 1_200_000
+PIECES = 900_000
 #: Characters encoded together.
 GROUP = 1_000_000
 
 _BESIDE = re.compile(r"\s | \s")
 _BETWEEN = re.compile(r"(?<=\S)(?= \S)")
 _known: dict[tuple[str, bool], CachedTokenizer] = {}
+CACHES.append(_known)
 
 
 def byte_pieces(text: str) -> list[str]:
