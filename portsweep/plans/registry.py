@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.halffull import with_links
 from ..model import ReadOrder
-from ..operators import bfs, convergecast, labels, leader, recovery, relabel, routing
+from ..operators import bfs, convergecast, healing, labels, leader, recovery, relabel, routing
 from ..operators.ports import assign_ports, degrees
 from ..sources import graphs
 from . import bounds
@@ -350,6 +350,49 @@ for _mode, _sum, _rounds in (("self_ordered", "2 * n", "1"), ("adversarial", "n
         return recovery.portion_cost(_tree(s, d, "geo"), mode)
 
 
+# Healing
+
+
+def _deleted_geo(s, d):
+    """Every seventh customer, the nations, and region 1 of the geographic tree."""
+    v, key = F.col("v"), F.col("v") % 10**12
+    kind = F.floor(v / 10**12)
+    return _numbered(s, d, "geo").where(((kind == 3) & (key % 7 == 0)) | (kind == 2) | ((kind == 1) & (key == 1))).select("v")
+
+
+def _healed_geo(s, d):
+    return healing.heal(_numbered(s, d, "geo"), _deleted_geo(s, d))
+
+
+@query("heal_degree")
+def heal_degree(s, d):
+    """How many live vertices gained how many links; never more than three."""
+    return healing.degree_increase(_numbered(s, d, "geo"), _healed_geo(s, d)).groupBy("increase").agg(F.count("*").alias("vertices"))
+
+
+@query("heal_live_owners", o.sql(o.GEO, select=f"SELECT v owner FROM geo_t WHERE NOT ((v // {10**12} = 3 AND v % {10**12} % 7 = 0) OR v // {10**12} = 2 OR v = {10**12} + 1)"))
+def heal_live_owners(s, d):
+    """Every live vertex, and only these, runs the nodes of the healed tree."""
+    return _healed_geo(s, d).nodes.select("owner").distinct()
+
+
+@query("heal_helpers_per_plan", o.sql(o.GEO, f"dead AS (SELECT v FROM geo_t WHERE (v // {10**12} = 3 AND v % {10**12} % 7 = 0) OR v // {10**12} = 2 OR v = {10**12} + 1)", "up(v, a) AS (SELECT v, v FROM geo_t WHERE v NOT IN (SELECT v FROM dead) UNION SELECT u.v, t.parent FROM up u JOIN geo_t t ON t.v = u.a WHERE t.parent IS NOT NULL)", select="SELECT t.parent plan, count(*) - 1 helpers FROM geo_t t WHERE t.v IN (SELECT a FROM up) AND t.parent IN (SELECT v FROM dead) GROUP BY t.parent HAVING count(*) > 1"))
+def heal_helpers_per_plan(s, d):
+    """A plan keeps one helper less than it has slots with live vertices."""
+    return _healed_geo(s, d).nodes.where("b >= 0").groupBy(F.col("a").alias("plan")).agg(F.count("*").alias("helpers"))
+
+
+@query("heal_routes")
+def heal_routes(s, d):
+    """Packets between suppliers over the healed tree, with the labels from before."""
+    n = _numbered(s, d, "geo")
+    sup = n.where((F.col("v") >= 4 * 10**12) & (F.col("v") < 5 * 10**12) & (F.col("v") % 10 == 0)).select("v")
+    pairs = sup.select(F.col("v").alias("src")).join(sup.select(F.col("v").alias("dst")), F.col("src") % 3 == F.col("dst") % 3).where("src < dst")
+    state = routing.router_state(n, _labels(s, d, "geo"))
+    routes = healing.route_healed(pairs.select(F.xxhash64("src", "dst").alias("seq"), "src", "dst"), state, _ports(s, d, "geo"), _healed_geo(s, d))
+    return routes.groupBy("status").agg(F.count("*").alias("packets"))
+
+
 # Bottom-up sums and bounds
 
 
