@@ -119,7 +119,7 @@ class JaccardJoin:
         self.classes = materialize(self.profile.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("row").alias("rep"), F.count("*").alias("copies")), "classes")
 
     def _prefixes(self) -> DataFrame:
-        """token, id, n: the prefix of every representative."""
+        """id, n, tokens: the prefix of every representative, in order."""
         width, levels, num, den = self.width, self.levels, self.num, self.den
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -135,7 +135,7 @@ class JaccardJoin:
 
         copies = self.profile.join(self.classes.where("copies > 1").select("s1", "s2", "n", "rep"), ["s1", "s2", "n"]).where("row <> rep").select("row")
         kept = self.docs.join(maybe_broadcast(copies, 16), "row", "left_anti")
-        return materialize(kept.mapInArrow(run, "id bigint, n bigint, tokens array<bigint>"), "prefixes").select("id", "n", F.explode("tokens").alias("token"))
+        return materialize(kept.mapInArrow(run, "id bigint, n bigint, tokens array<bigint>"), "prefixes")
 
     def _segments(self, rows: DataFrame, carried: list[str]) -> DataFrame:
         """rows (text and carried bigint columns) -> carried, fragment, grams."""
@@ -172,19 +172,29 @@ class JaccardJoin:
         """Sizes alone allow a link."""
         return self.den * F.least(x, y) >= self.num * F.greatest(x, y)
 
-    def _enough(self) -> F.Column:
-        """Necessary for a link: so many common n-grams in the two prefixes.
+    def _need(self, na, nb) -> F.Column:
+        """Overlap that a link of sets of these sizes needs."""
+        return F.ceil(self.num * (F.col(na) + F.col(nb)) / F.lit(self.num + self.den))
+
+    def _likely(self, pairs: DataFrame, prefixes: DataFrame) -> DataFrame:
+        """Those pairs (a, b, na, nb) with as many common n-grams in the two prefixes as a link must have.
 
         All n-grams of the set whose prefix ends first in the order, up to that end, are in both prefixes if they are
-        common; of the rest it has least(n) - 1. Both must add up to the overlap that a link needs.
+        common; of its rest it has one less than the overlap it needs with any partner. Both must add up to the overlap of
+        a link.
         """
-        up = lambda a, b: F.ceil(a / b)
-        need = up(self.num * (F.col("na") + F.col("nb")), F.lit(self.num + self.den))
-        return F.col("common") >= need - up(self.num * F.greatest("na", "nb"), F.lit(self.den)) + 1
+        pairs = materialize(pairs, "pairs")
+        mark = F.broadcast if pairs.count() * 40 <= BROADCAST_BYTES else (lambda x: x)
+        one = prefixes.select(F.col("id").alias("a"), F.col("tokens").alias("ta")).join(mark(pairs), "a")
+        both = prefixes.select(F.col("id").alias("b"), F.col("tokens").alias("tb")).join(one, "b")
+        least = F.ceil(self.num * F.greatest("na", "nb") / F.lit(self.den))
+        ok = both.where(F.size(F.array_intersect("ta", "tb")) >= self._need("na", "nb") - least + 1)
+        return materialize(ok.select("a", "b", "na", "nb"), "likely")
 
     def links(self) -> tuple[DataFrame, DataFrame]:
         """Tested links (u, v) between representatives that connect all that are linked, and node, component over them."""
-        every = self._prefixes()
+        prefixes = self._prefixes()
+        every = prefixes.select("id", "n", F.posexplode("tokens").alias("pos", "token"))
         shared = every.groupBy("token").agg(F.count("*").alias("held")).where("held > 1").select("token")
         members = materialize(every.join(shared, "token").withColumn("comp", F.col("id")), "members")
         edges = self.spark.createDataFrame([], "u bigint, v bigint")
@@ -195,17 +205,19 @@ class JaccardJoin:
             met = members.join(heads, "token").where((F.col("comp") != F.col("head.comp")) & self._fits("n", "head.n"))
             votes = met.groupBy(F.col("head.id").alias("a"), F.col("id").alias("b"), F.col("head.n").alias("na"), F.col("n").alias("nb")).agg(F.count("*").alias("common"))
             best = votes.groupBy("b", "nb").agg(F.max(F.struct("common", "a", "na")).alias("best")).select("best.a", "b", "best.na", "nb")
-            new = materialize(self._linked(materialize(best, "pairs")), "links")
+            new = materialize(self._linked(self._likely(best, prefixes)), "links")
             if new.isEmpty():
                 continue
             edges = edges.union(new)
             found = materialize(components(edges), "components")
             members = self._open(members.drop("comp"), found)
+        # Linked sets share an n-gram that comes so early in both that what follows it can still make up the overlap.
         x, y = members.alias("x"), members.alias("y")
-        near = x.join(y, "token").where((F.col("x.comp") < F.col("y.comp")) & self._fits("x.n", "y.n"))
-        pairs = near.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.col("x.n").alias("na"), F.col("y.n").alias("nb")).agg(F.count("*").alias("common"))
-        pairs = pairs.where(self._enough()).drop("common")
-        last = materialize(self._linked(materialize(pairs, "pairs")), "links")
+        need = self._need("x.n", "y.n")
+        early = (F.col("x.pos") <= F.col("x.n") - need) & (F.col("y.pos") <= F.col("y.n") - need)
+        near = x.join(y, "token").where((F.col("x.comp") < F.col("y.comp")) & self._fits("x.n", "y.n") & early)
+        pairs = near.select(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.col("x.n").alias("na"), F.col("y.n").alias("nb")).distinct()
+        last = materialize(self._linked(self._likely(pairs, prefixes)), "links")
         if not last.isEmpty():
             edges = edges.union(last)
             found = materialize(components(edges), "components")
@@ -213,7 +225,7 @@ class JaccardJoin:
 
     def _open(self, members: DataFrame, found: DataFrame) -> DataFrame:
         """Members of the buckets that still hold two components."""
-        placed = members.join(maybe_broadcast(found, 24), F.col("id") == F.col("node"), "left").select("token", "id", "n", F.coalesce("component", "id").alias("comp"))
+        placed = members.join(maybe_broadcast(found, 24), F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", F.coalesce("component", "id").alias("comp"))
         mixed = placed.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("token")
         return materialize(placed.join(mixed, "token"), "members")
 
