@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from .common import CACHES, with_columns_only
 from .tokens import load
 
-WORDS = 300_000
+WORDS = 600_000
 _END = "\x00"
 _known: dict[str, Bpe] = {}
 CACHES.append(_known)
