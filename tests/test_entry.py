@@ -41,7 +41,7 @@ def test_heal_degree_is_bounded(spark):
 
 
 def test_streams(spark, tmp_path):
-    e = spark.read.parquet(f"{SF}/events.parquet").select("event_id", "ts", "user_id", "event_type", F.col("event_id").alias("a"), F.col("user_id").alias("dst"))
+    e = spark.read.parquet(f"{SF}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", F.col("event_id").alias("a"), F.col("user_id").alias("dst"))
     src = tmp_path / "in"
     e.repartition(3).write.parquet(str(src))
     stream = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(str(src))
