@@ -50,7 +50,7 @@ class _Lanes:
     def __init__(self, lanes: int):
         self.lane = np.arange(lanes)
         self.guess = [np.full(lanes * _CONTEXTS, -1, np.int64) for _ in range(2)]
-        self.trust = [np.zeros(lanes * _CONTEXTS, np.int64) for _ in range(2)]
+        self.trust = [np.zeros(lanes * _CONTEXTS, np.int8) for _ in range(2)]
         start = np.array([0.25, 0.25, 0.25, 0.25])
         self.events = [np.tile(start, (lanes * _LEVELS, 1)), np.tile(start, (lanes * _LEVELS, 1)), np.tile(start, (lanes, 1))]
         self.weights = np.full((lanes, 3), 1 / 3)
@@ -85,11 +85,12 @@ class _Lanes:
 
     def learn(self, n: int, event: np.ndarray, x: np.ndarray) -> None:
         lane = self.lane[:n]
+        cell = lane * 4 + event
+        share = np.stack([e.ravel()[cell] for e in self.each], 1) / self.mixed.ravel()[cell][:, None]
         for k in range(3):
             row = self.each[k] * 0.96875
-            row[lane, event] += 0.03125
+            row.ravel()[cell] += 0.03125
             self.events[k][self.rows[k]] = row
-        share = np.stack([e[lane, event] for e in self.each], 1) / self.mixed[lane, event][:, None]
         w = self.weights[:n] * share * 0.98 + 0.02 / 3
         self.weights[:n] = w / (w[:, 0] + w[:, 1] + w[:, 2])[:, None]
         for k in range(2):
@@ -97,8 +98,8 @@ class _Lanes:
             trust = self.trust[k][at]
             trust = np.where(hit, np.minimum(trust + 1, _LEVELS - 1), trust >> 1)
             new = trust == 0
-            self.trust[k][at] = np.where(new, 1, trust)
-            self.guess[k][at] = np.where(new, x, self.told[k])
+            self.trust[k][at] = trust + new
+            self.guess[k][at[new]] = x[new]
         flat = lane * _SLOTS + slot_of(x)
         known = self.slot_id[flat] == x
         self.slot_id[flat] = x
