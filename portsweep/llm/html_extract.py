@@ -1,15 +1,18 @@
 """Main text of web pages, by deducing the template that the pages of a host share.
 
-A page is read as a sequence of tokens, one for every element, named by the path of elements it stands in. Over the pages
-of a host each token has an occurrence vector: how often it comes on each page. Tokens with equal vectors form an
-equivalence class; vectors are compared by an additive 64-bit fingerprint, so a host's pages are only ever summed up, never
-gathered. Classes seen on enough of the host's pages are valid and nest, outer before inner, into the template; text
-belongs to the slot of the innermost template element around it. Slots that are navigation, notices, forms, adverts or
-comments by their element or its names are dropped, of the others the article (or else the container with most varying
-text) is the main content. The text of all its slots is then cut out of every page whole.
+A page is read as a sequence of tokens: one for every element, named by the path of elements it stands in, and one for
+every text block, named by its path and its text. Over the distinct pages of a host each token has an occurrence vector:
+how often it comes on each page. Tokens with equal vectors form an equivalence class; vectors are compared by an additive
+fingerprint, so a host's pages are only ever summed up, never gathered. A class is template if it stands on enough pages
+and on most of the host's pages, or else, for the layouts that only some pages have, if it also holds an element: then its
+texts come exactly where that element comes. Texts of template classes are the fixed parts and are cut; the texts between
+them are the slots. Slots that are navigation, notices, forms, adverts or comments by their element or its names are
+dropped too. Of the others those inside an article or main element are the main content of a page that has such slots;
+on other pages all are. A page without any slot, or whose marked content is all fixed, falls back to its fixed texts.
 
 Defined results: null html counts as empty and gives an empty text; a null or odd url belongs to the host named by an
-empty string; repeated rows are extracted alike; extra columns are ignored; pages are read whole.
+empty string; repeated rows are extracted alike; copies of a page count once; extra columns are ignored; pages are read
+whole.
 """
 
 from __future__ import annotations
@@ -25,10 +28,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, maybe_broadcast, mix64, with_columns_only
+from .common import materialize, maybe_broadcast, mix64, slices, with_columns_only
 
-#: A class is valid if its tokens stand on this share of a host's pages, in percent.
+#: A class is template if its tokens stand on this share of a host's pages, in percent, or with an element of equal vector.
 SUPPORT = 50
+#: Fewer distinct pages than this do not tell fixed texts from others.
+PAGES = 3
 
 _TAG = re.compile(r"""<!--.*?(?:--!?>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]*"|'[^']*')*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)""", re.S)
 _ATTRIBUTE = re.compile(r"""\b(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
@@ -52,7 +57,7 @@ class Element:
 
     def __init__(self, tag: str, names: frozenset[str], up: Element | None):
         self.tag, self.up = tag, up
-        self.key = xxhash.xxh3_64_intdigest(f"{up.key if up else 0}/{tag}.{'.'.join(sorted(names))}") >> 1
+        self.key = xxhash.xxh3_64_intdigest(f"{up.key}/{tag}.{'.'.join(sorted(names))}") >> 1 if up else 0
         inside = bool(up and up.good)
         self.good = inside or tag in _GOOD_NAMES or "main" in names
         heading = tag == "header" and inside
@@ -138,90 +143,62 @@ class Reader:
         return seen, blocks
 
 
+def _token(e: Element, text: str) -> int:
+    return xxhash.xxh3_64_intdigest(text.encode("utf-8", "surrogatepass"), e.key) >> 1
+
+
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """host, path, up, good, bad, pages, vector, mass: one row per host and path of a batch."""
+    """host, token, element, page, part: one row per page and token, page and part being hashes of its html and of that with the count."""
     reader = Reader()
-    for b in batches:
-        total: dict[tuple[str, int], list] = {}
-        for host, page_id, page in zip(b.column("host").to_pylist(), b.column("page_id").to_pylist(), b.column("html"), strict=True):
-            seen, blocks = reader.read(page.as_py() or "")
-            times: dict[Element, int] = defaultdict(int)
-            mass: dict[Element, int] = defaultdict(int)
+    for b in slices(batches):
+        hosts, cols, elements = [], [[], [], []], []
+        for host, page in zip(b.column("host").to_pylist(), b.column("html"), strict=True):
+            page = page.as_py() or ""
+            seen, blocks = reader.read(page)
+            mark = xxhash.xxh3_64_intdigest(page.encode("utf-8", "surrogatepass")) >> 1
+            times: dict[tuple[int, bool], int] = defaultdict(int)
             for e in [reader.root, *seen]:
-                times[e] += 1
+                times[e.key, True] += 1
             for e, text in blocks:
-                mass[e] += len(text)
-            mark = int(mix64(np.array([(page_id or 0) & 0xFFFFFFFFFFFFFFFF], np.uint64))[0])
-            for e, n in times.items():
-                row = total.setdefault((host, e.key), [e.up.key if e.up else 0, e.good, e.bad, 0, 0, 0])
-                row[3] += 1
-                row[4] = (row[4] + mark * n) & 0x7FFFFFFF
-                row[5] += mass[e]
-        keys, rows = list(total), list(total.values())
-        cols = [[k[0] for k in keys], [k[1] for k in keys], *([r[i] for r in rows] for i in range(6))]
-        types = [pa.string(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.int64()]
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["host", "path", "up", "good", "bad", "pages", "vector", "mass"])
+                times[_token(e, text), False] += 1
+            for (token, element), n in times.items():
+                hosts.append(host)
+                elements.append(element)
+                for c, x in zip(cols, (token, mark, n), strict=True):
+                    c.append(x)
+        token, mark, n = (np.array(c, np.uint64) for c in cols)
+        part = mix64(mark * np.uint64(3) + n) >> np.uint64(32)
+        arrays = [pa.array(hosts, pa.string()), pa.array(token.view(np.int64)), pa.array(elements, pa.bool_()), pa.array(mark.view(np.int64)), pa.array(part.view(np.int64))]
+        yield pa.RecordBatch.from_arrays(arrays, ["host", "token", "element", "page", "part"])
 
 
 def templates(pages: DataFrame) -> DataFrame:
-    """host, template, main: valid element paths of each host, and those whose slots are main content."""
-    counted = pages.mapInArrow(_count, "host string, path bigint, up bigint, good boolean, bad boolean, pages bigint, vector bigint, mass bigint")
-    tokens = counted.groupBy("host", "path", "up", "good", "bad").agg(F.sum("pages").alias("pages"), F.sum("vector").alias("vector"), F.sum("mass").alias("mass"))
-    tokens = materialize(tokens, "tokens")
-    whole = tokens.where("up = 0").select("host", F.col("pages").alias("all_pages"))
-    valid = tokens.join(maybe_broadcast(whole, 100), "host").where(100 * F.col("pages") >= SUPPORT * F.col("all_pages"))
-    classes = valid.groupBy("host", "pages", "vector").agg(F.collect_list(F.struct("path", "up", "good", "bad", "mass")).alias("members"))
-    nested = classes.groupBy("host").agg(F.sort_array(F.collect_list(F.struct("pages", "vector", "members")), False).alias("classes"))
-    return nested.mapInArrow(_nest, "host string, template array<bigint>, main array<bigint>")
-
-
-def _nest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        hosts, template, main = [], [], []
-        for row in b.to_pylist():
-            placed: dict[int, dict] = {}
-            waiting = [m for c in row["classes"] for m in c["members"]]
-            while waiting:  # a path's own elements come in outer classes or its own
-                ready = [m for m in waiting if m["up"] == 0 or m["up"] in placed]
-                if not ready:
-                    break
-                placed |= {m["path"]: m for m in ready}
-                waiting = [m for m in waiting if m["path"] not in placed]
-            clear = {k: m for k, m in placed.items() if not m["bad"]}
-            chosen = {k for k, m in clear.items() if m["good"]}
-            if not sum(clear[k]["mass"] for k in chosen):
-                heaviest = max(clear, key=lambda k: (clear[k]["mass"], -k), default=None)
-                around = clear[heaviest]["up"] if heaviest is not None else None
-                inside = {heaviest, around} if around in clear and clear[around]["up"] else {heaviest}
-                grown = True
-                while grown:
-                    more = {k for k, m in clear.items() if m["up"] in inside} - inside
-                    inside, grown = inside | more, bool(more)
-                chosen = inside - {None}
-            hosts.append(row["host"])
-            template.append(list(placed))
-            main.append(sorted(chosen))
-        yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(template, pa.list_(pa.int64())), pa.array(main, pa.list_(pa.int64()))], ["host", "template", "main"])
+    """host, fixed: the text tokens of each host that are template."""
+    counted = pages.mapInArrow(_count, "host string, token bigint, element boolean, page bigint, part bigint")
+    once = counted.groupBy("host", "token", "element", "page").agg(F.first("part").alias("part"))  # copies of a page have equal parts
+    tokens = once.groupBy("host", "token", "element").agg(F.count("*").alias("pages"), F.sum("part").alias("vector"))
+    tokens = materialize(tokens.where(F.col("pages") >= PAGES), "tokens")
+    whole = tokens.where("element and token = 0").select("host", F.col("pages").alias("all_pages"))
+    texts = tokens.where("not element").join(maybe_broadcast(whole, 100), "host")
+    framed = tokens.where("element").select("host", "pages", "vector").distinct().withColumn("framed", F.lit(True))
+    classes = texts.join(framed, ["host", "pages", "vector"], "left")
+    fixed = classes.where((100 * F.col("pages") >= SUPPORT * F.col("all_pages")) | F.col("framed"))
+    return fixed.groupBy("host").agg(F.collect_list("token").alias("fixed"))
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     reader = Reader()
     for b in batches:
         texts = []
-        sets: dict[str, tuple[frozenset, frozenset]] = {}
-        for host, page, template, main in zip(b.column("host").to_pylist(), b.column("html"), b.column("template"), b.column("main"), strict=True):
+        sets: dict[str, frozenset] = {}
+        for host, page, fixed in zip(b.column("host").to_pylist(), b.column("html"), b.column("fixed"), strict=True):
             if host not in sets:
-                sets[host] = frozenset(template.as_py() or ()), frozenset(main.as_py() or ())
-            framed, chosen = sets[host]
-            _, blocks = reader.read(page.as_py() or "")
-            own = []
-            for e, text in blocks:
-                slot = e
-                while slot.up and slot.key not in framed:
-                    slot = slot.up
-                if not e.bad and (slot.key in chosen or e.good):
-                    own.append(text)
-            texts.append("\n\n".join(own))
+                sets[host] = frozenset(fixed.as_py() or ())
+            clear = [(e.good, _token(e, text) in sets[host], text) for e, text in reader.read(page.as_py() or "")[1] if not e.bad]
+            if any(good for good, _, _ in clear):
+                clear = [x for x in clear if x[0]]
+            slots = [text for _, held, text in clear if not held]
+            texts.append("\n\n".join(slots or [text for _, _, text in clear]))
         yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
 
@@ -231,5 +208,5 @@ def extract(pages: DataFrame) -> DataFrame:
     host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
     p = p.withColumn("host", host)
     found = materialize(templates(p), "templates").withColumnRenamed("host", "__host")
-    joined = p.join(maybe_broadcast(found, 2000), F.col("host") == F.col("__host"), "left").select("page_id", "url", "html", "host", "template", "main")
+    joined = p.join(maybe_broadcast(found, 2000), F.col("host") == F.col("__host"), "left").select("page_id", "url", "html", "host", "fixed")
     return joined.mapInArrow(_cut, "page_id bigint, url string, text string, n_chars bigint")

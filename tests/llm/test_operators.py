@@ -212,6 +212,19 @@ def test_html_odd(spark):
     assert got == {1: "T & t\n\nOne two é link\n\na\n\nb", 2: "", 3: "", 4: "plain text < 3 & more", 5: "Long text of the page itself, with words."}
 
 
+def _extracted(spark, pages):
+    rows = [(i, f"http://h.example/{i}", p) for i, p in enumerate(pages)]
+    return [r.text for r in html_extract.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).orderBy("page_id").collect()]
+
+
+def test_html_fixed_text_inside_the_article_goes(spark):
+    pages = [f"<body><article><div class=box>Read our daily paper</div><p>Own text {i} of it.</p><p>Same on two</p></article></body>" for i in range(2)]
+    pages += [f"<body><article><div class=box>Read our daily paper</div><p>Own text {i} of it.</p></article></body>" for i in range(2, 6)]
+    pages += [f"<body><main><section class=tip>Rare layout tip</section><p>Words {i}</p></main></body>" for i in range(3)] + [pages[0]] * 4
+    assert _extracted(spark, pages) == [f"Own text {i} of it.\n\nSame on two" for i in range(2)] + [f"Own text {i} of it." for i in range(2, 6)] + [f"Words {i}" for i in range(3)] + ["Own text 0 of it.\n\nSame on two"] * 4
+    assert _extracted(spark, ["<p>One</p>"] * 5) == ["One"] * 5
+
+
 def test_bpe(docs, texts):
     lib = tokens.load(WORDS)
     got = {r.doc_id: r for r in bpe.digests(docs, WORDS).collect()}
