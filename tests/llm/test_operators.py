@@ -225,6 +225,12 @@ def test_html_fixed_text_inside_the_article_goes(spark):
     assert _extracted(spark, ["<p>One</p>"] * 5) == ["One"] * 5
 
 
+def test_html_minority_layout_keeps_its_text(spark):
+    pages = [f"<body><h1>Title {i}</h1><div class=content><p>Text {i}</p></div><div class=more><p>Second {i}</p></div></body>" for i in range(3)]
+    pages += [f"<body><div class=story><p>Tale {i}</p></div></body>" for i in range(2)]
+    assert _extracted(spark, pages) == [f"Title {i}\n\nText {i}\n\nSecond {i}" for i in range(3)] + [f"Tale {i}" for i in range(2)]
+
+
 def test_bpe(docs, texts):
     lib = tokens.load(WORDS)
     got = {r.doc_id: r for r in bpe.digests(docs, WORDS).collect()}
