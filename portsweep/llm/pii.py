@@ -1,10 +1,13 @@
 """Personal data, and the terms that give it away, in DataFrame functions only.
 
-Base kinds (email, ip, card, phone) are found by pattern. Their values are the protected entities. How strongly a term
-near an entity reveals it is measured over the corpus: with N documents, of which e hold the entity, t the term and b
-both, the pointwise mutual information log(N b / (e t)) is compared with the entity's information content log(N / e). A
-term is disclosing if it reaches ALPHA of that, seen in SUPPORT documents at least; its occurrences around the entity are
-generalised (numbers) or removed (words) like the entity itself. Document frequencies count every document's whole text.
+Base kinds (email, ip, card, phone) are found by pattern. Their values are the protected entities; so that entities of one
+or two documents are also judged by what recurs, the account and the domain of an email and the network of an ip (its first
+three numbers) are entities too. How strongly a term of a document with an entity reveals it is measured over the corpus:
+with N documents, of which e hold the entity, t the term and b both, all by their whole texts, the pointwise mutual
+information log(N b / (e t)) is compared with the entity's information content log(N / e). A term is disclosing if it
+reaches ALPHA of that; an entity of every document has none and is disclosed by nothing. All occurrences of a disclosing
+term in the documents that hold the entity are replaced like the entity itself. Entities held by the same documents have
+the same measures and are counted as one.
 
 Defined results: null text counts as empty and has no spans; rows that repeat another's doc_id and text get the same
 result and count as one document; extra columns are ignored by scan and kept by sanitise.
@@ -13,20 +16,21 @@ result and count as one document; extra columns are ignored by scan and kept by
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialize, maybe_broadcast, with_columns_only
+from .common import BROADCAST_BYTES, materialize, maybe_broadcast, with_columns_only
 from .spans import add_matches, listed, tagged
 
 KINDS = ("email", "ip", "card", "phone", "term")
-ALPHA, SUPPORT, CONTEXT = 0.8, 3, 200
+ALPHA, SUPPORT = 0.8, 1
 
 # The patterns of the contract, anchored so that each run of characters is tried once.
 EMAIL = r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++"
 IP = r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++"
 CARD = r"[0-9](?:[\x20-]?[0-9]){15,}+"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
-TERM = r"[\p{L}\p{N}]{4,}+"
+TERM = r"[\p{L}\p{N}]++"
 
 
 def _digits(x: Column) -> Column:
@@ -70,38 +74,56 @@ def _keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumn("text", text).withColumn("__k", F.xxhash64(F.col("doc_id"), text))
 
 
-def _entity(kind: Column, m: Column) -> Column:
-    return F.xxhash64(kind, F.when(kind == 0, F.lower(m)).when(kind == 1, m).otherwise(_digits(m)))
+def _entities(x: Column) -> Column:
+    """The entity of a base span, and the wider ones it belongs to."""
+    m, kind = F.lower(x["m"]), x["kind"]
+    parts = F.split(m, "[@.]")
+    own = F.xxhash64(kind, F.when(kind < 2, m).otherwise(_digits(m)))
+    account, domain = F.xxhash64(F.lit("account"), F.regexp_extract(m, "^[^@]*", 0)), F.xxhash64(F.lit("domain"), F.regexp_extract(m, "[^@]*$", 0))
+    network = F.xxhash64(F.lit("network"), F.concat_ws(".", F.slice(parts, 1, 3)))
+    return F.when(kind == 0, F.array(own, account, domain)).when(kind == 1, F.array(own, network)).otherwise(F.array(own))
 
 
 def _found(d: DataFrame) -> DataFrame:
-    """k, doc_id and base spans of (kind, s, e, entity, around, at): the text around each span starts at `at`."""
+    """k, doc_id, base spans of (kind, s, e), entities, and the text if there are any."""
     base = _base(d.select("__k", "doc_id", "text"))
+    bare = F.transform("base", lambda x: F.struct(x["kind"].alias("kind"), x["s"].alias("s"), x["e"].alias("e")))
+    entities = F.array_distinct(F.flatten(F.transform("base", _entities)))
+    return base.select("__k", F.col("doc_id").cast("bigint").alias("doc_id"), bare.alias("base"), entities.alias("entities"), F.when(F.size("base") > 0, F.col("text")).alias("held"))
 
-    def seen(x: Column) -> Column:
-        at = F.greatest(x["s"] - CONTEXT, F.lit(0))
-        around = F.substring(F.col("text"), at + 1, x["e"] + CONTEXT - at)
-        return F.struct(x["kind"].alias("kind"), x["s"].alias("s"), x["e"].alias("e"), _entity(x["kind"], x["m"]).alias("entity"), around.alias("around"), at.alias("at"))
 
-    return base.select("__k", F.col("doc_id").cast("bigint").alias("doc_id"), F.transform("base", seen).alias("base"))
+def _placed(near: DataFrame) -> DataFrame:
+    """k, term, s, e: all terms of texts `held`, places being sums of the lengths of gaps and terms before them."""
+    words, gaps = F.regexp_extract_all("held", F.lit(TERM), F.lit(0)), F.transform(F.split("held", TERM, -1), lambda g: F.length(g))
+    each = near.withColumn("__w", words).select("__k", F.posexplode(F.arrays_zip(F.col("__w").alias("m"), F.slice(gaps, 1, F.size("__w")).alias("g"))).alias("i", "w"))
+    e = F.sum(F.col("w.g") + F.length("w.m")).over(W.partitionBy("__k").orderBy("i")).cast("int")
+    return each.select("__k", F.xxhash64(F.lower("w.m")).alias("term"), (e - F.length("w.m")).alias("s"), e.alias("e"))
 
 
 def disclosing(found: DataFrame, d: DataFrame, alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
-    """k, terms (array of kind 4 spans): occurrences of disclosing terms around the entities they disclose."""
-    near = found.where(F.size("base") > 0).select("__k", F.explode("base").alias("b")).select("__k", "b.entity", "b.around", "b.at")
-    words = add_matches(near, "words", "around", TERM, F.lit(True)).select("__k", "entity", "at", F.explode("words").alias("w"))
-    placed = materialize(words.select("__k", "entity", F.lower("w.m").alias("term"), (F.col("at") + F.col("w.s")).alias("s"), (F.col("at") + F.col("w.e")).alias("e")).distinct(), "near-terms")
-    held = near.select("__k", "entity").distinct().groupBy("entity").agg(F.count("*").alias("e_docs"))
-    both = placed.select("__k", "entity", "term").distinct().groupBy("entity", "term").agg(F.count("*").alias("b_docs")).where(F.col("b_docs") >= support)
-    both = materialize(both.join(held, "entity"), "joint")
+    """k, terms (array of kind 4 spans): occurrences of disclosing terms in the documents of the entities they disclose."""
+    near = found.where(F.size("base") > 0).groupBy("__k").agg(F.first("held").alias("held"), F.first("entities").alias("entities"))
+    near = materialize(near, "near")
+    placed = materialize(_placed(near), "terms")
+    holds = near.select("__k", F.explode("entities").alias("entity"))
+    mark = F.xxhash64("__k", F.lit(1))
+    by_entity = holds.groupBy("entity").agg(F.count("*").alias("e_docs"), F.bit_xor(mark).alias("h1"), F.bit_xor(F.xxhash64("__k", F.lit(2))).alias("h2"))
+    alike = by_entity.select("entity", "e_docs", F.xxhash64("e_docs", "h1", "h2").alias("alike"))
+    holds = materialize(holds.join(alike, "entity").select("__k", "alike", "e_docs").distinct(), "holds")
+    pairs = placed.select("__k", "term").distinct().join(holds, "__k")
+    both = materialize(pairs.groupBy("alike", "e_docs", "term").agg(F.count("*").alias("b_docs")).where(F.col("b_docs") >= support), "joint")
     wanted = both.select("term").distinct()
-    every = d.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    counts = every.join(maybe_broadcast(wanted, 64), "term", "left_semi").groupBy("term").agg(F.count("*").alias("t_docs"))
+    rows = wanted.count()
+    every = d.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("m")).select(F.xxhash64("m").alias("term"))
+    if rows * 64 <= BROADCAST_BYTES:  # else the join below does it
+        every = every.join(F.broadcast(wanted), "term", "left_semi")
+    counts = every.groupBy("term").agg(F.count("*").alias("t_docs"))
     total = d.agg(F.count("*").alias("n"))
-    told = both.join(counts, "term").crossJoin(F.broadcast(total))  # one row
+    told = both.join(counts, "term").crossJoin(F.broadcast(total)).where("n > e_docs")  # one row
     pmi = F.log2(F.col("n") * F.col("b_docs") / (F.col("e_docs") * F.col("t_docs")))
-    told = told.where(pmi >= alpha * F.log2(F.col("n") / F.col("e_docs"))).select("entity", "term")
-    spans = placed.join(maybe_broadcast(told, 72), ["entity", "term"]).select("__k", "s", "e").distinct()
+    told = materialize(told.where(pmi >= alpha * F.log2(F.col("n") / F.col("e_docs"))).select("alike", "term"), "told")
+    hits = pairs.join(told, ["alike", "term"]).select("__k", "term").distinct()
+    spans = placed.join(hits, ["__k", "term"])
     return spans.groupBy("__k").agg(F.collect_list(F.struct(F.lit(4).alias("kind"), "s", "e")).alias("terms"))
 
 
@@ -110,10 +132,9 @@ def _spans(docs: DataFrame, alpha: float, support: int) -> DataFrame:
     d = _keyed(with_columns_only(docs, "doc_id", "text"))
     found = materialize(_found(d), "pii")
     terms = disclosing(found, d, alpha, support).withColumnRenamed("__k", "__t")
-    bare = F.transform("base", lambda x: F.struct(x["kind"].alias("kind"), x["s"].alias("s"), x["e"].alias("e")))
     clear = F.filter("terms", lambda t: ~F.exists("base", lambda b: (b["s"] < t["e"]) & (t["s"] < b["e"])))
     joined = found.join(terms, F.col("__k") == F.col("__t"), "left")
-    return joined.select("__k", "doc_id", F.array_sort(F.concat(bare, F.coalesce(clear, F.expr("cast(array() as array<struct<kind:int,s:int,e:int>>)")))).alias("all"))
+    return joined.select("__k", "doc_id", F.array_sort(F.concat("base", F.coalesce(clear, F.expr("cast(array() as array<struct<kind:int,s:int,e:int>>)")))).alias("all"))
 
 
 def scan(docs: DataFrame, alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:

@@ -89,6 +89,21 @@ def test_disclosing_terms(spark):
     assert "Quillfeather" not in clean[0] and "weather" in clean[0] and "[EMAIL]" in clean[0] and clean[20] == rows[14][1]
 
 
+def _pii(spark, rows):
+    d = spark.createDataFrame(rows + [(1000 + i, f"Plain note {i} on the weather of day {i}") for i in range(200)], "doc_id bigint, text string")
+    return {r.doc_id: r.text for r in pii.sanitise(d).collect()}
+
+
+def test_terms_of_rare_entities(spark):
+    clean = _pii(spark, [(1, "The weather by Quillfeather, mail jane@corp.example"), (2, "The note of Bo, +1 499 555 6503"), (3, "The note of Bo, +1 499 555 6503")])
+    assert clean[1] == "The weather [TERM] [TERM], [TERM] [EMAIL]" and clean[2] == clean[3] and "Bo" not in clean[2] and "note" in clean[2]
+
+
+def test_entity_of_every_document(spark):
+    d = spark.createDataFrame([(i, f"Some words {i} by jane@corp.example") for i in range(4)], "doc_id bigint, text string")
+    assert [r.text for r in pii.sanitise(d).where("doc_id = 1").collect()] == ["Some words 1 by [EMAIL]"]
+
+
 def test_substring_dedup(docs, texts, empty):
     assert all("".join(substring_dedup.sentences(t)) == t for t in texts.values())
     got = {r.doc_id: r for r in substring_dedup.dedup(docs).collect()}
