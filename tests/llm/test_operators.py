@@ -99,6 +99,12 @@ def test_terms_of_rare_entities(spark):
     assert clean[1] == "The weather [TERM] [TERM], [TERM] [EMAIL]" and clean[2] == clean[3] and "Bo" not in clean[2] and "note" in clean[2]
 
 
+def test_terms_far_from_the_entity(spark):
+    far = "the weather of day " * 60
+    clean = _pii(spark, [(i, f"Quillfeather wrote {far} and Quillfeather {far} signed jane@corp.example") for i in range(4)])
+    assert all("Quillfeather" not in clean[i] and clean[i].count("[TERM]") >= 2 and clean[i].count("weather") == 120 for i in range(4))
+
+
 def test_entity_of_every_document(spark):
     d = spark.createDataFrame([(i, f"Some words {i} by jane@corp.example") for i in range(4)], "doc_id bigint, text string")
     assert [r.text for r in pii.sanitise(d).where("doc_id = 1").collect()] == ["Some words 1 by [EMAIL]"]
