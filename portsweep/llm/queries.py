@@ -21,7 +21,7 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return substring_dedup.dedup(_table(spark, sf_dir, "documents"))
+    return substring_dedup.dedup(_table(spark, sf_dir, "documents"), span_words=0)
 
 
 def op4_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:

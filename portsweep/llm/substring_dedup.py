@@ -1,7 +1,8 @@
 """Substring deduplication by sliding spans of consecutive sentences.
 
 A span is the shortest run of sentences from a given first one, or up to a given last one, that has SPAN sentences and
-SPAN_WORDS words, or LONG_WORDS words. The same passage has the same spans wherever it stands, and a passage of
+SPAN_WORDS words, or LONG_WORDS words; the query and the pipeline ask for no SPAN_WORDS, so that every run of SPAN
+sentences is covered. The same passage has the same spans wherever it stands, and a passage of
 LONG_WORDS words or more made of whole sentences is covered by its own spans. Spans are hashed (128 bits), grouped over
 the whole corpus, and every sentence under a span that is not its first occurrence goes. First is by doc_id, then by
 position.
@@ -52,14 +53,14 @@ def runs(words: np.ndarray, span: int = SPAN, span_words: int = SPAN_WORDS, long
     return np.unique(np.concatenate([forward, backward]), axis=0)
 
 
-def span_hashes(text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def span_hashes(text: str, span_words: int = SPAN_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(first, last + 1) rows and two 64-bit hashes of each span; white space around sentences does not count."""
     parts = [s.split() for s in sentences(text)]
     parts = [(i, p) for i, p in enumerate(parts) if p]
     if not parts:
         return np.empty((0, 2), np.int64), np.empty(0, np.uint64), np.empty(0, np.uint64)
     index = np.array([i for i, _ in parts], np.int64)
-    found = runs(np.array([len(p) for _, p in parts], np.int64))
+    found = runs(np.array([len(p) for _, p in parts], np.int64), span_words=span_words)
     h = np.array([xxhash.xxh3_64_intdigest(" ".join(p).encode("utf-8", "surrogatepass")) for _, p in parts], np.uint64)
     first, length = found[:, 0], found[:, 1] - found[:, 0]
     a, b = length.astype(np.uint64) * _C1, length.astype(np.uint64) * _C2
@@ -71,26 +72,29 @@ def span_hashes(text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.stack([index[first], index[found[:, 1] - 1] + 1], 1), a, b
 
 
-def _emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    names = ["row", "first", "last", "h1", "h2"]
-    for batch in slices(batches):
-        rows, texts = batch.column("row").to_numpy(zero_copy_only=False), batch.column("text")
-        cols: list[list[np.ndarray]] = [[], [], [], [], []]
-        for row, text in zip(rows, texts, strict=True):
-            found, a, b = span_hashes(text.as_py() or "")
-            for c, x in zip(cols, (np.full(len(a), row, np.int64), found[:, 0], found[:, 1], a.view(np.int64), b.view(np.int64)), strict=True):
-                c.append(x)
-        data = [np.concatenate(c) if c else np.empty(0, np.int64) for c in cols]
-        yield pa.RecordBatch.from_arrays([pa.array(data[0]), pa.array(data[1].astype(np.int32)), pa.array(data[2].astype(np.int32)), pa.array(data[3]), pa.array(data[4])], names)
+def _emitter(span_words: int):
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["row", "first", "last", "h1", "h2"]
+        for batch in slices(batches):
+            rows, texts = batch.column("row").to_numpy(zero_copy_only=False), batch.column("text")
+            cols: list[list[np.ndarray]] = [[], [], [], [], []]
+            for row, text in zip(rows, texts, strict=True):
+                found, a, b = span_hashes(text.as_py() or "", span_words)
+                for c, x in zip(cols, (np.full(len(a), row, np.int64), found[:, 0], found[:, 1], a.view(np.int64), b.view(np.int64)), strict=True):
+                    c.append(x)
+            data = [np.concatenate(c) if c else np.empty(0, np.int64) for c in cols]
+            yield pa.RecordBatch.from_arrays([pa.array(data[0]), pa.array(data[1].astype(np.int32)), pa.array(data[2].astype(np.int32)), pa.array(data[3]), pa.array(data[4])], names)
+
+    return emit
 
 
-def repeated_spans(rows: DataFrame) -> DataFrame:
+def repeated_spans(rows: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
     """row, gone (array of first << 32 | last): the spans of each row to remove. rows: distinct __row (bigint), text.
 
     Spans are hashed twice rather than stored. The first pass shuffles 64-bit hashes alone, to learn which occur twice;
     only spans with those go through the exact 128-bit grouping.
     """
-    spans = rows.select(F.col("__row").alias("row"), "text").mapInArrow(_emit, "row bigint, first int, last int, h1 bigint, h2 bigint")
+    spans = rows.select(F.col("__row").alias("row"), "text").mapInArrow(_emitter(span_words), "row bigint, first int, last int, h1 bigint, h2 bigint")
     twice = materialize(spans.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1"), "twice")  # written, so that AQE can split a hot hash in the join
     likely = materialize(spans.join(twice, "h1"), "spans")
     place = F.struct("row", "first")
@@ -118,18 +122,18 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(texts, pa.string()), pa.array(total, pa.int32()), pa.array(removed, pa.int32())], ["doc_id", "text", "n_sentences", "n_removed"])
 
 
-def dedup(docs: DataFrame) -> DataFrame:
+def dedup(docs: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
     """doc_id, text (what is left), n_sentences, n_removed: one row per row of docs."""
     rows = with_rows(with_columns_only(docs, "doc_id", "text"))
-    gone = repeated_spans(rows).withColumnsRenamed({"row": "__of", "gone": "__gone"})
+    gone = repeated_spans(rows, span_words).withColumnsRenamed({"row": "__of", "gone": "__gone"})
     joined = rows.join(gone, F.col("__row") == F.col("__of"), "left").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", "__gone")
     return joined.mapInArrow(_cut, "doc_id bigint, text string, n_sentences int, n_removed int")
 
 
-def strip_repeats(docs: DataFrame) -> DataFrame:
+def strip_repeats(docs: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
     """docs with repeated spans cut out of text and n_chars set anew; every row and every other column stays."""
     rows = with_rows(docs)
-    gone = repeated_spans(rows).withColumnsRenamed({"row": "__of", "gone": "__gone"})
+    gone = repeated_spans(rows, span_words).withColumnsRenamed({"row": "__of", "gone": "__gone"})
     joined = rows.join(gone, F.col("__row") == F.col("__of"), "left").drop("__of", "__row")
     others = [c for c in docs.columns if c != "text"]
 

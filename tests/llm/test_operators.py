@@ -13,7 +13,7 @@ import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
 
-from portsweep.llm import bpe, html_extract, jaccard_join, packing, pii, quality, secret_scan, substring_dedup, token_file, tokens, topk_search
+from portsweep.llm import bpe, html_extract, jaccard_join, packing, pii, quality, queries, secret_scan, substring_dedup, token_file, tokens, topk_search
 
 SF = "/root/testdata/sf0.001"
 WORDS = public_tokenizers.path("word_bpe_49k.json")
@@ -146,6 +146,14 @@ def test_repeated_passage_goes_and_clean_text_stays(spark):
     assert all("word3" not in r.text and "Opening" in r.text and "Closing" in r.text for r in got[1:])
 
 
+def test_query_removes_runs_of_short_sentences(spark, tmp_path):
+    rows = [(i, f"Opening {i} stays.\nOne a.\nTwo b.\nThree c.\nClosing {i} stays.") for i in range(3)] + [(9, "One a. Two b. Only two are repeated.")]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r for r in queries.op3_substring_dedup(spark, str(tmp_path)).collect()}
+    assert got[0].text == rows[0][1] and got[9].text == rows[3][1]
+    assert all(got[i].text == f"Opening {i} stays.\nClosing {i} stays." and got[i].n_removed == 3 for i in (1, 2))
+
+
 def test_repeated_rows_and_null_ids(spark):
     t = "First line of it all here now. Second line goes on and on. Third line ends with many more words than before."
     rows = [(1, t, 5), (1, t, 6), (None, t, 7), (2, None, 8)]
