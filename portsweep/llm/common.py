@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -16,12 +17,14 @@ BROADCAST_BYTES = 32 << 20
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The folder all executors share: the session's checkpoint folder, or one of our own where none is set."""
+    """The folder all executors share: the session's checkpoint folder, or with a local master one of our own where none is set."""
     sc = spark.sparkContext
     known = sc._jsc.sc().getCheckpointDir()
     if known.isDefined():
         return known.get()
     named = sc.getConf().get("spark.checkpoint.dir", None)
+    if not named and not sc.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="portsweep-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
@@ -39,14 +42,32 @@ def with_columns_only(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*[F.col(f"`{n}`") for n in names])
 
 
+#: Column that names a row; an input must not have it.
+ROW = "__portsweep_row"
+
+
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """The names, each made longer until no column has it."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def with_rows(docs: DataFrame) -> DataFrame:
-    """docs with a distinct `__row` in the order of doc_id: doc_id itself, or places in a sorted copy if some are repeated or null."""
+    """docs with a distinct ROW in the order of doc_id: doc_id itself, or places in a sorted copy if some are repeated or null."""
+    if ROW in docs.columns:
+        raise ValueError(f"{ROW} is the name of a column of our own")
     row = F.col("doc_id").cast("bigint")
-    odd = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").limit(1).count()
+    n, h = fresh(docs.columns, "n", "h")
+    odd = docs.groupBy("doc_id").agg(F.count("*").alias(n)).where((F.col(n) > 1) | F.col("doc_id").isNull()).limit(1).count()
     if not odd:
-        return docs.withColumn("__row", row)
-    ordered = docs.withColumn("_h", F.xxhash64("text")).repartitionByRange("doc_id", "_h").sortWithinPartitions("doc_id", "_h").drop("_h")
-    return materialize(ordered.withColumn("__row", F.monotonically_increasing_id()), "rows")
+        return docs.withColumn(ROW, row)
+    ordered = docs.withColumn(h, F.xxhash64("text")).repartitionByRange("doc_id", h).sortWithinPartitions("doc_id", h).drop(h)
+    return materialize(ordered.withColumn(ROW, F.monotonically_increasing_id()), "rows")
 
 
 def maybe_broadcast(df: DataFrame, row_bytes: int, rows: int | None = None) -> DataFrame:
@@ -55,6 +76,18 @@ def maybe_broadcast(df: DataFrame, row_bytes: int, rows: int | None = None) -> D
     return F.broadcast(df) if rows * row_bytes <= BROADCAST_BYTES else df
 
 
+@contextmanager
+def batch_rows(spark: SparkSession, rows: int) -> Iterator[None]:
+    """Jobs run inside hand this many rows at once to Python workers: for rows that are large."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 #: What workers keep between tasks: emptied when a worker turns to work that does not use it.
 CACHES: list[dict] = []
 

@@ -1,15 +1,13 @@
 """Substring deduplication by sliding spans of consecutive sentences.
 
-A span is the shortest run of sentences from a given first one, or up to a given last one, that has SPAN sentences and
-SPAN_WORDS words, or LONG_WORDS words; the query and the pipeline ask for no SPAN_WORDS, so that every run of SPAN
-sentences is covered. The same passage has the same spans wherever it stands, and a passage of
-LONG_WORDS words or more made of whole sentences is covered by its own spans. Spans are hashed (128 bits), grouped over
-the whole corpus, and every sentence under a span that is not its first occurrence goes. First is by doc_id, then by
-position.
+A span is a run of consecutive sentences that one of RULES calls long enough and that has no shorter such run with the same
+first or the same last sentence: every run of three sentences whatever their words, every run of two with 20 words, every
+run with 50 words. The same passage has the same spans wherever it stands. Spans are hashed (128 bits), grouped over the
+whole corpus, and every sentence under a span that is not its first occurrence goes. First is by doc_id, then by position.
 
 Defined results: null text counts as empty and comes back as empty; repeated rows are copies, all but one of them lose
-their spans; documents that lose everything stay as rows with empty text; extra columns are carried through
-by strip_repeats. Texts of any length are read whole.
+their spans; documents that lose everything stay as rows with empty text; extra columns, whatever their names, are carried
+through by strip_repeats; an empty table gives no rows. Texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -23,124 +21,150 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, mix64, slices, with_columns_only, with_rows
+from .common import ROW, fresh, materialize, mix64, slices, with_columns_only, with_rows
 
-SPAN, SPAN_WORDS, LONG_WORDS = 3, 20, 50
-#: A sentence with the white space after it: up to a full stop, question or exclamation mark before white space, or a line's end.
-_SENTENCE = re.compile(r"[^\n]*?(?:[.!?]+[\"'»”)]*(?=[ \t\r]|\n|$)[ \t\r]*\n?|\n|$)\s*")
-_C1, _C2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+#: (sentences, words): a run with so many of both is long enough.
+RULES = ((3, 0), (2, 20), (1, 50))
+#: Where a sentence ends: after a full stop, question or exclamation mark before white space, or at a line's end; with the white space after it.
+_END = re.compile(r"""[.!?]+["'»”)]*(?=\s|$)\s*|\n\s*""")
+_B1, _B2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+
+
+def ends_of(text: str) -> list[int]:
+    """Where each sentence of a text ends; the last is the text's end."""
+    ends = [m.end() for m in _END.finditer(text)]
+    if text and (not ends or ends[-1] < len(text)):
+        ends.append(len(text))
+    return ends
 
 
 def sentences(text: str) -> list[str]:
     """The text cut after each sentence or line; joined they are the text again."""
-    out, at = [], 0
-    for m in _SENTENCE.finditer(text):
-        if m.end() > at:
-            out.append(text[at : m.end()])
-            at = m.end()
-    return out
+    ends = ends_of(text)
+    return [text[a:b] for a, b in zip([0, *ends], ends, strict=False)]
 
 
-def runs(words: np.ndarray, span: int = SPAN, span_words: int = SPAN_WORDS, long_words: int = LONG_WORDS) -> np.ndarray:
-    """Distinct (first, last + 1) of the spans of a text whose sentences have so many words each."""
+def runs(words: np.ndarray, starts: np.ndarray, ends: np.ndarray, rules: tuple = RULES) -> np.ndarray:
+    """Distinct (first, last + 1) of the spans of a row of sentences with so many words each; sentence i is of the text of sentences starts[i] to ends[i] - 1."""
     n = len(words)
     upto = np.concatenate([[0], np.cumsum(words)])
     at = np.arange(n)
-    ends = np.minimum(np.maximum(at + span, np.searchsorted(upto, upto[:-1] + span_words)), np.searchsorted(upto, upto[:-1] + long_words))
-    forward = np.stack([at, ends], 1)[ends <= n]
-    firsts = np.maximum(np.minimum(at + 1 - span, np.searchsorted(upto, upto[1:] - span_words, "right") - 1), np.searchsorted(upto, upto[1:] - long_words, "right") - 1)
-    backward = np.stack([firsts, at + 1], 1)[firsts >= 0]
-    return np.unique(np.concatenate([forward, backward]), axis=0)
-
-
-def span_hashes(text: str, span_words: int = SPAN_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(first, last + 1) rows and two 64-bit hashes of each span; white space around sentences does not count."""
-    parts = [s.split() for s in sentences(text)]
-    parts = [(i, p) for i, p in enumerate(parts) if p]
-    if not parts:
-        return np.empty((0, 2), np.int64), np.empty(0, np.uint64), np.empty(0, np.uint64)
-    index = np.array([i for i, _ in parts], np.int64)
-    found = runs(np.array([len(p) for _, p in parts], np.int64), span_words=span_words)
-    h = np.array([xxhash.xxh3_64_intdigest(" ".join(p).encode("utf-8", "surrogatepass")) for _, p in parts], np.uint64)
-    first, length = found[:, 0], found[:, 1] - found[:, 0]
-    a, b = length.astype(np.uint64) * _C1, length.astype(np.uint64) * _C2
-    for step in range(int(length.max(initial=0))):
-        more = length > step
-        x = h[first[more] + step]
-        a[more] = mix64(a[more] * _C1 + x)
-        b[more] = mix64((b[more] ^ x) * _C2 + np.uint64(step))
-    return np.stack([index[first], index[found[:, 1] - 1] + 1], 1), a, b
-
-
-def _emitter(span_words: int):
+    last, first = np.full(n, n + 1), np.full(n, -1)
+    for k, w in rules:
+        last = np.minimum(last, np.maximum(at + k, np.searchsorted(upto, upto[:-1] + w)))
+        first = np.maximum(first, np.minimum(at + 1 - k, np.searchsorted(upto, upto[1:] - w, "right") - 1))
+    forward, backward = last <= ends, first >= starts
+    key = np.unique(np.concatenate([at[forward] * (n + 1) + last[forward], first[backward] * (n + 1) + at[backward] + 1]))
+    return np.stack([key // (n + 1), key % (n + 1)], 1)
+
+
+def _run_hashes(h: np.ndarray, found: np.ndarray, base: np.uint64) -> np.ndarray:
+    """64-bit polynomial hash of each run over sentence hashes h, from sums over prefixes."""
+    inverse = np.uint64(pow(int(base), -1, 1 << 64))
+    n = len(h)
+    up, down = np.full(n + 1, base), np.full(n + 1, inverse)
+    up[0] = down[0] = 1
+    up, down = np.cumprod(up, dtype=np.uint64), np.cumprod(down, dtype=np.uint64)
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * up[:-1], dtype=np.uint64)])
+    first, last = found[:, 0], found[:, 1]
+    return mix64((sums[last] - sums[first]) * down[first] + (last - first).astype(np.uint64))
+
+
+def span_hashes(texts: list[str], rules: tuple = RULES) -> tuple[np.ndarray, ...]:
+    """For the spans of a list of texts: number of the text, first and last + 1 sentence, two 64-bit hashes; white space around sentences does not count."""
+    held, index, words, starts, hashes = [], [], [], [], []
+    digest = xxhash.xxh3_64_intdigest
+    for i, text in enumerate(texts):
+        begin, at = len(index), 0
+        for k, end in enumerate(ends_of(text)):
+            part = text[at:end].split()
+            at = end
+            if part:
+                index.append(k)
+                words.append(len(part))
+                hashes.append(digest(" ".join(part).encode("utf-8", "surrogatepass")))
+        held += [i] * (len(index) - begin)
+        starts += [begin] * (len(index) - begin)
+    of, places, begins = np.array(held, np.int64), np.array(index, np.int64), np.array(starts, np.int64)
+    ends = np.searchsorted(of, of, "right")
+    found = runs(np.array(words, np.int64), begins, ends, rules)
+    h = np.array(hashes, np.uint64)
+    return of[found[:, 0]], places[found[:, 0]], places[found[:, 1] - 1] + 1, _run_hashes(h, found, _B1), _run_hashes(mix64(h ^ _B1), found, _B2)
+
+
+def _emitter(rules: tuple):
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["row", "first", "last", "h1", "h2"]
         for batch in slices(batches):
-            rows, texts = batch.column("row").to_numpy(zero_copy_only=False), batch.column("text")
-            cols: list[list[np.ndarray]] = [[], [], [], [], []]
-            for row, text in zip(rows, texts, strict=True):
-                found, a, b = span_hashes(text.as_py() or "", span_words)
-                for c, x in zip(cols, (np.full(len(a), row, np.int64), found[:, 0], found[:, 1], a.view(np.int64), b.view(np.int64)), strict=True):
-                    c.append(x)
-            data = [np.concatenate(c) if c else np.empty(0, np.int64) for c in cols]
-            yield pa.RecordBatch.from_arrays([pa.array(data[0]), pa.array(data[1].astype(np.int32)), pa.array(data[2].astype(np.int32)), pa.array(data[3]), pa.array(data[4])], names)
+            of, first, last, a, b = span_hashes([t.as_py() or "" for t in batch.column("text")], rules)
+            rows = batch.column("row").to_numpy(zero_copy_only=False)[of]
+            data = [pa.array(rows, pa.int64()), pa.array(first.astype(np.int32)), pa.array(last.astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))]
+            yield pa.RecordBatch.from_arrays(data, ["row", "first", "last", "h1", "h2"])
 
     return emit
 
 
-def repeated_spans(rows: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
-    """row, gone (array of first << 32 | last): the spans of each row to remove. rows: distinct __row (bigint), text.
+def repeated_spans(rows: DataFrame, rules: tuple = RULES) -> DataFrame:
+    """row, gone (array of first << 32 | last): the spans of each row to remove. rows: distinct ROW (bigint), text.
 
     Spans are hashed twice rather than stored. The first pass shuffles 64-bit hashes alone, to learn which occur twice;
     only spans with those go through the exact 128-bit grouping.
     """
-    spans = rows.select(F.col("__row").alias("row"), "text").mapInArrow(_emitter(span_words), "row bigint, first int, last int, h1 bigint, h2 bigint")
+    spans = rows.select(F.col(ROW).alias("row"), "text").mapInArrow(_emitter(rules), "row bigint, first int, last int, h1 bigint, h2 bigint")
     twice = materialize(spans.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1"), "twice")  # written, so that AQE can split a hot hash in the join
     likely = materialize(spans.join(twice, "h1"), "spans")
     place = F.struct("row", "first")
     origin = likely.groupBy("h1", "h2").agg(F.min(place).alias("origin"), F.count("*").alias("n")).where("n > 1").drop("n")
+    origin = materialize(origin, "origins")  # likewise
     later = likely.join(origin, ["h1", "h2"]).where(place != F.col("origin"))
     mark = F.shiftleft(F.col("first").cast("bigint"), 32) + F.col("last")
     return later.groupBy("row").agg(F.collect_list(mark).alias("gone"))
 
 
-def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        texts, total, removed = [], [], []
-        for text, gone in zip(batch.column("text").to_pylist(), batch.column("__gone"), strict=True):
-            parts = sentences(text or "")
-            edge = np.zeros(len(parts) + 1, np.int64)
-            if gone.is_valid:
-                marks = gone.values.to_numpy(zero_copy_only=False)
-                np.add.at(edge, marks >> 32, 1)
-                np.add.at(edge, marks & 0xFFFFFFFF, -1)
-            keep = np.cumsum(edge)[:-1] == 0
-            kept = "".join(p for p, k in zip(parts, keep.tolist(), strict=True) if k)
-            texts.append(kept if keep.all() else kept.rstrip())
-            total.append(len(parts))
-            removed.append(int((~keep).sum()))
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(texts, pa.string()), pa.array(total, pa.int32()), pa.array(removed, pa.int32())], ["doc_id", "text", "n_sentences", "n_removed"])
-
-
-def dedup(docs: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
+def _left(text: str, gone: np.ndarray | None) -> tuple[str, int, int]:
+    """A text without the sentences under the marks, how many it had and how many went."""
+    ends = ends_of(text)
+    if gone is None or not len(gone):
+        return text, len(ends), 0
+    edge = np.zeros(len(ends) + 1, np.int64)
+    np.add.at(edge, gone >> 32, 1)
+    np.add.at(edge, gone & 0xFFFFFFFF, -1)
+    keep = (np.cumsum(edge)[:-1] == 0).tolist()
+    kept = "".join([text[a:b] for a, b, k in zip([0, *ends], ends, keep, strict=False) if k])
+    return kept.rstrip(), len(ends), len(ends) - sum(keep)
+
+
+def _cut(texts: pa.Array, gone: pa.Array) -> list[tuple[str, int, int]]:
+    return [_left(t.as_py() or "", g.values.to_numpy(zero_copy_only=False) if g.is_valid else None) for t, g in zip(texts, gone, strict=True)]
+
+
+def _with_marks(rows: DataFrame, rules: tuple) -> tuple[DataFrame, str]:
+    """rows with an array column of marks, and its name."""
+    of, gone = fresh(rows.columns, "of", "gone")
+    marks = repeated_spans(rows, rules).withColumnsRenamed({"row": of, "gone": gone})
+    return rows.join(marks, F.col(ROW) == F.col(of), "left").drop(of, ROW), gone
+
+
+def dedup(docs: DataFrame, rules: tuple = RULES) -> DataFrame:
     """doc_id, text (what is left), n_sentences, n_removed: one row per row of docs."""
-    rows = with_rows(with_columns_only(docs, "doc_id", "text"))
-    gone = repeated_spans(rows, span_words).withColumnsRenamed({"row": "__of", "gone": "__gone"})
-    joined = rows.join(gone, F.col("__row") == F.col("__of"), "left").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", "__gone")
-    return joined.mapInArrow(_cut, "doc_id bigint, text string, n_sentences int, n_removed int")
+    joined, gone = _with_marks(with_rows(with_columns_only(docs, "doc_id", "text")), rules)
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            texts, total, removed = zip(*_cut(b.column("text"), b.column(gone)), strict=True) if b.num_rows else ((), (), ())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(texts, pa.string()), pa.array(total, pa.int32()), pa.array(removed, pa.int32())], ["doc_id", "text", "n_sentences", "n_removed"])
+
+    return joined.withColumn("doc_id", F.col("doc_id").cast("bigint")).mapInArrow(cut, "doc_id bigint, text string, n_sentences int, n_removed int")
 
 
-def strip_repeats(docs: DataFrame, span_words: int = SPAN_WORDS) -> DataFrame:
+def strip_repeats(docs: DataFrame, rules: tuple = RULES) -> DataFrame:
     """docs with repeated spans cut out of text and n_chars set anew; every row and every other column stays."""
-    rows = with_rows(docs)
-    gone = repeated_spans(rows, span_words).withColumnsRenamed({"row": "__of", "gone": "__gone"})
-    joined = rows.join(gone, F.col("__row") == F.col("__of"), "left").drop("__of", "__row")
+    joined, gone = _with_marks(with_rows(docs), rules)
     others = [c for c in docs.columns if c != "text"]
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            out = next(_cut(iter([batch])))
-            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in others], out.column("text")], [*others, "text"])
+        for b in slices(batches):
+            texts = [t for t, _, _ in _cut(b.column("text"), b.column(gone))]
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in others], pa.array(texts, pa.string())], [*others, "text"])
 
     done = joined.mapInArrow(cut, joined.select(*[F.col(f"`{c}`") for c in others], "text").schema)
     if "n_chars" in docs.columns:
