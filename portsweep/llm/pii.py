@@ -6,11 +6,14 @@ three numbers) are entities too. How strongly a term of a document with an entit
 with N documents, of which e hold the entity, t the term and b both, all by their whole texts, the pointwise mutual
 information log(N b / (e t)) is compared with the entity's information content log(N / e). A term is disclosing if it
 reaches ALPHA of that; an entity of every document has none and is disclosed by nothing. All occurrences of a disclosing
-term in the documents that hold the entity are replaced like the entity itself. Entities held by the same documents have
-the same measures and are counted as one.
+term in the documents that hold the entity are sanitised: words are removed (the mark [TERM] stays in their place), numbers
+are generalised to [NUMBER]. Entities held by the same documents have the same measures and are counted as one.
+
+Terms are counted before they meet the entities' terms, so every join here is one row per term, entity or document.
 
 Defined results: null text counts as empty and has no spans; rows that repeat another's doc_id and text get the same
-result and count as one document; extra columns are ignored by scan and kept by sanitise.
+result and count as one document; extra columns, whatever their names, are ignored by scan and kept by sanitise; an empty
+table gives no rows; texts are read whole.
 """
 
 from __future__ import annotations
@@ -19,10 +22,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, materialize, maybe_broadcast, with_columns_only
+from .common import BROADCAST_BYTES, fresh, materialize, with_columns_only
 from .spans import add_matches, listed, tagged
 
-KINDS = ("email", "ip", "card", "phone", "term")
+KINDS = ("email", "ip", "card", "phone", "term", "number")
 ALPHA, SUPPORT = 0.8, 1
 
 # The patterns of the contract, anchored so that each run of characters is tried once.
@@ -68,10 +71,15 @@ def _base(d: DataFrame) -> DataFrame:
     return d.withColumn("base", F.concat(*[tagged(k, i) for i, k in enumerate(KINDS[:4])])).drop(*KINDS[:4])
 
 
+def _key(text: Column) -> Column:
+    """128 bits that name a doc_id with a text."""
+    return F.struct(F.xxhash64(F.col("doc_id"), text).alias("a"), F.xxhash64(F.lit(7), text, F.col("doc_id")).alias("b"))
+
+
 def _keyed(docs: DataFrame) -> DataFrame:
-    """docs with null text as empty and `k`, which names a doc_id with a text."""
+    """doc_id, text (null as empty) and `__k`."""
     text = F.coalesce("text", F.lit(""))
-    return docs.withColumn("text", text).withColumn("__k", F.xxhash64(F.col("doc_id"), text))
+    return with_columns_only(docs, "doc_id", "text").select("doc_id", text.alias("text"), _key(text).alias("__k"))
 
 
 def _entities(x: Column) -> Column:
@@ -93,15 +101,16 @@ def _found(d: DataFrame) -> DataFrame:
 
 
 def _placed(near: DataFrame) -> DataFrame:
-    """k, term, s, e: all terms of texts `held`, places being sums of the lengths of gaps and terms before them."""
+    """k, term, kind, s, e: all terms of texts `held`, places being sums of the lengths of gaps and terms before them."""
     words, gaps = F.regexp_extract_all("held", F.lit(TERM), F.lit(0)), F.transform(F.split("held", TERM, -1), lambda g: F.length(g))
     each = near.withColumn("__w", words).select("__k", F.posexplode(F.arrays_zip(F.col("__w").alias("m"), F.slice(gaps, 1, F.size("__w")).alias("g"))).alias("i", "w"))
     e = F.sum(F.col("w.g") + F.length("w.m")).over(W.partitionBy("__k").orderBy("i")).cast("int")
-    return each.select("__k", F.xxhash64(F.lower("w.m")).alias("term"), (e - F.length("w.m")).alias("s"), e.alias("e"))
+    kind = F.when(F.col("w.m").rlike(r"^\p{N}+$"), 5).otherwise(4)
+    return each.select("__k", F.xxhash64(F.lower("w.m")).alias("term"), kind.alias("kind"), (e - F.length("w.m")).alias("s"), e.alias("e"))
 
 
 def disclosing(found: DataFrame, d: DataFrame, alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
-    """k, terms (array of kind 4 spans): occurrences of disclosing terms in the documents of the entities they disclose."""
+    """k, terms (array of spans of kinds 4 and 5): occurrences of disclosing terms in the documents of the entities they disclose."""
     near = found.where(F.size("base") > 0).groupBy("__k").agg(F.first("held").alias("held"), F.first("entities").alias("entities"))
     near = materialize(near, "near")
     placed = materialize(_placed(near), "terms")
@@ -112,25 +121,23 @@ def disclosing(found: DataFrame, d: DataFrame, alpha: float = ALPHA, support: in
     holds = materialize(holds.join(alike, "entity").select("__k", "alike", "e_docs").distinct(), "holds")
     pairs = placed.select("__k", "term").distinct().join(holds, "__k")
     both = materialize(pairs.groupBy("alike", "e_docs", "term").agg(F.count("*").alias("b_docs")).where(F.col("b_docs") >= support), "joint")
-    wanted = both.select("term").distinct()
-    rows = wanted.count()
     every = d.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("m")).select(F.xxhash64("m").alias("term"))
-    if rows * 64 <= BROADCAST_BYTES:  # else the join below does it
-        every = every.join(F.broadcast(wanted), "term", "left_semi")
-    counts = every.groupBy("term").agg(F.count("*").alias("t_docs"))
+    counts = every.groupBy("term").agg(F.count("*").alias("t_docs"))  # a row per term of the corpus, added up before it is shuffled
     total = d.agg(F.count("*").alias("n"))
     told = both.join(counts, "term").crossJoin(F.broadcast(total)).where("n > e_docs")  # one row
     pmi = F.log2(F.col("n") * F.col("b_docs") / (F.col("e_docs") * F.col("t_docs")))
     told = materialize(told.where(pmi >= alpha * F.log2(F.col("n") / F.col("e_docs"))).select("alike", "term"), "told")
     hits = pairs.join(told, ["alike", "term"]).select("__k", "term").distinct()
     spans = placed.join(hits, ["__k", "term"])
-    return spans.groupBy("__k").agg(F.collect_list(F.struct(F.lit(4).alias("kind"), "s", "e")).alias("terms"))
+    return spans.groupBy("__k").agg(F.collect_list(F.struct("kind", "s", "e")).alias("terms"))
 
 
 def _spans(docs: DataFrame, alpha: float, support: int) -> DataFrame:
     """k, doc_id, all (array of (kind, s, e) by kind, then start): one row per row of docs."""
-    d = _keyed(with_columns_only(docs, "doc_id", "text"))
+    d = _keyed(docs)
     found = materialize(_found(d), "pii")
+    if found.groupBy("__k").agg(F.count("*").alias("n")).where("n > 1").limit(1).count():
+        d = d.dropDuplicates(["__k"])
     terms = disclosing(found, d, alpha, support).withColumnRenamed("__k", "__t")
     clear = F.filter("terms", lambda t: ~F.exists("base", lambda b: (b["s"] < t["e"]) & (t["s"] < b["e"])))
     joined = found.join(terms, F.col("__k") == F.col("__t"), "left")
@@ -146,7 +153,7 @@ def scan(docs: DataFrame, alpha: float = ALPHA, support: int = SUPPORT) -> DataF
         *[count(i).alias(f"n_{KINDS[i]}") for i in range(4)],
         F.sha2(listed(F.filter("all", lambda x: x["kind"] < 4), KINDS), 256).alias("base_sha256"),
         listed(F.col("all"), KINDS).alias("spans"),
-        count(4).alias("n_terms"),
+        (count(4) + count(5)).alias("n_terms"),
     )
 
 
@@ -165,11 +172,15 @@ def _rewritten(text: Column, spans: Column) -> Column:
 
 def sanitise(docs: DataFrame, alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
     """docs with protected entities and disclosing terms replaced in text, n_chars set anew; rows and other columns stay."""
-    spans = _spans(docs, alpha, support).where(F.size("all") > 0).select(F.col("__k").alias("__s"), "all").groupBy("__s").agg(F.first("all").alias("__all"))
+    key, spans_of = fresh(docs.columns, "__s", "__all")
+    spans = _spans(docs, alpha, support).where(F.size("all") > 0).select(F.col("__k").alias(key), "all").groupBy(key).agg(F.first("all").alias(spans_of))
     spans = materialize(spans, "pii-spans")
-    d = _keyed(docs)
-    joined = d.join(maybe_broadcast(spans, 200), F.col("__k") == F.col("__s"), "left")
-    done = joined.withColumn("text", F.when(F.col("__all").isNull(), F.col("text")).otherwise(_rewritten(F.col("text"), F.col("__all"))))
+    rows, held = spans.agg(F.count("*"), F.sum(F.size(spans_of))).first()
+    if rows * 96 + (held or 0) * 48 <= BROADCAST_BYTES:
+        spans = F.broadcast(spans)
+    text = F.coalesce("text", F.lit(""))
+    joined = docs.join(spans, _key(text) == F.col(key), "left")
+    done = joined.withColumn("text", F.when(F.col(spans_of).isNull(), text).otherwise(_rewritten(text, F.col(spans_of))))
     if "n_chars" in docs.columns:
         done = done.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return done.select(*[F.col(f"`{c}`") for c in docs.columns])
