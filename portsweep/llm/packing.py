@@ -1,15 +1,17 @@
 """Packing of token sequences into few sequences of fixed capacity.
 
 Only the histogram of lengths matters for a plan: `capacity` rows at most, whatever the corpus. On the driver, lengths are
-opened from the longest down. Hash indexes of single, pair and triple length sums are asked for combinations that fill
+opened from the longest down. Indexes by sum of single lengths, pairs and triples are asked for a combination that fills
 the gap exactly, and a combination is consumed as often as its lengths are available at once; where none fills it, the
 longest length that fits is added (best fit) until nothing fits. Each step exhausts a length, so the plan stays small.
+Lengths only ever become fewer, so an index remembers for each sum how far its combinations are used up and never looks at
+these again.
 
 Pieces find their place by their rank among pieces of the same length, counted in two levels (inside a written part, then
 over parts), so that a length that a third of the rows share is no bottleneck.
 
 Defined results: null text counts as empty (one piece with the end id); repeated rows are packed like others; an empty
-table gives no rows; extra columns are ignored; longer texts are cut into pieces of `capacity` ids.
+table gives no rows; extra columns, whatever their names, are ignored; longer texts are cut into pieces of `capacity` ids.
 """
 
 from __future__ import annotations
@@ -37,8 +39,7 @@ def _pieces(path: str, capacity: int, end: int):
         seen = np.zeros(capacity + 1, np.int64)
         for b in batches:
             rows: list[list] = [[], [], [], [], [], []]
-            texts = (t.as_py() or "" for t in b.column("text"))
-            for doc, ids in zip(b.column("doc_id").to_pylist(), tokenizer.encode(texts), strict=True):
+            for doc, ids in zip(b.column("doc_id").to_pylist(), tokenizer.encode(b.column("text")), strict=True):
                 ids = np.append(ids, np.uint32(end))
                 for piece, start in enumerate(range(0, len(ids), capacity)):
                     own = ids[start : start + capacity]
@@ -54,57 +55,82 @@ def _pieces(path: str, capacity: int, end: int):
     return run
 
 
-def _exact(gap: int, have: np.ndarray) -> tuple[int, ...] | None:
-    """One, two or three available lengths whose sum is gap; longer ones first, as short ones fill gaps more easily."""
-    if have[gap]:
-        return (gap,)
-    half = np.arange(gap // 2, gap)
-    other = gap - half
-    pairs = (have[half] > 0) & (have[other] > 0) & ((half != other) | (have[half] > 1))
-    at = np.flatnonzero(pairs)
-    if len(at):
-        return int(half[at[-1]]), int(other[at[-1]])
-    for a in np.flatnonzero(have[: gap - 1])[::-1].tolist():
-        rest = gap - a
-        if rest > 2 * a:
-            break
-        b = np.arange((rest + 1) // 2, min(a, rest - 1) + 1)
-        c = rest - b
-        ab, bc, ac = b == a, b == c, c == a
-        fits = (have[a] > ab.astype(int) + ac) & (have[b] > ab.astype(int) + bc) & (have[c] > ac.astype(int) + bc)
-        at = np.flatnonzero(fits)
-        if len(at):
-            return a, int(b[at[-1]]), int(c[at[-1]])
-    return None
+class Sums:
+    """Combinations of available lengths by their sum. have[x]: how many pieces of length x there are; it may only fall."""
+
+    def __init__(self, have: list[int]):
+        self.have = have
+        #: For each sum, the greatest part that a pair (or triple) of it may still have.
+        self.pair_from: dict[int, int] = {}
+        self.triple_from: dict[int, int] = {}
+
+    def pair(self, total: int) -> tuple[int, int] | None:
+        """Two available lengths, the longer one first and as long as can be."""
+        have, a = self.have, self.pair_from.get(total, total - 1)
+        while 2 * a >= total:
+            if have[a] and have[total - a] > (2 * a == total):
+                break
+            a -= 1
+        self.pair_from[total] = a
+        return (a, total - a) if 2 * a >= total else None
+
+    def triple(self, total: int) -> tuple[int, int, int] | None:
+        """Three available lengths, one of them as long as can be."""
+        have, a = self.have, self.triple_from.get(total, total - 2)
+        found = None
+        while 3 * a >= total and found is None:
+            if have[a]:
+                have[a] -= 1
+                two = self.pair_below(total - a, a)
+                have[a] += 1
+                found = two and (a, *two)
+            if found is None:
+                a -= 1
+        self.triple_from[total] = a
+        return found
+
+    def pair_below(self, total: int, most: int) -> tuple[int, int] | None:
+        """A pair none of which is longer than `most`; looks only where the index says that pairs are left."""
+        have = self.have
+        for a in range(min(most, self.pair_from.get(total, total - 1)), (total - 1) // 2, -1):
+            if have[a] and have[total - a] > (2 * a == total):
+                return a, total - a
+        return None
+
+    def fill(self, gap: int) -> tuple[int, ...] | None:
+        """One, two or three available lengths whose sum is gap."""
+        return (gap,) if self.have[gap] else self.pair(gap) or self.triple(gap)
 
 
 def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, dict[int, int]]]:
     """[(how many sequences, {length: pieces of it in each})] that hold every piece once."""
-    have = np.zeros(capacity + 1, np.int64)
+    have = [0] * (capacity + 1)
     for length, n in histogram.items():
         have[length] = n
-    out = []
-    while len(left := np.flatnonzero(have)):
-        longest = int(left[-1])
+    sums, out, longest = Sums(have), [], capacity
+    while True:
+        while longest and not have[longest]:
+            longest -= 1
+        if not longest:
+            return out
         parts = {longest: 1}
         have[longest] -= 1
         gap = capacity - longest
         while gap:
-            found = _exact(gap, have)
+            found = sums.fill(gap)
             if found is None:
-                fits = np.flatnonzero(have[: gap + 1])
-                if not len(fits):
+                fits = next((x for x in range(min(gap, longest), 0, -1) if have[x]), None)
+                if fits is None:
                     break
-                found = (int(fits[-1]),)
+                found = (fits,)
             for x in found:
                 parts[x] = parts.get(x, 0) + 1
                 have[x] -= 1
                 gap -= x
-        more = min(int(have[x]) // k for x, k in parts.items())
+        more = min(have[x] // k for x, k in parts.items())
         for x, k in parts.items():
             have[x] -= more * k
         out.append((1 + more, parts))
-    return out
 
 
 def _places(steps: list[tuple[int, dict[int, int]]], capacity: int) -> dict[str, np.ndarray]:

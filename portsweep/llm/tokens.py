@@ -1,41 +1,73 @@
 """Token ids by the tokenizers library, with a cache of pieces per Python worker.
 
-No pre-token of either vocabulary reaches over a single space between two characters that are no white space, so texts
-are cut there and each distinct piece is encoded once by the library. Ids are the library's own for the whole text.
+No pre-token of either vocabulary reaches over a single space between two characters that are no white space, so columns
+of texts are cut there (by Arrow, without Python strings), each distinct piece is encoded once and ids are gathered by
+index. A new piece of common characters is cut into pre-tokens by the vocabulary's own rules for these characters, and each
+distinct pre-token is merged once by the library's model; any other piece is encoded by the library as a whole. Ids are the
+library's own for the whole text.
 """
 
 from __future__ import annotations
 
 import os
 import re
-from collections.abc import Iterable
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 from .common import CACHES
 
-#: Cached pieces per worker; the cache starts anew beyond it.
-PIECES = 900_000
-#: Characters encoded together.
-GROUP = 1_000_000
-
-_BESIDE = re.compile(r"\s | \s")
+#: Cached pieces and pre-tokens per worker; a cache starts anew beyond it.
+PIECES, PRETOKENS = 600_000, 300_000
+#: Rows encoded together at most, and bytes of text at most (one text may have more).
+ROWS, BYTES = 4000, 8 << 20
+
+# Common characters beyond ASCII (letters that normalising leaves alone and whose lower case is one letter,
+# and punctuation), and the pre-token patterns of the two kinds of vocabulary for texts of common characters.
+_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u017f\u0400-\u045f"
+_MARKS = "\u00a1\u00ab\u00bb\u00bf\u2013\u2014\u2018-\u201e\u2026"
+_UNCOMMON = re.compile(rf"[^\x00-\x7f{_LETTERS}{_MARKS}]|<")  # "<": it may begin a special token
+_PRE_WORD = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[0-9]|[^\t-\r 0-9{_LETTERS}]+")
+_PRE_BYTE = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\t-\r 0-9{_LETTERS}]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
+#: Punctuation after a letter or digit, which is a pre-token of its own in a vocabulary of words.
+_ENDS, _ENDS_BYTE = r"([a-z0-9])([.,;:!?])", r"([A-Za-z0-9])([.,;:!?])"
+#: A single line end before a letter, likewise where white space is kept.
+_LINES = r"([!-~])\n([A-Za-z])"
+#: Marks where pieces meet that keep their white space.
+_SEAM = "\x00"
+#: White space beside a space, or a seam: such texts are not simply cut at spaces.
+_BESIDE = r"[\t-\r\x1c-\x1f\x85\p{Z}] | [\t-\r\x1c-\x1f\x85\p{Z}]|\x00"
+_BLANK = re.compile(r"[\t-\r ]")
 _BETWEEN = re.compile(r"(?<=\S)(?= \S)")
+
 _known: dict[tuple[str, bool], CachedTokenizer] = {}
 CACHES.append(_known)
 
 
-def byte_pieces(text: str) -> list[str]:
-    """Pieces for a byte-level vocabulary, where a space belongs to the word after it."""
-    if _BESIDE.search(text):
-        return _BETWEEN.split(text)
-    first, *rest = text.split(" ")
-    return [first, *[" " + p for p in rest]]
+def _symbols() -> dict[int, str]:
+    """What byte-level vocabularies write for bytes that are not printed: the characters from 256 on, in order."""
+    hidden = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255)]
+    return {b: chr(256 + i) for i, b in enumerate(hidden)}
+
+
+_SYMBOLS = _symbols()
+
+
+def as_symbols(text: str) -> str:
+    """The UTF-8 bytes of a text as byte-level vocabularies write them."""
+    return text.encode("utf-8", "surrogatepass").decode("latin-1").translate(_SYMBOLS)
+
 
+def is_common(text: str) -> bool:
+    """Only common characters, and nothing that may be a special token: pretokens() holds for it."""
+    return _UNCOMMON.search(text) is None
 
-def word_pieces(text: str) -> list[str]:
-    """Pieces for a vocabulary that drops white space."""
-    return [p for p in text.replace("\n", " ").split(" ") if p]
+
+def pretokens(text: str) -> list[str]:
+    """The words of a common text in a vocabulary of words, in lower case."""
+    return _PRE_WORD.findall(text.lower())
 
 
 def load(path: str):
@@ -48,18 +80,56 @@ def load(path: str):
     return tokenizer
 
 
+def groups(column: pa.Array) -> Iterator[pa.Array]:
+    """A string column in slices of ROWS rows and BYTES bytes at most."""
+    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
+    upto, at = np.cumsum(size, dtype=np.int64), 0
+    while at < len(column):
+        before = upto[at] - size[at]
+        end = max(at + 1, min(at + ROWS, int(np.searchsorted(upto, before + BYTES, "right"))))
+        yield column.slice(at, end - at)
+        at = end
+
+
 class CachedTokenizer:
     def __init__(self, path: str, words: bool):
-        self.tokenizer, self.pieces = load(path), word_pieces if words else byte_pieces
+        """words: the vocabulary drops white space and letter case; else a space belongs to the word after it."""
+        self.tokenizer, self.by_words = load(path), words
+        self.model = self.tokenizer.model
         self._empty()
 
     def _empty(self) -> None:
         self.codes: dict[str, int] = {}
+        self.pretokens: dict[str, list[int]] = {}
         self.ids, self.used = np.empty(1 << 16, np.uint32), 0
         self.starts, self.lengths = np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int64)
 
+    def _encoded(self, pieces: list[str]) -> list[list[int]]:
+        """The ids of each piece."""
+        if len(self.pretokens) > PRETOKENS:
+            self.pretokens.clear()
+        known, merge = self.pretokens, self.model.tokenize
+        cut = pretokens if self.by_words else _PRE_BYTE.findall
+        out: list[list[int] | None] = []
+        whole: list[int] = []
+        for i, p in enumerate(pieces):
+            if _UNCOMMON.search(p):
+                whole.append(i)
+                out.append(None)
+                continue
+            ids: list[int] = []
+            for t in cut(p):
+                own = known.get(t)
+                if own is None:
+                    own = known[t] = [x.id for x in merge(as_symbols(t))]
+                ids += own
+            out.append(ids)
+        for i, e in zip(whole, self.tokenizer.encode_batch_fast([pieces[i] for i in whole], add_special_tokens=False) if whole else (), strict=True):
+            out[i] = e.ids
+        return out
+
     def _learn(self, missing: list[str]) -> None:
-        found = [e.ids for e in self.tokenizer.encode_batch_fast(missing, add_special_tokens=False)]
+        found = self._encoded(missing)
         lengths = np.fromiter(map(len, found), np.int64, len(found))
         at, total = len(self.codes), int(lengths.sum())
         while at + len(found) > len(self.starts):
@@ -72,37 +142,61 @@ class CachedTokenizer:
         self.used += total
         self.codes.update(zip(missing, range(at, at + len(found)), strict=True))
 
-    def _group(self, texts: list[str]) -> Iterable[np.ndarray]:
+    def _codes(self, pieces: list[str]) -> np.ndarray:
+        get = self.codes.get
+        missing = [p for p in pieces if get(p) is None]
+        if missing:
+            self._learn(missing)
+        return np.fromiter(map(self.codes.get, pieces), np.int64, len(pieces))
+
+    def _cut(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Codes of the pieces of texts (no nulls), and where the pieces of each text begin and end."""
+        if self.by_words:
+            cut = pc.ascii_split_whitespace(pc.replace_substring_regex(pc.ascii_lower(texts), _ENDS, r"\1 \2"))
+        else:
+            marked = pc.replace_substring(texts, " ", f"{_SEAM} ")
+            for seam, parts in ((_ENDS_BYTE, rf"\1{_SEAM}\2"), (_LINES, f"\\1{_SEAM}\n{_SEAM}\\2")):
+                marked = pc.replace_substring_regex(marked, seam, parts)
+            cut = pc.split_pattern(marked, _SEAM)
+        ends = cut.offsets.to_numpy().astype(np.int64)
+        ends -= ends[0]
+        coded = cut.flatten().dictionary_encode()
+        names = coded.dictionary.to_numpy(zero_copy_only=False).tolist()
+        return (self._codes(names)[coded.indices.to_numpy(zero_copy_only=False)] if names else np.empty(0, np.int64)), ends
+
+    def _gathered(self, codes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        lengths = self.lengths[codes]
+        upto = np.concatenate([[0], np.cumsum(lengths)])
+        shift = self.starts[codes] - upto[:-1]
+        return self.ids[np.arange(upto[-1]) + np.repeat(shift, lengths)], upto[ends]
+
+    def _group(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         if len(self.codes) > PIECES:
             self._empty()
-        pieces: list[str] = []
-        ends = []
-        for text in texts:
-            pieces += self.pieces(text)
-            ends.append(len(pieces))
-        codes = [*map(self.codes.get, pieces)]
-        if None in codes:
-            self._learn(list(dict.fromkeys(p for p, c in zip(pieces, codes, strict=True) if c is None)))
-            codes = [*map(self.codes.get, pieces)]
-        at = np.array(codes, np.int64)
-        lengths = self.lengths[at]
-        upto = np.concatenate([[0], np.cumsum(lengths)])
-        ids = self.ids[np.arange(upto[-1]) + np.repeat(self.starts[at] - upto[:-1], lengths)]
-        edges = upto[ends]
-        yield from np.split(ids, edges[:-1])
-
-    def encode(self, texts: Iterable[str]) -> Iterable[np.ndarray]:
-        """The ids (uint32) of each text; texts are taken together up to GROUP characters."""
-        group: list[str] = []
-        size = 0
-        for text in texts:
-            group.append(text)
-            size += len(text)
-            if size > GROUP:
-                yield from self._group(group)
-                group, size = [], 0
-        if group:
-            yield from self._group(group)
+        odd = (pc.match_substring(texts, "<|") if self.by_words else pc.match_substring_regex(texts, _BESIDE)).to_numpy(zero_copy_only=False)
+        if not odd.any():
+            return self._gathered(*self._cut(texts))
+        parts: list[np.ndarray] = [np.empty(0, np.uint32)] * len(texts)
+        plain = np.flatnonzero(~odd)
+        if len(plain):
+            ids, ends = self._gathered(*self._cut(texts.take(pa.array(plain))))
+            for k, i in enumerate(plain.tolist()):
+                parts[i] = ids[ends[k] : ends[k + 1]]
+        for i in np.flatnonzero(odd).tolist():
+            text = texts[i].as_py()
+            codes = self._codes_of([p for p in _BLANK.split(text) if p] if self.by_words else _BETWEEN.split(text))
+            parts[i] = self._gathered(codes, np.array([0, len(codes)]))[0]
+        return np.concatenate(parts), np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+
+    def _codes_of(self, pieces: list[str]) -> np.ndarray:
+        self._codes(list(dict.fromkeys(pieces)))
+        return np.fromiter(map(self.codes.get, pieces), np.int64, len(pieces))
+
+    def encode(self, column: pa.Array) -> Iterator[np.ndarray]:
+        """The ids (uint32) of each text of a string column; null counts as empty."""
+        for part in groups(column):
+            ids, ends = self._group(pc.fill_null(part, ""))
+            yield from np.split(ids, ends[1:-1])
 
 
 def cached(path: str, words: bool) -> CachedTokenizer:
