@@ -31,12 +31,17 @@ from pyspark.sql import functions as F
 from .common import maybe_broadcast, scratch_dir, with_columns_only
 from .tokens import cached
 
-BLOCK, LANES, ROW_IDS = 2048, 1024, 32_768
-MAGIC, MAGIC_WIDE = b"TIB1", b"TIB2"
+BLOCK, LANES, ROW_IDS = 2048, 2048, 32_768
+MAGIC, MAGIC_WIDE = b"TIB3", b"TIB4"
 _HEADER = struct.Struct("<4sII")
-_CONTEXTS, _SLOTS, _LEVELS = 2048, 1024, 8
-_TOP, _BOTTOM = np.uint64(1 << 48), np.uint64(1 << 32)
-_ONE = 1 << 16
+_CONTEXTS, _SLOTS, _BITS = 1024, 1024, 3
+_TRUST = 1 << _BITS
+_FULL, _LOW, _ONE = 1 << 48, 1 << 32, 1 << 16
+#: Parts of _ONE that every event has at least, and those dealt by the mix.
+_LEAST = 16
+_SPREAD = np.float32(_ONE - 4 * _LEAST)
+#: How fast events are learned; every so many ids the slots' sums, the weights and the events are renewed.
+_RATE, _FREEZE, _WEIGH, _COUNT = 0.0625, 64, 4, 2
 _FILE = "part int, before bigint, doc_ids array<bigint>, lengths array<bigint>, blocks array<binary>"
 
 
@@ -45,91 +50,83 @@ class BlockError(ValueError):
 
 
 class _Lanes:
-    """Models and coder of many blocks in step; lane i is a block, the first `n` lanes are still running."""
+    """Models of many blocks in step; lane i is a block, the first `n` lanes are still running.
 
-    def __init__(self, lanes: int):
+    The four events of an order's state are one row, kept as a single 16-byte element so that rows move as one.
+    """
+
+    def __init__(self, lanes: int, wide: bool):
         self.lane = np.arange(lanes)
-        self.guess = [np.full(lanes * _CONTEXTS, -1, np.int64) for _ in range(2)]
-        self.trust = [np.zeros(lanes * _CONTEXTS, np.int8) for _ in range(2)]
-        start = np.array([0.25, 0.25, 0.25, 0.25])
-        self.events = [np.tile(start, (lanes * _LEVELS, 1)), np.tile(start, (lanes * _LEVELS, 1)), np.tile(start, (lanes, 1))]
-        self.weights = np.full((lanes, 3), 1 / 3)
-        self.slot_id = np.full(lanes * _SLOTS, -1, np.int64)
-        self.slot_n = np.ones((lanes, _SLOTS), np.int64)
-        self.upto = np.zeros((lanes, _SLOTS + 1), np.int64)
+        self.wide = wide
+        ids = np.int64 if wide else np.int32
+        self.guess = [np.full(lanes * _CONTEXTS, -_TRUST, ids) for _ in range(2)]  # id * _TRUST + trust
+        row = np.array([0.25, 0.25, 0.25, 0.25], np.float32).view(np.complex128)
+        self.events = [np.repeat(row, lanes * _TRUST), np.repeat(row, lanes * _TRUST), np.repeat(row, lanes)]
+        self.weights = [np.full((lanes, 4), 1 / 3, np.float32) for _ in range(3)]
+        self.slot_id, self.slot_n = np.full(lanes * _SLOTS, -1, ids), np.ones(lanes * _SLOTS, np.int32)
+        self.upto = np.zeros((lanes, _SLOTS + 1), np.int32)
         self.p1, self.p2 = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
-        self.low, self.range = np.zeros(lanes, np.uint64), np.full(lanes, np.uint64(2**64 - 1))
-        self.clock = 0
+        self.bounds = np.zeros((5, lanes), np.int64)
+        self.bounds[4] = _ONE
+        self.lanes, self.clock = lanes, 0
 
     def predict(self, n: int) -> None:
-        """What the three orders expect next in the first n lanes."""
-        if self.clock % 32 == 0:
-            counts = self.slot_n[:n]
-            np.cumsum(counts, axis=1, out=self.upto[:n, 1:])
-            self.upto[:n] += self.lane[:n, None] << 32
-            self.upto[:n, 0] = self.lane[:n] << 32
+        """What the three orders expect next in the first n lanes, and the bounds of the four events in _ONE parts."""
+        if self.clock % _FREEZE == 0:
+            np.cumsum(self.slot_n.reshape(self.lanes, _SLOTS)[:n], axis=1, out=self.upto[:n, 1:])
         self.clock += 1
         lane, p1, p2 = self.lane[:n], self.p1[:n], self.p2[:n]
-        at1 = lane * _CONTEXTS + ((p1 * 40503 + (p1 >> 7)) & (_CONTEXTS - 1))
-        at2 = lane * _CONTEXTS + (((p1 * 2654435761 + p2 * 40503 + (p2 >> 5)) >> 9) & (_CONTEXTS - 1))
-        self.at = at2, at1
-        self.told = self.guess[0][at2], self.guess[1][at1]
-        self.rows = lane * _LEVELS + self.trust[0][at2], lane * _LEVELS + self.trust[1][at1], lane
-        self.each = [e[r] for e, r in zip(self.events, self.rows, strict=True)]
-        w = self.weights[:n]
-        self.mixed = w[:, :1] * self.each[0] + w[:, 1:2] * self.each[1] + w[:, 2:] * self.each[2]
-        f = (self.mixed * (_ONE - 64)).astype(np.int64) + 16
-        f[:, 3] += _ONE - f.sum(1)
-        self.freq = f
-        self.cum = np.cumsum(f, axis=1) - f
+        h = p1 * 40503
+        at1 = lane * _CONTEXTS + ((h + (p1 >> 7)) & (_CONTEXTS - 1))
+        at2 = lane * _CONTEXTS + (((p1 * 2654435761 + p2 * 40503) >> 9) & (_CONTEXTS - 1))
+        self.held = held = self.guess[0].take(at2), self.guess[1].take(at1)
+        self.at, self.told, self.trust = (at2, at1), (held[0] >> _BITS, held[1] >> _BITS), (held[0] & (_TRUST - 1), held[1] & (_TRUST - 1))
+        self.rows = lane * _TRUST + self.trust[0], lane * _TRUST + self.trust[1], lane
+        self.each = [self.events[0].take(self.rows[0]).view(np.float32).reshape(n, 4), self.events[1].take(self.rows[1]).view(np.float32).reshape(n, 4), self.events[2][:n].view(np.float32).reshape(n, 4)]
+        mixed = self.weights[0][:n] * self.each[0]
+        mixed += self.weights[1][:n] * self.each[1]
+        mixed += self.weights[2][:n] * self.each[2]
+        self.mixed = mixed
+        b = mixed[:, 0] * _SPREAD
+        self.bounds[1, :n] = b
+        b = b + mixed[:, 1] * _SPREAD
+        self.bounds[2, :n] = b
+        b = b + mixed[:, 2] * _SPREAD
+        self.bounds[3, :n] = b
+        self.bounds[1, :n] += _LEAST
+        self.bounds[2, :n] += 2 * _LEAST
+        self.bounds[3, :n] += 3 * _LEAST
 
     def learn(self, n: int, event: np.ndarray, x: np.ndarray) -> None:
         lane = self.lane[:n]
         cell = lane * 4 + event
-        share = np.stack([e.ravel()[cell] for e in self.each], 1) / self.mixed.ravel()[cell][:, None]
-        for k in range(3):
-            row = self.each[k] * 0.96875
-            row.ravel()[cell] += 0.03125
-            self.events[k][self.rows[k]] = row
-        w = self.weights[:n] * share * 0.98 + 0.02 / 3
-        self.weights[:n] = w / (w[:, 0] + w[:, 1] + w[:, 2])[:, None]
+        if self.clock % _WEIGH == 0:
+            all_in = self.mixed.ravel().take(cell)
+            new = [w[:n, 0] * (e.ravel().take(cell) / all_in * np.float32(0.85)) + np.float32(0.05) for w, e in zip(self.weights, self.each, strict=True)]
+            total = new[0] + new[1] + new[2]
+            for w, x_new in zip(self.weights, new, strict=True):
+                w[:n] = (x_new / total)[:, None]
+        if self.clock % _COUNT == 0:
+            for k in range(3):
+                row = self.each[k] * np.float32(1 - _RATE)
+                flat = row.ravel()
+                flat[cell] += np.float32(_RATE)
+                if k < 2:
+                    self.events[k][self.rows[k]] = flat.view(np.complex128)
+                else:
+                    self.events[k][:n] = flat.view(np.complex128)
+        fresh = x * _TRUST + 1
         for k in range(2):
-            at, hit = self.at[k], self.told[k] == x
-            trust = self.trust[k][at]
-            trust = np.where(hit, np.minimum(trust + 1, _LEVELS - 1), trust >> 1)
-            new = trust == 0
-            self.trust[k][at] = trust + new
-            self.guess[k][at[new]] = x[new]
+            held, trust = self.held[k], self.trust[k]
+            missed = np.where(trust > 1, held - ((trust + 1) >> 1), fresh)
+            self.guess[k][self.at[k]] = np.where(self.told[k] == x, held + (trust < _TRUST - 1), missed)
         flat = lane * _SLOTS + slot_of(x)
-        known = self.slot_id[flat] == x
+        known = self.slot_id.take(flat) == x
         self.slot_id[flat] = x
-        counts = self.slot_n.reshape(-1)
-        counts[flat] = np.where(known, counts[flat] + 24, 12)
+        self.slot_n[flat] = self.slot_n.take(flat) * known + 12 * (1 + known)
         self.p2[:n] = self.p1[:n]
         self.p1[:n] = x
 
-    def narrow(self, n: int, r: np.ndarray, start: np.ndarray, freq: np.ndarray) -> None:
-        self.low[:n] += r * start.astype(np.uint64)
-        self.range[:n] = r * freq.astype(np.uint64)
-
-    def shifts(self, n: int) -> Iterator[np.ndarray]:
-        """Lanes that give off or take in a word now, until none does."""
-        low, size = self.low[:n], self.range[:n]
-        at = self.lane[:n]
-        while True:
-            a, b = low[at], size[at]
-            same = (a ^ (a + b)) < _TOP
-            small = ~same & (b < _BOTTOM)
-            if small.any():
-                b = np.where(small, (~a + np.uint64(1)) & (_BOTTOM - np.uint64(1)), b)
-            go = same | small
-            at, b = at[go], b[go]
-            if not len(at):
-                return
-            yield at
-            low[at] <<= np.uint64(16)
-            size[at] = b << np.uint64(16)
-
 
 def slot_of(x: np.ndarray) -> np.ndarray:
     return ((x * 2654435761) >> 11) & (_SLOTS - 1)
@@ -161,43 +158,70 @@ def encode_blocks(blocks: list[np.ndarray]) -> list[bytes]:
 
 
 def _encode(blocks: list[np.ndarray], wide: bool) -> list[bytes]:
+    """Range coding: a lane's interval is [low, low + size), size at least 2**32 before each id. Words of 16 bits leave from
+    the top of low with a possible carry as a 17th bit, which is added to the words before at the end."""
     order, running = _in_order([len(b) for b in blocks])
     ids = np.zeros((len(running), len(blocks)), np.int64)
     for lane, i in enumerate(order):
         ids[: len(blocks[i]), lane] = blocks[i]
-    m = _Lanes(len(blocks))
-    out, used = np.zeros((len(blocks), 4 * len(running) + 8), np.uint16), np.zeros(len(blocks), np.int64)
-
-    def put(n: int, start: np.ndarray, freq: np.ndarray, r: np.ndarray) -> None:
-        m.narrow(n, r, start, freq)
-        for at in m.shifts(n):
-            out[at, used[at]] = m.low[at] >> np.uint64(48)
+    m = _Lanes(len(blocks), wide)
+    width = (4 if wide else 2) * len(running) + 4
+    out, used = np.zeros(len(blocks) * width, np.uint32), np.arange(len(blocks)) * width
+    low, size = np.zeros(len(blocks), np.int64), np.full(len(blocks), _FULL)
+    ends = m.bounds.ravel()
+
+    def shift(n: int) -> None:
+        at = np.flatnonzero(size[:n] < _LOW)
+        while len(at):
+            x = low.take(at)
+            out[used.take(at)] = x >> 32
             used[at] += 1
+            low[at] = (x & (_LOW - 1)) << 16
+            more = size.take(at) << 16
+            size[at] = more
+            at = at[more < _LOW]
 
     for t, n in enumerate(running.tolist()):
         x = ids[t, :n]
         m.predict(n)
         lane = m.lane[:n]
         slot = slot_of(x)
-        event = np.where(m.told[0] == x, 0, np.where(m.told[1] == x, 1, np.where(m.slot_id[lane * _SLOTS + slot] == x, 2, 3)))
-        put(n, m.cum[lane, event], m.freq[lane, event], m.range[:n] >> np.uint64(16))
-        kept, plain = event == 2, event == 3
-        lo = m.upto[lane, slot]
-        start = np.where(kept, lo - (lane << 32), np.where(plain, x & 0xFFFF, 0))
-        freq = np.where(kept, m.upto[lane, slot + 1] - lo, 1)
-        total = np.where(kept, m.upto[lane, -1] - (lane << 32), np.where(plain, _ONE, 1)).astype(np.uint64)
-        put(n, start, freq, m.range[:n] // total)
-        if wide:  # upper halves of ids coded plainly
-            put(n, np.where(plain, x >> 16, 0), np.ones(n, np.int64), np.where(plain, m.range[:n] >> np.uint64(16), m.range[:n]))
+        event = np.where(m.told[0] == x, 0, np.where(m.told[1] == x, 1, 3 - (m.slot_id.take(lane * _SLOTS + slot) == x)))
+        cell = event * m.lanes + lane
+        start = ends.take(cell)
+        part = size[:n] >> 16
+        low[:n] += part * start
+        size[:n] = part * (ends.take(cell + m.lanes) - start)
+        more = np.flatnonzero(event > 1)
+        if len(more):
+            kept, own, mine = event.take(more) == 2, x.take(more), slot.take(more)
+            row = more * (_SLOTS + 1)
+            flat = m.upto.ravel()
+            first = np.where(kept, flat.take(row + mine), own & 0xFFFF)
+            share = np.where(kept, flat.take(row + mine + 1) - first, 1)
+            part = size.take(more) // np.where(kept, flat.take(row + _SLOTS), _ONE)
+            low[more] += part * first
+            size[more] = part * share
+            if wide:  # upper halves of ids coded plainly
+                shift(n)
+                at, high = more[~kept], own[~kept] >> 16
+                part = size.take(at) >> 16
+                low[at] += part * high
+                size[at] = part
+        shift(n)
         m.learn(n, event, x)
-    for _ in range(4):
-        out[np.arange(len(blocks)), used] = m.low >> np.uint64(48)
-        m.low <<= np.uint64(16)
+    for _ in range(3):
+        out[used] = low >> 32
         used += 1
+        low = (low & (_LOW - 1)) << 16
     done: list[bytes] = [b""] * len(blocks)
+    words = out.reshape(len(blocks), width)
+    for at in range(width - 1, 0, -1):
+        words[:, at - 1] += words[:, at] >> 16
+    words &= 0xFFFF
     for lane, i in enumerate(order):
         raw = np.ascontiguousarray(blocks[i], "<u4").tobytes()
-        done[i] = _HEADER.pack(MAGIC_WIDE if wide else MAGIC, len(blocks[i]), zlib.crc32(raw)) + out[lane, : used[lane]].astype("<u2").tobytes()
+        done[i] = _HEADER.pack(MAGIC_WIDE if wide else MAGIC, len(blocks[i]), zlib.crc32(raw)) + words[lane, : used[lane] - lane * width].astype("<u2").tobytes()
     return done
 
 
@@ -212,45 +236,66 @@ def decode_blocks(blocks: list[bytes]) -> list[np.ndarray]:
 def _decode(blocks: list[bytes], wide: bool) -> list[np.ndarray]:
     heads = [_HEADER.unpack_from(b)[1:] for b in blocks]
     order, running = _in_order([h[0] for h in heads])
-    longest = max(len(b) for b in blocks)
-    words = np.zeros((len(blocks), (longest - _HEADER.size) // 2 + 8), np.uint64)
+    width = (max(len(b) for b in blocks) - _HEADER.size) // 2 + 8
+    words = np.zeros((len(blocks), width), np.int64)
     for lane, i in enumerate(order):
-        w = np.frombuffer(blocks[i], "<u2", offset=_HEADER.size)
+        w = np.frombuffer(blocks[i], "<u2", offset=_HEADER.size, count=(len(blocks[i]) - _HEADER.size) // 2)
         words[lane, : len(w)] = w
-    m = _Lanes(len(blocks))
-    used = np.full(len(blocks), 4, np.int64)
-    code = words[:, 0] << np.uint64(48) | words[:, 1] << np.uint64(32) | words[:, 2] << np.uint64(16) | words[:, 3]
+    m = _Lanes(len(blocks), wide)
+    code, size = words[:, 0] << 32 | words[:, 1] << 16 | words[:, 2], np.full(len(blocks), _FULL)
+    used, last = m.lane * width + 3, m.lane * width + width - 1
+    words = words.ravel()
     ids = np.zeros((len(running), len(blocks)), np.int64)
-    last = words.shape[1] - 1
-
-    def take(n: int, start: np.ndarray, freq: np.ndarray, r: np.ndarray) -> None:
-        m.narrow(n, r, start, freq)
-        for at in m.shifts(n):
-            code[at] = code[at] << np.uint64(16) | words[at, np.minimum(used[at], last)]
-            used[at] += 1
+    ends = m.bounds.ravel()
+
+    def shift(n: int) -> None:
+        at = np.flatnonzero(size[:n] < _LOW)
+        while len(at):
+            place = used.take(at)
+            code[at] = code.take(at) << 16 | words.take(np.minimum(place, last.take(at)))
+            used[at] = place + 1
+            more = size.take(at) << 16
+            size[at] = more
+            at = at[more < _LOW]
 
     for t, n in enumerate(running.tolist()):
         m.predict(n)
         lane = m.lane[:n]
-        r = m.range[:n] >> np.uint64(16)
-        v = np.minimum((code[:n] - m.low[:n]) // r, np.uint64(_ONE - 1)).astype(np.int64)
-        event = (v >= m.cum[:, 1]).astype(np.int64) + (v >= m.cum[:, 2]) + (v >= m.cum[:, 3])
-        take(n, m.cum[lane, event], m.freq[lane, event], r)
-        kept, plain = event == 2, event == 3
-        total = np.where(kept, m.upto[lane, -1] - (lane << 32), np.where(plain, _ONE, 1)).astype(np.uint64)
-        r = m.range[:n] // total
-        v = np.minimum((code[:n] - m.low[:n]) // r, total - np.uint64(1)).astype(np.int64)
-        slot = np.zeros(n, np.int64)
-        k = np.flatnonzero(kept)
-        slot[k] = np.searchsorted(m.upto[:n].ravel(), v[k] + (k << 32), "right") - 1 - k * (_SLOTS + 1)
-        lo = m.upto[lane, slot]
-        take(n, np.where(kept, lo - (lane << 32), np.where(plain, v, 0)), np.where(kept, m.upto[lane, slot + 1] - lo, 1), r)
-        x = np.where(event == 0, m.told[0], np.where(event == 1, m.told[1], np.where(kept, m.slot_id[lane * _SLOTS + slot], v)))
-        if wide:
-            r = np.where(plain, m.range[:n] >> np.uint64(16), m.range[:n])
-            upper = np.where(plain, np.minimum((code[:n] - m.low[:n]) // r, np.uint64(_ONE - 1)).astype(np.int64), 0)
-            x = x | upper << 16
-            take(n, upper, np.ones(n, np.int64), r)
+        part = size[:n] >> 16
+        v = code[:n] // part
+        event = (v >= m.bounds[1, :n]).astype(np.int64) + (v >= m.bounds[2, :n]) + (v >= m.bounds[3, :n])
+        cell = event * m.lanes + lane
+        start = ends.take(cell)
+        code[:n] -= part * start
+        size[:n] = part * (ends.take(cell + m.lanes) - start)
+        x = np.where(event == 0, m.told[0], m.told[1]).astype(np.int64)
+        more = np.flatnonzero(event > 1)
+        if len(more):
+            kept = event.take(more) == 2
+            row = more * (_SLOTS + 1)
+            flat = m.upto.ravel()
+            part = size.take(more) // np.where(kept, flat.take(row + _SLOTS), _ONE)
+            v = np.minimum(code.take(more) // part, np.where(kept, flat.take(row + _SLOTS), _ONE) - 1)
+            slot = np.zeros(len(more), np.int64)
+            step = _SLOTS // 2
+            while step:  # the last slot that begins at v or before
+                slot += step * (flat.take(row + slot + step) <= v)
+                step //= 2
+            first = np.where(kept, flat.take(row + slot), v)
+            share = np.where(kept, flat.take(row + slot + 1) - first, 1)
+            own = np.where(kept, m.slot_id.take(more * _SLOTS + slot), v)
+            code[more] -= part * first
+            size[more] = part * share
+            if wide:
+                shift(n)
+                at = more[~kept]
+                part = size.take(at) >> 16
+                high = np.minimum(code.take(at) // part, _ONE - 1)
+                code[at] -= part * high
+                size[at] = part
+                own[~kept] |= high << 16
+            x[more] = own
+        shift(n)
         ids[t, :n] = x
         m.learn(n, event, x)
     done: list[np.ndarray] = [np.empty(0, np.uint32)] * len(blocks)
@@ -284,8 +329,7 @@ def _write(path: str, end: int):
             return pa.RecordBatch.from_arrays([pa.array(d, t) for d, t in zip(data, types, strict=True)], ["part", "before", "doc_ids", "lengths", "blocks"])
 
         for b in batches:
-            texts = (t.as_py() or "" for t in b.column("text"))
-            for doc, ids in zip(b.column("doc_id").to_pylist(), tokenizer.encode(texts), strict=True):
+            for doc, ids in zip(b.column("doc_id").to_pylist(), tokenizer.encode(b.column("text")), strict=True):
                 rows[-1][0].append(doc)
                 rows[-1][1].append(np.append(ids, np.uint32(end)))
                 size += len(ids) + 1
