@@ -2,17 +2,22 @@
 
 A page is read as a sequence of tokens: one for every element, named by the path of elements it stands in, and one for
 every text block, named by its path and its text. Over the distinct pages of a host each token has an occurrence vector:
-how often it comes on each page. Tokens with equal vectors form an equivalence class; vectors are compared by an additive
-fingerprint, so a host's pages are only ever summed up, never gathered. A class is template if it stands on enough pages
-and on most of the host's pages, or else, for the layouts that only some pages have, if it also holds an element: then its
-texts come exactly where that element comes. Texts of template classes are the fixed parts and are cut; the texts between
-them are the slots. Slots that are navigation, notices, forms, adverts or comments by their element or its names are
-dropped too. Of the others those inside an article or main element are the main content of a page that has such slots;
-on other pages all are. A page without any slot, or whose marked content is all fixed, falls back to its fixed texts.
+how often it comes on each page. Tokens with equal vectors form an equivalence class; vectors are compared by a 64-bit
+fingerprint that is summed up page by page, so a host's pages are never gathered. Every token stands inside the class of
+the nearest element around it that is of another class; tokens of equal vectors are told apart by that outer class, so
+that each class nests in one place of one other, and all of them make a tree. A class is template if the one around it is,
+and if it stands on most of the host's pages or, for the layouts that only some pages have, also holds an element: then
+its texts come exactly where that element comes.
+
+Texts of template classes are the fixed parts and are cut; the texts between them are the slots. Of these, navigation,
+notices, forms, adverts and comments are dropped by their element or its names; inside an article or main element a name
+counts only as a whole, and only on a container. Slots inside an article or main element are the main content of a page
+that has such slots; on other pages all are. A page without any slot, or whose marked content is all fixed, falls back to
+its fixed texts.
 
 Defined results: null html counts as empty and gives an empty text; a null or odd url belongs to the host named by an
-empty string; repeated rows are extracted alike; copies of a page count once; extra columns are ignored; pages are read
-whole.
+empty string; repeated rows are extracted alike; copies of a page count once; extra columns, whatever their names, are
+ignored; an empty table gives no rows; pages are read whole.
 """
 
 from __future__ import annotations
@@ -28,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, maybe_broadcast, mix64, slices, with_columns_only
+from .common import BROADCAST_BYTES, materialize, mix64, slices, with_columns_only
 
 #: A class is template if its tokens stand on this share of a host's pages, in percent, or with an element of equal vector.
 SUPPORT = 50
@@ -48,6 +53,10 @@ _AROUND = {"li": {"ul", "ol"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td"
 _BOILERPLATE = {"head", "nav", "header", "footer", "aside", "form", "button", "dialog", "menu", "fieldset"}
 _BAD_NAMES = {"ad", "ads", "advert", "adverts", "advertisement", "advertising", "banner", "breadcrumb", "breadcrumbs", "comment", "comments", "consent", "cookie", "cookies", "disclaimer", "footer", "gdpr", "header", "masthead", "menu", "modal", "nav", "navbar", "navigation", "newsletter", "notice", "notices", "pagination", "popup", "promo", "promoted", "related", "reply", "replies", "share", "sharing", "sidebar", "social", "sponsor", "sponsored", "subscribe", "toolbar", "widget", "respond", "disqus", "complementary", "contentinfo", "search"}
 _GOOD_NAMES = {"article", "main"}
+#: Elements whose names still count inside an article or main element.
+_CONTAINERS = {"div", "section", "aside", "ul", "ol", "dl", "table", "figure", "details"}
+#: How deep classes nest at most.
+_DEEPEST = 64
 
 
 class Element:
@@ -55,30 +64,36 @@ class Element:
 
     __slots__ = ("tag", "up", "key", "good", "bad")
 
-    def __init__(self, tag: str, names: frozenset[str], up: Element | None):
+    def __init__(self, tag: str, names: frozenset[str], whole: frozenset[str], up: Element | None):
+        """names: the words of its class, id and role; whole: these values as they stand, parted at white space."""
         self.tag, self.up = tag, up
         self.key = xxhash.xxh3_64_intdigest(f"{up.key}/{tag}.{'.'.join(sorted(names))}") >> 1 if up else 0
         inside = bool(up and up.good)
         self.good = inside or tag in _GOOD_NAMES or "main" in names
         heading = tag == "header" and inside
-        self.bad = bool(up and up.bad) or (tag in _BOILERPLATE and not heading) or bool(names & _BAD_NAMES) and tag not in ("html", "body", "article", "main") and not (heading and names <= {"header"})
+        if inside:
+            named = tag in _CONTAINERS and bool(whole & _BAD_NAMES)
+        else:
+            named = bool(names & _BAD_NAMES) and tag not in ("html", "body", "article", "main")
+        self.bad = bool(up and up.bad) or (tag in _BOILERPLATE and not heading) or named
 
 
 class Reader:
     """Reads pages; paths are kept for reuse by one worker."""
 
     def __init__(self) -> None:
-        self.root = Element("", frozenset(), None)
+        self.root = Element("", frozenset(), frozenset(), None)
         self.known: dict[tuple[int, str, str], Element] = {}
 
     def _child(self, up: Element, tag: str, attributes: str) -> Element:
         named = attributes if "=" in attributes and tag not in _INLINE else ""
         found = self.known.get((up.key, tag, named))
         if found is None:
-            names = frozenset(w for m in _ATTRIBUTE.finditer(named) for w in _WORD.findall((m[2] or m[3] or m[4] or "").lower())) if named else frozenset()
+            values = [(m[2] or m[3] or m[4] or "").lower() for m in _ATTRIBUTE.finditer(named)] if named else []
+            names, whole = frozenset(w for v in values for w in _WORD.findall(v)), frozenset(w for v in values for w in v.split())
             if len(self.known) > 100_000:
                 self.known.clear()
-            found = self.known[up.key, tag, named] = Element(tag, names, up)
+            found = self.known[up.key, tag, named] = Element(tag, names, whole, up)
         return found
 
     def read(self, page: str) -> tuple[list[Element], list[tuple[Element, str]]]:
@@ -148,47 +163,84 @@ def _token(e: Element, text: str) -> int:
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """host, token, element, page, part: one row per page and token, page and part being hashes of its html and of that with the count."""
+    """host, token, up (the element around it), element, page, part: one row per page and token, page and part being hashes of its html and of that with the count."""
     reader = Reader()
     for b in slices(batches):
-        hosts, cols, elements = [], [[], [], []], []
+        hosts, cols, elements = [], [[], [], [], []], []
         for host, page in zip(b.column("host").to_pylist(), b.column("html"), strict=True):
             page = page.as_py() or ""
             seen, blocks = reader.read(page)
             mark = xxhash.xxh3_64_intdigest(page.encode("utf-8", "surrogatepass")) >> 1
-            times: dict[tuple[int, bool], int] = defaultdict(int)
+            times: dict[tuple[int, int, bool], int] = defaultdict(int)
             for e in [reader.root, *seen]:
-                times[e.key, True] += 1
+                times[e.key, e.up.key if e.up else 0, True] += 1
             for e, text in blocks:
-                times[_token(e, text), False] += 1
-            for (token, element), n in times.items():
+                times[_token(e, text), e.key, False] += 1
+            for (token, up, element), n in times.items():
                 hosts.append(host)
                 elements.append(element)
-                for c, x in zip(cols, (token, mark, n), strict=True):
+                for c, x in zip(cols, (token, up, mark, n), strict=True):
                     c.append(x)
-        token, mark, n = (np.array(c, np.uint64) for c in cols)
-        part = mix64(mark * np.uint64(3) + n) >> np.uint64(32)
-        arrays = [pa.array(hosts, pa.string()), pa.array(token.view(np.int64)), pa.array(elements, pa.bool_()), pa.array(mark.view(np.int64)), pa.array(part.view(np.int64))]
-        yield pa.RecordBatch.from_arrays(arrays, ["host", "token", "element", "page", "part"])
+        token, up, mark, n = (np.array(c, np.uint64) for c in cols)
+        part = mix64(mark * np.uint64(3) + n)
+        arrays = [pa.array(hosts, pa.string()), *[pa.array(x.view(np.int64)) for x in (token, up)], pa.array(elements, pa.bool_()), *[pa.array(x.view(np.int64)) for x in (mark, part)]]
+        yield pa.RecordBatch.from_arrays(arrays, ["host", "token", "up", "element", "page", "part"])
+
+
+def classes(pages: DataFrame) -> DataFrame:
+    """host, token, element, pages, vector, outer_pages, outer_vector, outer_token (a token of the class around it; null: none): tokens of PAGES distinct pages or more."""
+    counted = pages.mapInArrow(_count, "host string, token bigint, up bigint, element boolean, page bigint, part bigint")
+    once = counted.groupBy("host", "token", "element", "page").agg(F.max("part").alias("part"), F.max("up").alias("up"))  # copies of a page have equal parts
+    tokens = once.groupBy("host", "token", "element").agg(F.count("*").alias("pages"), F.bit_xor("part").alias("vector"), F.max("up").alias("up"))
+    tokens = materialize(tokens.where(F.col("pages") >= PAGES), "tokens")
+    around = tokens.where("element").select("host", F.col("token").alias("at"), F.col("up").alias("next"), F.col("pages").alias("p"), F.col("vector").alias("v"))
+    open_, done = tokens.withColumn("at", F.when(~F.col("element") | (F.col("token") != 0), F.col("up"))), []
+    for _ in range(_DEEPEST):
+        met = open_.join(around, ["host", "at"], "left")
+        same = (F.col("p") == F.col("pages")) & (F.col("v") == F.col("vector")) & (F.col("at") != 0)
+        met = materialize(met.withColumn("same", F.coalesce(same, F.lit(False))), "around")
+        alike = (F.col("p") == F.col("pages")) & (F.col("v") == F.col("vector"))
+        none = F.col("p").isNull() | alike  # it is of the outermost class
+        done.append(met.where("not same").select("host", "token", "element", "pages", "vector", *[F.when(~none, F.col(c)).alias(n) for c, n in (("p", "outer_pages"), ("v", "outer_vector"), ("at", "outer_token"))]))
+        open_ = met.where("same").withColumn("at", F.col("next")).drop("next", "p", "v", "same")
+        if open_.isEmpty():
+            break
+    out = done[0]
+    for d in done[1:]:
+        out = out.union(d)
+    return materialize(out, "classes")
 
 
 def templates(pages: DataFrame) -> DataFrame:
     """host, fixed: the text tokens of each host that are template."""
-    counted = pages.mapInArrow(_count, "host string, token bigint, element boolean, page bigint, part bigint")
-    once = counted.groupBy("host", "token", "element", "page").agg(F.first("part").alias("part"))  # copies of a page have equal parts
-    tokens = once.groupBy("host", "token", "element").agg(F.count("*").alias("pages"), F.sum("part").alias("vector"))
-    tokens = materialize(tokens.where(F.col("pages") >= PAGES), "tokens")
-    whole = tokens.where("element and token = 0").select("host", F.col("pages").alias("all_pages"))
-    texts = tokens.where("not element").join(maybe_broadcast(whole, 100), "host")
-    framed = tokens.where("element").select("host", "pages", "vector").distinct().withColumn("framed", F.lit(True))
-    classes = texts.join(framed, ["host", "pages", "vector"], "left")
-    fixed = classes.where((100 * F.col("pages") >= SUPPORT * F.col("all_pages")) | F.col("framed"))
-    return fixed.groupBy("host").agg(F.collect_list("token").alias("fixed"))
+    every = classes(pages)
+    name = ["host", "pages", "vector", "outer_pages", "outer_vector"]
+    whole = every.where("element and token = 0").select("host", F.col("pages").alias("all_pages"))
+    made = every.groupBy(*name).agg(F.max("element").alias("framed"), F.max("outer_token").alias("outer_token"))
+    made = made.join(whole, "host")
+    own = (100 * F.col("pages") >= SUPPORT * F.col("all_pages")) | F.col("framed")
+    made = materialize(made.withColumn("own", own), "class-list")
+    of = every.where("element").select("host", F.col("token").alias("outer_token"), F.col("outer_pages").alias("next_pages"), F.col("outer_vector").alias("next_vector"))
+    # A class is named by its vector and its outer class; the outer class's own name is found through one of its tokens.
+    linked = made.join(of, ["host", "outer_token"], "left")
+    ok, kept = materialize(linked.where("own and outer_pages is null").select(*name), "template"), []
+    for _ in range(_DEEPEST):
+        kept.append(ok)
+        above = ok.select("host", F.col("pages").alias("a"), F.col("vector").alias("b"), F.col("outer_pages").alias("c"), F.col("outer_vector").alias("d"))
+        inner = linked.alias("x").join(above.alias("y"), (F.col("x.host") == F.col("y.host")) & (F.col("x.outer_pages") == F.col("a")) & (F.col("x.outer_vector") == F.col("b")) & F.col("x.next_pages").eqNullSafe(F.col("c")) & F.col("x.next_vector").eqNullSafe(F.col("d")))
+        ok = materialize(inner.where("own").select(*[F.col(f"x.{n}") for n in name]), "template")
+        if ok.isEmpty():
+            break
+    good = kept[0]
+    for k in kept[1:]:
+        good = good.union(k)
+    texts = every.where("not element").alias("t").join(good.alias("g"), (F.col("t.host") == F.col("g.host")) & (F.col("t.pages") == F.col("g.pages")) & (F.col("t.vector") == F.col("g.vector")) & F.col("t.outer_pages").eqNullSafe(F.col("g.outer_pages")) & F.col("t.outer_vector").eqNullSafe(F.col("g.outer_vector")), "left_semi")
+    return texts.groupBy("host").agg(F.collect_set("token").alias("fixed"))
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     reader = Reader()
-    for b in batches:
+    for b in slices(batches):
         texts = []
         sets: dict[str, frozenset] = {}
         for host, page, fixed in zip(b.column("host").to_pylist(), b.column("html"), b.column("fixed"), strict=True):
@@ -208,5 +260,8 @@ def extract(pages: DataFrame) -> DataFrame:
     host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
     p = p.withColumn("host", host)
     found = materialize(templates(p), "templates").withColumnRenamed("host", "__host")
-    joined = p.join(maybe_broadcast(found, 2000), F.col("host") == F.col("__host"), "left").select("page_id", "url", "html", "host", "fixed")
+    hosts, texts = found.agg(F.count("*"), F.sum(F.size("fixed"))).first()
+    if hosts * 200 + (texts or 0) * 8 <= BROADCAST_BYTES:
+        found = F.broadcast(found)
+    joined = p.join(found, F.col("host") == F.col("__host"), "left").select("page_id", "url", "html", "host", "fixed")
     return joined.mapInArrow(_cut, "page_id bigint, url string, text string, n_chars bigint")
