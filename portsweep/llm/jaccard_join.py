@@ -7,14 +7,17 @@ counted fragment by fragment and summed per pair, so no task ever needs a whole
 
 Documents with equal sets are one class with one representative. Only connectivity is asked for, so a pair inside one
 component needs no test: rounds of single candidates per document (the pivot it shares most prefix n-grams with) link
-large groups at linear cost, then every pair of representatives in a common prefix bucket and still in different
-components is tested. No link between different sets is lost, and no group is expanded into all its pairs.
+large groups at linear cost, as long as they find links and many pairs are left; then every pair of representatives in a
+common prefix bucket and still in different components is tested, so no link between different sets is lost. Pairs left
+then are texts that share rare n-grams without being similar enough; where a corpus has large groups of these (texts put
+together from the same few lines), their number grows with the square of such a group.
 
 The document frequencies come from a sketch of 2**SKETCH_BITS counters over all documents, a table of fixed size. They
 only order the n-grams: results are exact whatever the sketch says. A corpus beyond 10**11 n-grams wants more bits.
 
 Defined results: null text counts as empty; sets of empty texts are empty and link with nothing; repeated rows are in
-one component; of repeated or null doc_ids each row is a document of its own; extra columns are ignored.
+one component; of repeated or null doc_ids each row is a document of its own; extra columns, whatever their names, are ignored
+by near_groups and kept by keep_one; an empty table gives no rows; texts are read whole.
 """
 
 from __future__ import annotations
@@ -27,12 +30,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, materialize, maybe_broadcast, mix64, roll, slices, with_columns_only, with_rows
+from .common import BROADCAST_BYTES, ROW, fresh, materialize, maybe_broadcast, mix64, roll, slices, with_columns_only, with_rows
 from .components import components
 
 SKETCH_BITS = 22
 _RANGES = 16
-_PIVOT_ROUNDS = 1
+#: Rounds of single candidates at most, and for how many pairs left per member another one is made.
+_PIVOT_ROUNDS, _PAIRS = 4, 8
 _HALVES = 1
 
 
@@ -106,7 +110,7 @@ class JaccardJoin:
         """rows: what with_rows gives of doc_id and text."""
         self.width, self.num, self.den, self.bits = width, num, den, sketch_bits
         self.spark = rows.sparkSession
-        d = rows.select(F.col("__row").alias("row"), F.col("doc_id").cast("bigint").alias("doc_id"), "text")
+        d = rows.select(F.col(ROW).alias("row"), F.col("doc_id").cast("bigint").alias("doc_id"), "text")
         self.docs = d.select("row", "text")
         found = materialize(d.select("row", "doc_id", "text").mapInArrow(_profile(width, sketch_bits), "row bigint, doc_id bigint, n bigint, s1 bigint, s2 bigint, part int, counts binary"), "profile")
         self.profile = found.where("counts is null").select("row", "doc_id", "n", "s1", "s2")
@@ -207,10 +211,13 @@ class JaccardJoin:
             best = votes.groupBy("b", "nb").agg(F.max(F.struct("common", "a", "na")).alias("best")).select("best.a", "b", "best.na", "nb")
             new = materialize(self._linked(self._likely(best, prefixes)), "links")
             if new.isEmpty():
-                continue
+                break
             edges = edges.union(new)
             found = materialize(components(edges), "components")
             members = self._open(members.drop("comp"), found)
+            rows, pairs = members.groupBy("token").agg(F.count("*").alias("n")).agg(F.sum("n"), F.sum(F.col("n") * (F.col("n") - 1) / 2)).first()
+            if not rows or pairs <= _PAIRS * rows:
+                break
         # Linked sets share an n-gram that comes so early in both that what follows it can still make up the overlap.
         x, y = members.alias("x"), members.alias("y")
         need = self._need("x.n", "y.n")
@@ -252,5 +259,6 @@ def near_groups(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100)
 def keep_one(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """docs without all but the first document (least doc_id) of each group of linked ones; all columns stay."""
     rows = with_rows(docs)
-    gone = JaccardJoin(rows, width, num, den).result().where("row <> component").select(F.col("row").alias("__gone"))
-    return rows.join(maybe_broadcast(gone, 16), F.col("__row") == F.col("__gone"), "left_anti").drop("__row")
+    (of,) = fresh(rows.columns, "gone")
+    gone = JaccardJoin(rows, width, num, den).result().where("row <> component").select(F.col("row").alias(of))
+    return rows.join(maybe_broadcast(gone, 16), F.col(ROW) == F.col(of), "left_anti").drop(ROW)
