@@ -1,16 +1,17 @@
 """Byte-pair encoding by dynamic programming over prefixes.
 
 The encoding of every prefix of a word ends in one token that is unique, and a token may follow another exactly if the
-pair of them is its own encoding. So one pass over a word stores each prefix's last token: a suffix automaton over the
-vocabulary gives the tokens that end at a position, longest first, and the first one that may follow the last token of the
-prefix before it is stored. Following the stored tokens back from the end gives the ids, the same that merging by rank
+pair of them is its own encoding. So one pass over a word stores each prefix's last token: the automaton of the vocabulary
+with its suffix links (Aho-Corasick) gives the tokens that end at a position, longest first, and the first one that may
+follow the last token of the prefix before it is stored. Following the stored tokens back from the end gives the ids, the same that merging by rank
 gives. Whether a pair stands is decided by undoing merges, youngest first, at the seam, and remembered.
 
 Word ends are part of a word's last symbol. Normalising and cutting into words is done by the vocabulary's own normaliser
-and pre-tokenizer; special tokens in a text stay whole, as in the library. Words are encoded once per worker.
+and pre-tokenizer, for pieces of common characters by the same rules as one pattern; special tokens in a text stay whole,
+as in the library. Words are encoded once per worker.
 
 Defined results: null text counts as empty (no ids, empty decoded text); repeated rows are encoded alike; extra columns
-are ignored; texts are read whole.
+are ignored; an empty table gives no rows; texts are read whole.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import CACHES, with_columns_only
-from .tokens import load
+from .tokens import as_symbols, is_common, load, pretokens
 
 WORDS = 600_000
 _END = "\x00"
@@ -43,6 +44,7 @@ class Bpe:
         model = told["model"]
         self.suffix = model.get("end_of_word_suffix") or ""
         self.library = load(path)
+        self.common = self._plain_by_pattern(told)
         self.special = {t["content"]: t["id"] for t in told["added_tokens"] if t["content"]}
         self._cut = re.compile("|".join(re.escape(s) for s in sorted(self.special, key=len, reverse=True))) if self.special else None
         vocab: dict[str, int] = model["vocab"]
@@ -74,6 +76,14 @@ class Bpe:
         self.words: dict[str, tuple[str, int, str]] = {}
         self.entries: dict[str, tuple[str, int, str]] = {}
 
+    @staticmethod
+    def _plain_by_pattern(told: dict) -> bool:
+        """The vocabulary normalises and cuts as tokens.pretokens() does."""
+        kinds = [n.get("type") for n in (told.get("normalizer") or {}).get("normalizers", [])]
+        steps = [p.get("type") for p in (told.get("pre_tokenizer") or {}).get("pretokenizers", [])]
+        cut = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+        return kinds == ["NFC", "Replace", "Lowercase"] and steps == ["Split", "ByteLevel"] and told["pre_tokenizer"]["pretokenizers"][0]["pattern"].get("Regex") == cut
+
     def stands(self, one: int, two: int) -> bool:
         """The pair is its own encoding: no merge reaches over the seam before both are made."""
         key = one << 32 | two
@@ -174,6 +184,8 @@ class Bpe:
         return found
 
     def _plain(self, text: str) -> list[str]:
+        if self.common and is_common(text):
+            return [as_symbols(w) for w in pretokens(text)]
         normal = self.library.normalizer.normalize_str(text) if self.library.normalizer else text
         return [w for w, _ in self.library.pre_tokenizer.pre_tokenize_str(normal)]
 

@@ -6,7 +6,8 @@ over those patterns estimates each rule's accuracy and the share of good documen
 pattern decides, in place of "all rules must pass".
 
 Defined results: null text counts as empty, an empty text fails the base rule, repeated rows are judged alike, extra
-columns are ignored, an empty table gives no rows. Texts of any length are read whole.
+columns, whatever their names, are ignored by judge and kept by keep_good, an empty table gives no rows. Texts of any length
+are read whole.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, slices, with_columns_only
+from .common import fresh, materialize, slices, with_columns_only
 
 SYMBOLS = "#*$%&|<>"
 WINDOW = 8
@@ -76,7 +77,7 @@ def measure(text: str | None) -> tuple[int, ...]:
 
 def _measure_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = ["doc_id", *FEATURES]
-    for b in slices(batches, 2000):
+    for b in slices(batches):
         rows = [measure(t.as_py()) for t in b.column("text")]
         cols = zip(*rows, strict=True) if rows else [[] for _ in FEATURES]
         yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), *[pa.array(c, pa.int64()) for c in cols]], names)
@@ -171,6 +172,6 @@ def judge(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
 
 def keep_good(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
     """The documents that judge() keeps, with all their columns; a doc_id stays if every row of it was kept."""
-    bad = judge(docs, threshold).where(~F.col("kept")).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_bad")), "left_anti")
-
+    (bad,) = fresh(docs.columns, "bad")
+    rejected = judge(docs, threshold).where(~F.col("kept")).select(F.col("doc_id").alias(bad)).distinct()
+    return docs.join(rejected, F.col("doc_id").cast("bigint").eqNullSafe(F.col(bad)), "left_anti")

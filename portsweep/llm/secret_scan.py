@@ -1,12 +1,13 @@
 """Secret scan with multipart linking, in DataFrame functions only.
 
 Strong kinds are reported wherever they stand. Weak parts (identifiers, opaque tokens, endpoints) are reported only when
-complementary parts stand in the same scope, SCOPE code points around them: an identifier beside a secret part, an opaque
-token beside an identifier, an endpoint beside both. The interval join runs as range windows over the candidates of one
-document, so candidates are never paired up.
+complementary parts stand in the same scope, at most SCOPE code points between the end of one and the start of the other:
+an identifier beside a secret part, an opaque token beside an identifier, an endpoint beside both. The interval join runs
+as two windows over the candidates of one document (how far earlier parts reach, where later ones begin), so candidates
+are never paired up.
 
-Defined results: null text counts as empty and has no spans; repeated rows are reported once each; extra columns are
-ignored; texts are read whole.
+Defined results: null text counts as empty and has no spans; repeated rows are reported once each; extra columns, whatever
+their names, are ignored; an empty table gives no rows; texts are read whole.
 """
 
 from __future__ import annotations
@@ -53,11 +54,13 @@ def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
     found = _found(docs).select(F.monotonically_increasing_id().alias("rid"), "doc_id", F.concat(*[tagged(k, i) for i, k in enumerate(KINDS)]).alias("all"))
     each = found.select("rid", "doc_id", F.explode_outer("all").alias("x")).select("rid", "doc_id", "x.kind", "x.s", "x.e")
     by = W.partitionBy("rid").orderBy("s")
-    near, before, after = by.rangeBetween(-scope, scope), by.rangeBetween(W.unboundedPreceding, 0), by.rangeBetween(0, W.unboundedFollowing)
+    before, after = by.rangeBetween(W.unboundedPreceding, 0), by.rangeBetween(0, W.unboundedFollowing)
     strong = F.col("kind") < 3
 
     def within(*kinds: int) -> Column:
-        return F.count(F.when(F.col("kind").isin(*kinds), 1)).over(near) > 0
+        part = F.col("kind").isin(*kinds)
+        reach, begin = F.max(F.when(part, F.col("e"))).over(before), F.min(F.when(part, F.col("s"))).over(after)
+        return F.coalesce(reach >= F.col("s") - scope, F.lit(False)) | F.coalesce(begin <= F.col("e") + scope, F.lit(False))
 
     seen = each.select(
         "*",
