@@ -13,6 +13,7 @@ import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
 
+from . import brute
 from portsweep.llm import bpe, html_extract, jaccard_join, packing, pii, quality, queries, secret_scan, substring_dedup, token_file, tokens, topk_search
 
 SF = "/root/testdata/sf0.001"
@@ -45,10 +46,6 @@ def _sha(rows):
     return hashlib.sha256(",".join(rows).encode()).hexdigest()
 
 
-def _luhn(d):
-    return sum((x - 9 if x > 9 else x) for i, c in enumerate(reversed(d)) for x in [int(c) * (2 if i % 2 else 1)]) % 10 == 0
-
-
 def test_secrets(docs, texts, empty):
     got = {r.doc_id: r for r in secret_scan.scan(docs).collect()}
     assert len(got) == len(texts)
@@ -69,14 +66,11 @@ def test_weak_parts_need_company(spark):
 
 def test_pii(docs, texts, empty):
     got = {r.doc_id: r for r in pii.scan(docs).collect()}
+    want = brute.disclosed(texts)
+    kinds = ("email", "ip", "card", "phone", "term", "number")
     for i, t in texts.items():
-        out = [(0, m.start(), m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
-        out += [(1, m.start(), m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]
-        for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t):
-            d = re.sub("[^0-9]", "", m[0])
-            out += [(2, m.start(), m.end())] if 16 <= len(d) <= 19 and _luhn(d) else []
-        out += [(3, m.start(), m.end()) for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t) if 8 <= len(re.sub("[^0-9]", "", m[0])) <= 15]
-        assert got[i].base_sha256 == _sha(f"{('email', 'ip', 'card', 'phone')[k]}:{s}:{e}" for k, s, e in sorted(out)), i
+        assert got[i].base_sha256 == _sha(f"{kinds[k]}:{s}:{e}" for k, s, e in brute.personal(t)), i
+        assert got[i].spans == ",".join(f"{kinds[k]}:{s}:{e}" for k, s, e in want[i]), i
     assert pii.scan(empty).count() == 0 and pii.sanitise(empty).count() == 0
 
 
@@ -114,27 +108,8 @@ def test_substring_dedup(docs, texts, empty):
     assert all("".join(substring_dedup.sentences(t)) == t for t in texts.values())
     got = {r.doc_id: r for r in substring_dedup.dedup(docs).collect()}
 
-    def ok(p):
-        return (len(p) >= 3 and sum(map(len, p)) >= 20) or sum(map(len, p)) >= 50
-
-    at = defaultdict(list)
-    for i in sorted(texts):
-        parts = [(k, p.split()) for k, p in enumerate(substring_dedup.sentences(texts[i])) if p.split()]
-        for a in range(len(parts)):
-            for b in range(a + 1, len(parts) + 1):
-                p = [w for _, w in parts[a:b]]
-                if ok(p):
-                    if not ok(p[:-1]) or not ok(p[1:]):
-                        at[tuple(map(tuple, p))].append((i, parts[a][0], parts[b - 1][0] + 1))
-                    if ok(p[:-1]) and ok(p[1:]):
-                        break
-    gone = defaultdict(set)
-    for v in at.values():
-        for i, a, b in v:
-            if (i, a, b) != min(v):
-                gone[i] |= set(range(a, b))
-    for i in texts:
-        assert got[i].n_removed == len(gone[i]), i
+    for i, (left, gone) in brute.stripped(texts).items():
+        assert (got[i].text, got[i].n_removed) == (left, gone), i
     assert not got[9010].text and substring_dedup.dedup(empty).count() == 0
 
 
@@ -147,7 +122,7 @@ def test_repeated_passage_goes_and_clean_text_stays(spark):
 
 
 def test_query_removes_runs_of_short_sentences(spark, tmp_path):
-    rows = [(i, f"Opening {i} stays.\nOne a.\nTwo b.\nThree c.\nClosing {i} stays.") for i in range(3)] + [(9, "One a. Two b. Only two are repeated.")]
+    rows = [(i, f"Opening {i} stays.\nOne a.\nTwo b.\nThree c.\nClosing {i} stays.") for i in range(3)] + [(9, "One a. Two b. Only two short ones are repeated.")]
     spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {r.doc_id: r for r in queries.op3_substring_dedup(spark, str(tmp_path)).collect()}
     assert got[0].text == rows[0][1] and got[9].text == rows[3][1]
@@ -166,33 +141,10 @@ def test_repeated_rows_and_null_ids(spark):
     assert packing.pack(d, WORDS).count() == 4 and token_file.round_trip(d, BYTES).count() == 4
 
 
-def _jaccard(texts, width, num):
-    sets, inv = {}, defaultdict(list)
-    for i, t in texts.items():
-        w = re.findall("[^\x20\x09-\x0d]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t))
-        sets[i] = {tuple(w[k : k + width]) for k in range(max(len(w) - width + 1, 1))} if w else set()
-        for g in sets[i]:
-            inv[g].append(i)
-    both, root = Counter(), {i: i for i in texts}
-
-    def find(x):
-        while root[x] != x:
-            x = root[x]
-        return x
-
-    for ids in inv.values():
-        both.update((min(a, b), max(a, b)) for k, a in enumerate(ids) for b in ids[:k])
-    for (a, b), c in both.items():
-        if 100 * c >= num * (len(sets[a]) + len(sets[b]) - c):
-            x, y = find(a), find(b)
-            root[max(x, y)] = min(x, y)
-    return {i: (len(sets[i]), find(i)) for i in texts}
-
-
 @pytest.mark.parametrize(("width", "num"), [(3, 90), (5, 80)])
 def test_jaccard_join(docs, texts, width, num):
     got = {r[0]: (r[1], r[2]) for r in jaccard_join.near_groups(docs, width, num).collect()}
-    assert got == _jaccard(texts, width, num)
+    assert got == brute.jaccard(texts, width, num)
 
 
 def test_jaccard_chains(spark):
@@ -200,7 +152,7 @@ def test_jaccard_chains(spark):
     base = [f"w{i}" for i in range(120)]
     rows = [(k, " ".join(base[k * 4 :] + [f"x{j}" for j in range(k * 4)])) for k in range(12)]
     d = spark.createDataFrame(rows, "doc_id bigint, text string")
-    want = _jaccard(dict(rows), 3, 90)
+    want = brute.jaccard(dict(rows), 3, 90)
     assert {r[0]: (r[1], r[2]) for r in jaccard_join.near_groups(d, 3, 90).collect()} == want and len({c for _, c in want.values()}) == 1
 
 
@@ -208,9 +160,10 @@ def test_topk(spark):
     d = spark.read.parquet(f"{SF}/embeddings.parquet")
     odd = spark.createDataFrame([(10_000, None, 1), (10_001, [], 1), (10_050, [1.0, None], 1), (10_100, [float("nan")] * 64, 1), (None, [1.0] * 64, 1)], "vec_id bigint, embedding array<float>, label int")
     ties = spark.createDataFrame([(20_000 + i, [0.5] * 64, 1) for i in range(60)], "vec_id bigint, embedding array<float>, label int")
-    every = d.select("vec_id", "embedding", "label").union(odd).union(ties)
+    again = spark.createDataFrame([(7, [3.0] * 64, 1), (7, [-2.0] * 64, 1), (50, [0.25] * 64, 1), (30_000, [9.0], 1)], "vec_id bigint, embedding array<float>, label int")
+    every = d.where("vec_id <> 50").select("vec_id", "embedding", "label").union(odd).union(ties).union(again)
     rows = [r for r in every.collect() if r.vec_id is not None and r.embedding and all(x is not None and np.isfinite(x) for x in r.embedding)]
-    ids, m = np.array([r.vec_id for r in rows]), np.floor(256 * np.array([r.embedding for r in rows], np.float64)).astype(np.int64)
+    ids, m = np.array([r.vec_id for r in rows]), np.floor(256 * np.array([r.embedding + [0.0] * (64 - len(r.embedding)) for r in rows], np.float64)).astype(np.int64)
     got = defaultdict(dict)
     for r in topk_search.search(every).collect():
         got[r.query_id][r.rank] = (r.vec_id, r.score)
@@ -220,6 +173,8 @@ def test_topk(spark):
         s = m @ m[q]
         best = [i for i in np.lexsort((ids, -s)) if i != q][:5]
         assert [got[ids[q]][k + 1] for k in range(5)] == [(ids[i], s[i]) for i in best]
+    twice = spark.createDataFrame([(7, [3.0, 1.0]), (7, [2.0, 5.0]), (50, [1.0, 1.0]), (50, [1.0, 1.0])], "vec_id bigint, embedding array<float>")
+    assert sorted(r[:4] for r in topk_search.search(twice).collect()) == 2 * [] + sorted(2 * [(50, 1, 7, 458752), (50, 2, 7, 262144), (50, 3, 50, 131072)])
     assert topk_search.search(d.where("false")).count() == 0
     assert topk_search.search(d.limit(3).withColumn("vec_id", F.monotonically_increasing_id())).groupBy("query_id").count().first()["count"] == 2
 
@@ -260,6 +215,49 @@ def test_html_minority_layout_keeps_its_text(spark):
     assert _extracted(spark, pages) == [f"Title {i}\n\nText {i}\n\nSecond {i}" for i in range(3)] + [f"Tale {i}" for i in range(2)]
 
 
+def test_html_names_inside_the_article(spark):
+    page = """<body><div class="related-links">Elsewhere</div><article><p class="social">Social life</p><div class="related-work">Related work</div><div class="search-results-analysis">Results</div>
+    <div class="ad">Buy</div><section id="comments">Me too</section></article></body>"""
+    assert _extracted(spark, [page]) == ["Social life\n\nRelated work\n\nResults"]
+
+
+def test_html_classes_nest(spark):
+    """Texts with the vector of an element are fixed only inside a template class, and an empty template changes the result."""
+    pages = [f"<body><article><p>Own {i}</p><div class=tip><p>Tip of the day</p></div></article></body>" if i < 3 else f"<body><article><p>Own {i}</p></article></body>" for i in range(9)]
+    d = spark.createDataFrame([(i, f"http://h.example/{i}", p) for i, p in enumerate(pages)], "page_id bigint, url string, html string")
+    made = html_extract.classes(d.withColumn("host", F.lit("h"))).collect()
+    tip = [r for r in made if r.pages == 3]
+    assert len(tip) == 3 and len({(r.vector, r.outer_pages, r.outer_vector) for r in tip}) == 1 and tip[0].outer_pages == 9
+    assert [len(r.fixed) for r in html_extract.templates(d.withColumn("host", F.lit("h"))).collect()] == [1]
+    assert _extracted(spark, pages) == [f"Own {i}" for i in range(9)]
+    assert "Tip of the day" in _extracted(spark, pages[:2])[0]  # too few pages for a template
+
+
+def test_html_long_and_empty(spark):
+    body = "".join(f"<p>Part {i} of a very long page.</p>" for i in range(20_000))
+    assert _extracted(spark, [f"<article>{body}</article>"])[0].count("\n\n") == 19_999
+    assert html_extract.extract(spark.createDataFrame([], "page_id bigint, url string, html string")).count() == 0
+
+
+def test_empty_tables(empty):
+    assert bpe.digests(empty, WORDS).count() == token_file.round_trip(empty, BYTES).count() == jaccard_join.near_groups(empty).count() == jaccard_join.keep_one(empty).count() == substring_dedup.strip_repeats(empty).count() == 0
+
+
+def test_clashing_columns(spark):
+    """Extra columns keep their values, whatever they are called."""
+    names = ["__k", "__s", "__all", "__of", "of", "gone", "__gone", "__row", "bad", "_bad", "row", "n", "h", "_h", "kind", "base", "__t", "quality", "kept"]
+    t = "The first sentence is here with words. The second one goes on and on. The third one ends it all, by jane@corp.example now."
+    rows = [(1, t, 9, *[f"{c}1" for c in names]), (2, "Something else is told in this text of its own, with quite enough words to be kept as it is, and more of them follow here.", 9, *[f"{c}2" for c in names])]
+    d = spark.createDataFrame(rows, "doc_id bigint, text string, n_chars int, " + ", ".join(f"`{c}` string" for c in names))
+    for f in (pii.sanitise, substring_dedup.strip_repeats, jaccard_join.keep_one, quality.keep_good):
+        got = f(d)
+        assert got.columns == d.columns, f
+        for r in got.collect():
+            assert all(r[c] == f"{c}{r.doc_id}" for c in names), f
+    for f in (pii.scan, secret_scan.scan, quality.judge, jaccard_join.near_groups, substring_dedup.dedup):
+        assert f(d).count() == 2
+
+
 def test_bpe(docs, texts):
     lib = tokens.load(WORDS)
     got = {r.doc_id: r for r in bpe.digests(docs, WORDS).collect()}
@@ -328,32 +326,24 @@ def test_plan_uses_each_piece_once():
             for k, n in parts.items():
                 made[k] += times * n
         assert made == Counter(h)
+    have = [0] * 65
+    for x, n in {5: 1, 9: 2, 20: 1, 31: 1, 44: 1}.items():
+        have[x] = n
+    sums = packing.Sums(have)
+    assert sums.fill(44) == (44,) and sums.fill(18) == (9, 9) and sums.fill(23) == (9, 9, 5) and sums.fill(60) == (31, 20, 9) and sums.fill(10) is None and sums.fill(15) is None
+    have[9] = 1
+    assert sums.fill(18) is None and sums.fill(23) is None and sums.fill(29) == (20, 9)
     assert sum(t for t, _ in packing.plan({40: 2, 10: 4, 14: 2, 30: 2, 34: 2}, 64)) == 5  # 276 ids
 
 
-def _measures(t):
-    w = re.findall("[^\x20\x09-\x0d]+", t)
-    seen, dup, hit = set(), 0, set()
-    for line in t.split("\n"):
-        if re.search("[^\x20\x09-\x0d]", line):
-            dup += line in seen
-            seen.add(line)
-    at = defaultdict(list)
-    for k in range(len(w) - 7):
-        at[tuple(w[k : k + 8])].append(k)
-    for v in at.values():
-        if len(v) > 1:
-            hit |= {k + j for k in v for j in range(8)}
-    return len(w), sum(map(len, w)), sum(t.count(c) for c in "#*$%&|<>"), dup, len(hit)
-
-
 def test_quality(docs, texts, spark, empty):
     got = {r.doc_id: r for r in quality.judge(docs).collect()}
     for i, t in texts.items():
-        m = _measures(t)
+        m = brute.measures(t)
         r = got[i]
         assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == m, i
         assert r.base_failed == (m[0] < 20 or 100 * m[4] > 30 * m[0]) and not (r.base_failed and r.kept)
+    assert {i for i, r in got.items() if r.kept} == brute.kept(texts)
     assert quality.judge(empty).count() == 0 and quality.keep_good(empty).count() == 0
     judged = quality.judge(spark.read.parquet("/root/testdata/sf0.1/documents.parquet")).withColumnRenamed("quality", "p")
     share = judged.where("not base_failed").join(spark.read.parquet("/root/testdata/sf0.1/labels.parquet"), "doc_id").groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("kept")).collect()
