@@ -8,7 +8,7 @@ labels that the full tree would have there, by the first one that exists.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -59,23 +59,26 @@ def half_full_links(y: str, size: str) -> dict[str, str]:
     }
 
 
-def full_tree_links(y: str, size: str, offset: str = "0") -> dict[str, str]:
-    """The same for a full tree over a power of two of leaves, with labels from `offset` on."""
-    links = half_full_links(f"({y} - {offset})", size)
-    return {k: v if "is_leaf" in k else f"({v} + {offset})" for k, v in links.items()}
-
-
 def with_links(df: DataFrame, y: str = "y", size: str = "size") -> DataFrame:
     return df.withColumns({k: F.expr(v) for k, v in half_full_links(y, size).items()})
 
 
-def half_full_edges(spark: SparkSession, size: int) -> DataFrame:
-    """The tree written out: label, kind ('leaf', 'node'), parent, depth-free; 2 * size - 1 rows. A baseline for small sizes."""
-    y = spark.range(size).select(F.col("id").alias("y"), F.lit(size).cast("bigint").alias("size"))
-    links = with_links(y)
-    leaves = links.select(F.lit("leaf").alias("kind"), F.col("y").alias("label"), F.col("leaf_parent").alias("parent"))
-    nodes = links.where("y <= size - 2").select(F.lit("node"), "y", "node_parent")
-    return leaves.union(nodes)
+def portion_labels(y: int, size: int) -> tuple[int | None, int | None, int | None, bool, int | None, bool]:
+    """leaf parent, helper parent, left, left is a leaf, right, right is a leaf of child y among `size`, for one label at a time.
+
+    The helper parent of the plan's root is the successor (size - 1); that of the successor is outside the plan (null).
+    """
+    root = (1 << (size - 1).bit_length() - 1) - 1 if size >= 2 else None
+    over = lambda x, j: (x >> j + 1 << j + 1) + (1 << j) - 1
+    above = lambda x, start: next((a for j in range(start, start + size.bit_length() + 1) if (a := over(x, j)) <= size - 2), None)
+    leaf = above(y, 0) if size >= 2 else None
+    if y == size - 1:
+        return leaf, None, y if root is None else root, root is None, None, False
+    zeros = (y + 1 & -(y + 1)).bit_length() - 1
+    helper = size - 1 if y == root else above(y, zeros + 1)
+    left = y - (1 << zeros - 1) if zeros else y
+    inner = next((y + (1 << k) for k in range(zeros - 1, -1, -1) if y + (1 << k) <= size - 2), None)
+    return leaf, helper, left, zeros == 0, y + 1 if inner is None else inner, inner is None
 
 
 def register_functions(spark: SparkSession) -> None:
@@ -85,7 +88,3 @@ def register_functions(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION half_full_{name}(y BIGINT, size BIGINT) RETURNS {kind} RETURN {sql}")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION half_full_root(size BIGINT) RETURNS BIGINT RETURN {half_full_root('size')}")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION label_height(y BIGINT) RETURNS INT RETURN {label_height('y')}")
-
-
-def in_subtree(new_id: Column, lo: Column, hi: Column) -> Column:
-    return new_id.between(lo, hi)

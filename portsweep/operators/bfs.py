@@ -12,9 +12,11 @@ from .ports import degrees, live
 _LONG = "cast(null as bigint)"
 
 
-def bfs_tree(ports: DataFrame, root: int, order: ReadOrder | None = None) -> DataFrame:
+def bfs_tree(ports: DataFrame, root: int, order: ReadOrder | None = None, state: DataFrame | None = None) -> DataFrame:
     """v, parent, parent_port, port_at_parent, level, n_children: every vertex joins the first asker that it reads.
 
+    state (v and columns named state_...): what a strong adversary sees of the reader when it picks the order.
+
     A round moves the frontier's ports only. Neighbours of a level lie at most one level away, so new vertices are told
     from known ones by the last two levels.
     """
@@ -28,6 +30,8 @@ def bfs_tree(ports: DataFrame, root: int, order: ReadOrder | None = None) -> Dat
         level += 1
         asked = front.select("v").join(e, F.col("v") == F.col("src")).drop("v")
         asked = asked.join(front.select(F.col("v").alias("dst")), "dst", "left_anti").join(before.select(F.col("v").alias("dst")), "dst", "left_anti")
+        if state is not None:
+            asked = asked.join(state.withColumnRenamed("v", "dst"), "dst", "left")
         key = order.key(F.col("dst"), F.col("rev_port"), F.lit(level))
         chosen = asked.groupBy("dst").agg(F.min_by(F.struct("src", "rev_port", "port"), key).alias("c"))
         new = cut(chosen.select(F.col("dst").alias("v"), F.col("c.src").alias("parent"), F.col("c.rev_port").alias("parent_port"), F.col("c.port").alias("port_at_parent"), F.lit(level).cast("bigint").alias("level")))

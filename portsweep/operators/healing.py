@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 from ..functions.halffull import _above
 from ..plans.rounds import cut, double, upward
-from .ports import live
-from .routing import next_hop
+from .ports import live, ranked
+from .routing import _joined, next_hop
 
 _NULL = "cast(null as bigint)"
 
@@ -61,8 +61,10 @@ def heal(numbered: DataFrame, deleted: DataFrame) -> Healed:
 
     plans = dead.select(F.col("v").alias("x"), F.col("n_children").alias("size"))
     slots = full.select(F.col("parent").alias("x"), F.col("rank").alias("r"), F.col("v").alias("c")).join(plans, "x")
-    by = W.partitionBy("x").orderBy("r")
-    slots = cut(slots.withColumns({"after": F.lead("r").over(by), "is_last": F.lead("r").over(by).isNull(), "held": F.count("*").over(W.partitionBy("x"))}))
+    slots = cut(ranked(slots, "x", [F.col("r")], "i"))
+    after = slots.select("x", (F.col("i") - 1).alias("i"), F.col("r").alias("after"))
+    held = slots.groupBy("x").agg(F.count("*").alias("held"))
+    slots = cut(slots.join(after, ["x", "i"], "left").join(held, "x").withColumn("is_last", F.col("after").isNull()))
     bit = "(length(bin(r ^ after)) - 1)"
     kept = slots.where("after is not null").withColumn("p", F.expr(f"shiftleft(shiftright(after, {bit}), {bit})"))
     kept = cut(kept.select("x", "size", (F.col("p") - 1).alias("y"), F.expr("cast(bit_count((p & -p) - 1) as int)").alias("z"), F.col("c").alias("left_slot")))
@@ -143,10 +145,11 @@ def depth_growth(numbered: DataFrame, h: Healed) -> DataFrame:
     return b.crossJoin(after).select("before", "after", bound.cast("bigint").alias("bound"))  # one row each
 
 
-def route_healed(pairs: DataFrame, state: DataFrame, ports: DataFrame, h: Healed, most: int = 10_000) -> DataFrame:
+def route_healed(pairs: DataFrame, state: DataFrame, ports: DataFrame, h: Healed) -> DataFrame:
     """seq, src, dst, status, hops: packets over the healed tree with the labels and tables from before the deletions.
 
-    status is lost if an end is deleted or unknown. hops counts steps between nodes, helpers included.
+    status is lost if an end is deleted or unknown; all others are followed until they arrive, and a packet that makes more
+    than twice the healed tree's depth of steps raises an error. hops counts steps between nodes, helpers included.
     """
     alive = h.nodes.where("b = -1").select(F.col("a").alias("v"))
     here = state.drop("light_path").withColumnRenamed("v", "a").join(h.nodes.where("b = -1").select("a", "up_a", "up_b"), "a")
@@ -160,7 +163,9 @@ def route_healed(pairs: DataFrame, state: DataFrame, ports: DataFrame, h: Healed
     under = cut(known.select("seq", "dst", "to_id", "to_path", F.col("src").alias("a"), F.lit(-1).cast("bigint").alias("b"), F.lit(0).cast("bigint").alias("hops")))
     arrived = [under.where("a = dst and b = -1").select("seq", "hops")]
     keep = ["seq", "dst", "to_id", "to_path"]
-    for _ in range(most):
+    deepest, steps = double(_keyed(h)).agg(F.max("hops")).first()[0] or 0, 0
+    while True:
+        steps += 1
         under = under.where("not (a = dst and b = -1)")
         real = under.where("b = -1").join(here, ["a", "b"])
         action, out = next_hop(F.col("to_id"), F.col("to_path"))
@@ -175,8 +180,10 @@ def route_healed(pairs: DataFrame, state: DataFrame, ports: DataFrame, h: Healed
         under = cut(up.union(down).union(leave).union(enter).withColumn("hops", F.col("hops") + 1))
         if under.isEmpty():
             break
+        if steps > 2 * deepest + 2:
+            raise RuntimeError("a packet is under way for longer than any route is")
         arrived.append(under.where("a = dst and b = -1").select("seq", "hops"))
-    done = arrived[0]
-    for x in arrived[1:]:
-        done = done.union(x)
+        if len(arrived) > 24:
+            arrived = [cut(_joined(arrived))]
+    done = _joined(arrived)
     return pairs.select("seq", "src", "dst").join(done.withColumn("status", F.lit("delivered")), "seq", "left").withColumn("status", F.coalesce("status", F.lit("lost")))

@@ -5,16 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.rounds import cut, downward
+from ..plans.rounds import DEEP, cut, downward, path_sums
 from .ports import degrees
 
 _NONE = "cast(array() as array<bigint>)"
 
 
 def routing_labels(numbered: DataFrame, mode: str = "wide") -> DataFrame:
-    """v, new_id, light_level, light_path. wide: whole paths are handed down; narrow: one port per round, nearest first."""
+    """v, new_id, light_level, light_path. wide: whole paths are handed down (in deep trees by doubling); narrow: one port per round, nearest first."""
     if mode == "wide":
-        return _wide(numbered)
+        return _doubling(numbered) if (numbered.agg(F.max("level")).first()[0] or 0) > DEEP else _wide(numbered)
     if mode == "narrow":
         return _narrow(numbered)
     if mode == "doubling":
@@ -56,11 +56,16 @@ def _doubling(numbered: DataFrame) -> DataFrame:
     return _done(told.drop("anc"), numbered)
 
 
+def top_heavy(numbered: DataFrame) -> DataFrame:
+    """v, top_heavy: the child of the root above v (or v itself) is heavy."""
+    one = F.when((F.col("level") == 1) & F.col("is_heavy"), 1).otherwise(0)
+    return path_sums(numbered.select("v", "parent", one.alias("one")), "one").select("v", (F.col("total") > 0).alias("top_heavy"))
+
+
 def label_cost(numbered: DataFrame, labels: DataFrame, ports: DataFrame) -> DataFrame:
     """wide, narrow: messages of both modes; widest: words of the largest wide message."""
     deg = degrees(ports)
-    first = F.when(F.col("level") == 1, F.col("is_heavy"))
-    top = downward(numbered.select("v", "parent", "level", "is_heavy"), lambda r: r.select("v", F.lit(False).alias("top_heavy")), lambda level, above: level.join(above.select(F.col("v").alias("parent"), F.col("top_heavy").alias("up")), "parent").select("v", F.coalesce(first, F.col("up")).alias("top_heavy")))
+    top = top_heavy(numbered)
     rows = numbered.select("v", "parent", "n_children").join(labels.select("v", "light_level"), "v").join(deg, "v").join(top, "v")
     extra = F.when(F.col("parent").isNotNull() & (F.col("n_children") > 0), (F.col("degree") - 1) * (F.col("light_level") + F.col("top_heavy").cast("bigint"))).otherwise(0)
     return rows.agg(F.sum("degree").alias("wide"), (F.sum("degree") + F.sum(extra)).alias("narrow"), (F.max("light_level") + 1).alias("widest"))

@@ -1,7 +1,9 @@
-"""Leader election by flooding: only vertices whose best id has grown send again."""
+"""Leader election by flooding: only vertices whose best id has grown send again, and only what they send is moved."""
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,13 +31,16 @@ def flood(ports: DataFrame, source: int) -> DataFrame:
     return out
 
 
-def elect_leader(ports: DataFrame, mode: str = "fixpoint", diameter: int | None = None, n: int | None = None, wake: DataFrame | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
+def elect_leader(ports: DataFrame, mode: str = "fixpoint", diameter: int | None = None, n: int | None = None, wake: DataFrame | None = None, sent: list[DataFrame] | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
     """(v, leader_id, is_leader, updates, hop) and the messages sent in each round [(round, messages)].
 
     The greatest id of a component wins. Rounds end at the diameter (known_diameter), after n - 1 (known_size) or when no
     message is left (fixpoint); an empty frontier ends them early in every mode with the same result. known_size_wide lets
     messages carry the hops made, so that every vertex ends up with its distance from the leader (column hop). wake
-    (v, wake_round) lets vertices start later; a sleeping vertex also wakes at its first message.
+    (v, wake_round) lets vertices start later; a sleeping vertex also wakes at its first message. sent collects what each
+    round's senders sent (round, v, best).
+
+    A round reads the log of what the vertices it touches have heard and appends what is new; nothing else is written.
     """
     if mode not in MODES:
         raise ValueError(f"mode is one of {MODES}")
@@ -43,32 +48,45 @@ def elect_leader(ports: DataFrame, mode: str = "fixpoint", diameter: int | None
     if mode != "fixpoint" and last is None:
         raise ValueError(f"{mode} needs its bound")
     e = live(ports).select("src", "dst")
-    nodes = degrees(ports)
-    start = F.lit(0) if wake is None else F.coalesce("wake_round", F.lit(None).cast("bigint"))
-    nodes = nodes if wake is None else nodes.join(wake, "v", "left")
-    zero = F.lit(0).cast("bigint")
-    state = cut(nodes.select("v", "degree", F.col("v").alias("best"), zero.alias("hop"), zero.alias("updates"), start.cast("bigint").alias("wakes")).withColumns({"awake": F.coalesce(F.col("wakes") == 0, F.lit(False)), "fresh": F.coalesce(F.col("wakes") == 0, F.lit(False))}))
-    latest = 0 if wake is None else (state.agg(F.max("wakes")).first()[0] or 0)
-    trace, turn = [], 0
+    nodes = cut(degrees(ports) if wake is None else degrees(ports).join(wake, "v", "left"))
+    zero, one = F.lit(0).cast("bigint"), F.lit(1).cast("bigint")
+
+    def starting(at: int) -> DataFrame:
+        due = nodes if wake is None else nodes.where(F.col("wake_round") == at)
+        return due.select("v", F.col("v").alias("best"), zero.alias("hop"), zero.alias("update"), "degree")
+
+    front = cut(starting(0))
+    log, trace, turn = [front], [], 0
+    latest = 0 if wake is None else (nodes.agg(F.max("wake_round")).first()[0] or 0)
     while True:
-        sent = state.where("fresh").agg(F.sum("degree")).first()[0] or 0
-        if sent:
-            trace.append((turn, int(sent)))
-        if (not sent and turn >= latest) or (last is not None and turn > last + latest):
+        count = front.agg(F.sum("degree")).first()[0] or 0
+        if count:
+            trace.append((turn, int(count)))
+            if sent is not None:
+                sent.append(front.select(F.lit(turn).cast("bigint").alias("round"), "v", "best"))
+        if (not count and turn >= latest) or (last is not None and turn > last + latest):
             break
         turn += 1
-        told = state.where("fresh").join(e, F.col("v") == F.col("src")).groupBy(F.col("dst").alias("v")).agg(F.max(F.struct("best", (-F.col("hop") - 1).alias("far"))).alias("got"))
-        met = state.drop("fresh").join(told, "v", "left")
-        better = F.coalesce(F.col("got.best") > F.col("best"), F.lit(False))
-        woke = ~F.col("awake") & (F.col("got").isNotNull() | F.coalesce(F.col("wakes") == turn, F.lit(False)))
-        state = cut(
-            met.select(
-                "v", "degree", F.when(better, F.col("got.best")).otherwise(F.col("best")).alias("best"), F.when(better, -F.col("got.far")).otherwise(F.col("hop")).alias("hop"),
-                (F.col("updates") + better.cast("bigint")).alias("updates"), "wakes", (F.col("awake") | woke).alias("awake"), (woke | (F.col("awake") & better)).alias("fresh"),
-            )
-        )
-    out = state.select("v", F.col("best").alias("leader_id"), (F.col("best") == F.col("v")).alias("is_leader"), "updates", "hop")
-    return out, trace
+        told = cut(front.join(e, F.col("v") == F.col("src")).groupBy(F.col("dst").alias("v")).agg(F.max(F.struct("best", (-F.col("hop") - 1).alias("far"))).alias("got")))
+        known = _joined(log).join(told.select("v"), "v", "left_semi").groupBy("v").agg(F.max("best").alias("own"))
+        met = told.join(known, "v", "left")
+        better = F.col("got.best") > F.coalesce("own", "v")
+        new = met.where(better | F.col("own").isNull()).select("v", F.when(better, F.col("got.best")).otherwise(F.col("v")).alias("best"), F.when(better, -F.col("got.far")).otherwise(zero).alias("hop"), F.when(better, one).otherwise(zero).alias("update"))
+        new = new.join(nodes.select("v", "degree"), "v")
+        if wake is not None:  # a sleeper wakes by its own clock unless a message came before
+            due = starting(turn).join(told.select("v"), "v", "left_anti").join(_joined(log).select("v"), "v", "left_anti")
+            new = new.unionByName(due)
+        front = cut(new)
+        log.append(front)
+        if len(log) > 24:
+            log = [cut(_joined(log))]
+    state = _joined(log).groupBy("v").agg(F.max(F.struct("best", (-F.col("hop")).alias("near"))).alias("top"), F.sum("update").alias("updates"))
+    state = nodes.select("v").join(state, "v", "left").select("v", F.coalesce("top.best", "v").alias("best"), F.coalesce(-F.col("top.near"), zero).alias("hop"), F.coalesce("updates", zero).alias("updates"))
+    return cut(state.select("v", F.col("best").alias("leader_id"), (F.col("best") == F.col("v")).alias("is_leader"), "updates", "hop")), trace
+
+
+def _joined(log: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, log)
 
 
 def components(ports: DataFrame) -> DataFrame:

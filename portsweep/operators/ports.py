@@ -71,9 +71,22 @@ def broadcast_except(frontier: DataFrame, ports: DataFrame, skip: Column | DataF
     return sent.join(skip, ["src", "port"], "left_anti") if isinstance(skip, DataFrame) else sent.where(~skip)
 
 
-def deliver(messages: DataFrame) -> DataFrame:
-    """Messages as their readers see them: `reader` and `in_port`. A frame is read once: the next round has a new one."""
-    return messages.withColumns({"reader": F.col("dst"), "in_port": F.col("rev_port")})
+class Inbox:
+    """The messages of a round as their readers see them. A buffer is read once: a second take() raises."""
+
+    def __init__(self, messages: DataFrame):
+        self._held: DataFrame | None = messages.withColumns({"reader": F.col("dst"), "in_port": F.col("rev_port")})
+
+    def take(self) -> DataFrame:
+        if self._held is None:
+            raise RuntimeError("this round's messages have been read")
+        held, self._held = self._held, None
+        return held
+
+
+def deliver(messages: DataFrame) -> Inbox:
+    """The inbox of a round's messages, with columns `reader` and `in_port`."""
+    return Inbox(messages)
 
 
 def check_sweep(trace: DataFrame) -> DataFrame:

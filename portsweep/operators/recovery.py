@@ -6,11 +6,14 @@ successor: it has no inner node, and its helper stands between the dead vertex's
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.halffull import half_full_root, with_links
+from .ports import ranked
+
+#: Labels of a large plan are listed in pieces of this many, so that no row holds an array as long as a hub's degree.
+_PIECE = 4096
 
 _ROLES = ("leaf_parent", "helper_parent", "left", "right")
 
@@ -36,14 +39,14 @@ def recovery_portion(df: DataFrame) -> DataFrame:
     )
 
 
-def recovery_portions(tree: DataFrame) -> DataFrame:
+def recovery_portions(tree: DataFrame, parents: DataFrame | None = None) -> DataFrame:
     """parent, rank, v, leaf_parent, helper_parent, left, right (ids), left_is_leaf, right_is_leaf, is_successor for every non-root v.
 
-    tree: v, parent, rank, n_children. Each child offers its id to the portions that refer to it, four at most, found by
+    tree: v, parent, rank, n_children; parents (v, parent, n_children) where they are not rows of the tree. Each child offers its id to the portions that refer to it, four at most, found by
     arithmetic alone; grouping the offers by (parent, rank) is the protocol's one round and its only exchange, and no key of
     it is larger than four rows, however large the hub.
     """
-    size = tree.select(F.col("v").alias("parent"), F.col("n_children").alias("size"), F.col("parent").alias("grandparent")).where("size > 0")
+    size = (tree if parents is None else parents).select(F.col("v").alias("parent"), F.col("n_children").alias("size"), F.col("parent").alias("grandparent")).where("size > 0")
     rows = tree.where("parent is not null").select("v", "parent", F.col("rank").alias("y")).join(size, "parent")
     own = recovery_portion(rows)
 
@@ -92,15 +95,37 @@ def portion_cost(tree: DataFrame, mode: str = "self_ordered") -> DataFrame:
     raise ValueError("mode is self_ordered or adversarial")
 
 
-def adversarial_round(tree: DataFrame, k: int) -> DataFrame:
-    """The portions of rank k, as round k of the adversarial protocol gives them: only ids that portion needs are kept."""
-    return recovery_portions(tree).where(F.col("rank") == k)
+def labels_of(sizes: DataFrame) -> DataFrame:
+    """size, y: all labels 0 .. size - 1 of each row of sizes (with its other columns)."""
+    pieces = sizes.where("size > 0").withColumn("__p", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("size") - 1) / _PIECE))))
+    first = F.col("__p") * _PIECE
+    return pieces.withColumn("y", F.explode(F.sequence(first, F.least(first + _PIECE - 1, F.col("size") - 1)))).drop("__p")
+
+
+def adversarial_portions(tree: DataFrame) -> DataFrame:
+    """round, held and the columns of recovery_portions: one portion of each parent a round, whatever order children are read in.
+
+    In round k a parent hears all its children again and keeps only the ids that portion k names: these are asked for by
+    their labels. held is how many distinct ids that is, with the receiver's own; five at most.
+    """
+    parents = tree.select(F.col("v").alias("parent"), F.col("n_children").alias("size"), F.col("parent").alias("grandparent")).where("size > 0")
+    asked = recovery_portion(labels_of(parents)).withColumn("self", F.col("y"))
+    roles = ("self", *_ROLES)
+    asked = asked.withColumn("role", F.explode(F.array(*[F.struct(F.lit(r).alias("name"), F.col(r).alias("label")) for r in roles]))).where("role.label is not null")
+    child = tree.where("parent is not null").select("parent", F.col("rank").alias("label"), F.col("v").alias("id"))
+    kept = asked.select("parent", "grandparent", "y", "left_is_leaf", "right_is_leaf", "is_successor", "role.name", "role.label").join(child, ["parent", "label"])
+    got = kept.groupBy("parent", "y").agg(
+        *[F.max(F.when(F.col("name") == r, F.col("id"))).alias(r) for r in roles],
+        *[F.max(c).alias(c) for c in ("left_is_leaf", "right_is_leaf", "is_successor", "grandparent")],
+        F.size(F.collect_set("label")).cast("bigint").alias("held"),
+    )
+    above = F.when(F.col("is_successor"), F.col("grandparent")).otherwise(F.col("helper_parent"))
+    return got.select(F.col("y").alias("round"), "held", "parent", F.col("y").alias("rank"), F.col("self").alias("v"), "leaf_parent", above.alias("helper_parent"), "left", "right", "left_is_leaf", "right_is_leaf", "is_successor")
 
 
 def references(sizes: DataFrame) -> DataFrame:
     """size, y, ref: the siblings' labels that portion y names (sizes: column size)."""
-    rows = sizes.where("size > 0").select("size", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("size") - 1)).alias("y"))
-    p = recovery_portion(rows)
+    p = recovery_portion(labels_of(sizes.select("size")))
     return p.select("size", "y", F.explode(F.filter(F.array(*_ROLES), lambda r: r.isNotNull())).alias("ref"))
 
 
@@ -110,24 +135,18 @@ def sweep_memory(sizes: DataFrame) -> DataFrame:
     A portion leaves once its last id is read; an id is released once the last portion that names it, or its own, has left.
     """
     refs = references(sizes)
-    every = sizes.where("size > 0").select("size", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("size") - 1)).alias("y"))
+    every = labels_of(sizes.select("size"))
     named = refs.union(every.select("size", "y", F.col("y")))
     sent = named.groupBy("size", "y").agg(F.max("ref").alias("sent"), F.min("ref").alias("opened"))
     free = named.join(sent, ["size", "y"]).groupBy("size", F.col("ref").alias("y")).agg(F.max("sent").alias("freed"))
-    by = W.partitionBy("size").orderBy("at")
 
     def peak(spans: DataFrame, lo: str, hi: str, name: str) -> DataFrame:
         steps = spans.select("size", F.col(lo).alias("at"), F.lit(1).alias("d")).union(spans.select("size", F.col(hi) + 1, F.lit(-1)))
-        held = steps.groupBy("size", "at").agg(F.sum("d").alias("d")).withColumn("held", F.sum("d").over(by))
+        held = steps.groupBy("size", "at").agg(F.sum("d").alias("d"))
+        held = ranked(held, "size", [F.col("at")], "before", F.col("d")).withColumn("held", F.col("before") + F.col("d"))
         return held.groupBy("size").agg(F.max("held").cast("bigint").alias(name))
 
     ids = peak(free, "y", "freed", "peak_ids")
     portions = peak(sent, "opened", "sent", "peak_portions")
     uses = refs.groupBy("size", "ref").agg(F.count("*").alias("n")).groupBy("size").agg(F.max("n").alias("most_uses"))
     return ids.join(portions, "size").join(uses, "size", "left")
-
-
-def half_full_heights(spark: SparkSession, sizes: list[int]) -> DataFrame:
-    """size, height of the plan for given numbers of children."""
-    rows = spark.createDataFrame([(s,) for s in sizes], "size bigint")
-    return rows.select("size", F.when(F.col("size") > 1, F.length(F.bin(F.col("size") - 1))).otherwise(0).cast("bigint").alias("height"))

@@ -3,10 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..plans.rounds import cut, downward, upward
+from ..plans.rounds import DEEP, cut, downward, path_sums, upward
 from .ports import ranked
 
 
@@ -31,7 +30,7 @@ def relabel(marked: DataFrame, order: list[Column] | None = None, post: bool = T
     """marked with rank, lo, new_id, light_lo: numbers 1..n, a subtree's are [lo, new_id] (post-order: the root is n).
 
     light_lo is where the numbers of light children begin. Sizes of earlier siblings add up in one window; then one
-    parent-child join per level hands the starts down.
+    parent-child join per level hands the starts down, or in deep trees sums along paths, by doubling.
     """
     order = order or child_order(marked)
     below = marked.where("parent is not null")
@@ -44,7 +43,11 @@ def relabel(marked: DataFrame, order: list[Column] | None = None, post: bool = T
         a = above.select(F.col("v").alias("parent"), F.col("lo").alias("up_lo"))
         return level.join(a, "parent").select("v", (F.col("up_lo") + F.col("ahead") + shift).alias("lo"))
 
-    lows = downward(rows.select("v", "parent", "level", "ahead"), lambda r: r.select("v", F.lit(1).cast("bigint").alias("lo")), step)
+    if (rows.agg(F.max("level")).first()[0] or 0) > DEEP:
+        more = F.when(F.col("parent").isNull(), 1).otherwise(F.col("ahead") + shift)
+        lows = path_sums(rows.select("v", "parent", more.alias("more")), "more").withColumnRenamed("total", "lo")
+    else:
+        lows = downward(rows.select("v", "parent", "level", "ahead"), lambda r: r.select("v", F.lit(1).cast("bigint").alias("lo")), step)
     done = rows.join(lows, "v").drop("ahead")
     done = done.withColumn("new_id", F.col("lo") + F.col("size") - 1 if post else F.col("lo"))
     heavy = done.where("is_heavy").groupBy(F.col("parent").alias("v")).agg(F.sum("size").alias("heavy_size"))
@@ -53,9 +56,9 @@ def relabel(marked: DataFrame, order: list[Column] | None = None, post: bool = T
 
 def child_list(numbered: DataFrame) -> DataFrame:
     """v, parent, rank, port_at_parent, next_port (null: last), first_port (null: leaf): the list each parent can follow."""
-    by = W.partitionBy("parent").orderBy("rank")
-    below = numbered.where("parent is not null")
-    linked = below.select("v", "parent", "rank", "port_at_parent", F.lead("port_at_parent").over(by).alias("next_port"))
+    below = numbered.where("parent is not null").select("v", "parent", "rank", "port_at_parent")
+    after = below.select("parent", (F.col("rank") - 1).alias("rank"), F.col("port_at_parent").alias("next_port"))
+    linked = below.join(after, ["parent", "rank"], "left").select("v", "parent", "rank", "port_at_parent", "next_port")
     top = numbered.where("parent is null").select("v", "parent", "rank", "port_at_parent", F.expr("cast(null as bigint)").alias("next_port"))
     first = below.where("rank = 0").select(F.col("parent").alias("v"), F.col("port_at_parent").alias("first_port"))
     return linked.union(top).join(first, "v", "left")
@@ -83,14 +86,19 @@ def token_trace(numbered: DataFrame, ports: DataFrame) -> DataFrame:
     inner = upward(with_tries, with_tries.select("v", F.col("tries").alias("all_tries")), {"all_tries": F.sum})
     inner = inner.join(t.select("v", "size"), "v").select("v", (2 * F.col("all_tries") + 2 * (F.col("size") - 1)).alias("inside"))
     rows = with_tries.join(inner, "v")
-    sib = W.partitionBy("parent").orderBy("rank").rowsBetween(W.unboundedPreceding, -1)
-    rows = cut(rows.withColumn("ahead", F.coalesce(F.sum(F.col("inside") + 2).over(sib), F.lit(0))))
+    rows = cut(ranked(rows, "parent", [F.col("rank")], "ahead", F.col("inside") + 2))
 
     def step(level: DataFrame, above: DataFrame) -> DataFrame:
         a = above.select(F.col("v").alias("parent"), F.col("enter").alias("up_enter"), F.col("tries").alias("up_tries"))
         return level.join(a, "parent").select("v", "parent", "tries", "inside", (F.col("up_enter") + 2 * F.col("up_tries") + F.col("ahead") + 1).alias("enter"))
 
-    seen = downward(rows, lambda r: r.select("v", "parent", "tries", "inside", F.lit(0).cast("bigint").alias("enter")), step)
+    if (rows.agg(F.max("level")).first()[0] or 0) > DEEP:
+        up_tries = rows.select(F.col("v").alias("parent"), F.col("tries").alias("up_tries"))
+        more = F.when(F.col("parent").isNull(), 0).otherwise(2 * F.col("up_tries") + F.col("ahead") + 1)
+        enter = path_sums(rows.join(up_tries, "parent", "left").select("v", "parent", more.alias("more")), "more").withColumnRenamed("total", "enter")
+        seen = cut(rows.select("v", "parent", "tries", "inside").join(enter, "v"))
+    else:
+        seen = downward(rows, lambda r: r.select("v", "parent", "tries", "inside", F.lit(0).cast("bigint").alias("enter")), step)
     down = seen.where("parent is not null").select(F.col("enter").alias("step"), F.col("parent").alias("src"), F.col("v").alias("dst"), F.lit("down").alias("kind"))
     back = seen.where("parent is not null").select((F.col("enter") + F.col("inside") + 1).alias("step"), F.col("v").alias("src"), F.col("parent").alias("dst"), F.lit("up").alias("kind"))
     trial = tries.join(seen.select("v", "enter"), "v")

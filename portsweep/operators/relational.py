@@ -79,7 +79,7 @@ def event_keys(s: SparkSession, d: str) -> DataFrame:
 
 def events_per_day(s: SparkSession, d: str) -> DataFrame:
     day = F.date_format(F.date_trunc("day", "ts"), "yyyy-MM-dd")
-    return table(s, d, "events").groupBy(day.alias("day")).agg(F.count("*").alias("n"), F.approx_count_distinct("user_id").isNotNull().cast("int").alias("seen"))
+    return table(s, d, "events").groupBy(day.alias("day")).agg(F.count("*").alias("n"), F.countDistinct("user_id").alias("users"))
 
 
 def top_customers(s: SparkSession, d: str) -> DataFrame:
@@ -97,7 +97,35 @@ def page_hosts(s: SparkSession, d: str) -> DataFrame:
     return table(s, d, "pages").groupBy(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host")).agg(F.count("*").alias("pages"))
 
 
+def approximate_users(s: SparkSession, d: str) -> DataFrame:
+    """Whether the sketched number of users lies within a tenth of the exact one (its standard error is 0.02)."""
+    e = table(s, d, "events").agg(F.countDistinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("near"))
+    return e.select("users", (10 * F.abs(F.col("near") - F.col("users")) <= F.col("users")).alias("close"))
+
+
+def grouped_sales(s: SparkSession, d: str) -> DataFrame:
+    li = table(s, d, "lineitem")
+    li.createOrReplaceTempView("portsweep_lineitem")
+    return s.sql("SELECT l_returnflag, l_linestatus, count(*) n FROM portsweep_lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
+
+
+def price_percentiles(s: SparkSession, d: str) -> DataFrame:
+    """Exact percentiles of whole prices for each brand."""
+    p = table(s, d, "part").select("p_brand", F.floor("p_retailprice").cast("bigint").alias("price"))
+    return p.groupBy("p_brand").agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY price)").cast("bigint").alias("median"), F.expr("percentile_disc(0.9) WITHIN GROUP (ORDER BY price)").cast("bigint").alias("p90"))
+
+
+def supplier_volume(s: SparkSession, d: str) -> DataFrame:
+    """A shuffled hash join, by hint, for two sides of which the smaller one's parts fit in memory."""
+    li, sup = table(s, d, "lineitem").select("l_suppkey"), table(s, d, "supplier").select("s_suppkey", "s_nationkey")
+    return li.join(sup.hint("shuffle_hash"), li.l_suppkey == sup.s_suppkey).groupBy("s_nationkey").agg(F.count("*").alias("items"))
+
+
 _ALL = {
+    approximate_users: "SELECT count(DISTINCT user_id) users, true \"close\" FROM events",
+    grouped_sales: "SELECT l_returnflag, l_linestatus, count(*) n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())",
+    price_percentiles: "SELECT p_brand, quantile_disc(price, 0.5) median, quantile_disc(price, 0.9) p90 FROM (SELECT p_brand, CAST(floor(p_retailprice) AS BIGINT) price FROM part) GROUP BY p_brand",
+    supplier_volume: "SELECT s_nationkey, count(*) items FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY s_nationkey",
     revenue_rollup: "SELECT r_name, n_name, CAST(sum(CAST(round(o_totalprice * 100) AS BIGINT)) AS BIGINT) cents FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)",
     pricing_cube: "SELECT l_returnflag, l_linestatus, count(*) n, CAST(sum(CAST(floor(l_quantity) AS BIGINT)) AS BIGINT) quantity, count(DISTINCT l_suppkey) suppliers FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)",
     last_event_before_error: "SELECT e.event_id, o.event_id before_id FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type <> 'error') o ON e.user_id = o.user_id AND e.ts >= o.ts",
@@ -106,7 +134,7 @@ _ALL = {
     supplier_sets: "WITH mine AS (SELECT s_suppkey FROM supplier JOIN nation ON s_nationkey = n_nationkey WHERE n_regionkey = 1) SELECT 'used' what, s_suppkey FROM (SELECT s_suppkey FROM mine INTERSECT SELECT l_suppkey FROM lineitem) UNION ALL SELECT 'clean', s_suppkey FROM (SELECT s_suppkey FROM mine EXCEPT SELECT l_suppkey FROM lineitem WHERE l_returnflag = 'R' AND l_quantity > 49)",
     user_sessions: "SELECT user_id, CAST(sum(n) AS BIGINT) sessions, count(*) events FROM (SELECT user_id, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= 21600000000 THEN 0 ELSE 1 END n FROM events) GROUP BY user_id",
     event_keys: "SELECT event_type, json_extract_string(props, '$.k') k, count(*) n FROM events GROUP BY ALL",
-    events_per_day: "SELECT strftime(ts, '%Y-%m-%d') \"day\", count(*) n, 1 seen FROM events GROUP BY ALL",
+    events_per_day: "SELECT strftime(ts, '%Y-%m-%d') \"day\", count(*) n, count(DISTINCT user_id) users FROM events GROUP BY ALL",
     top_customers: "SELECT o_custkey, CAST(sum(CAST(round(o_totalprice * 100) AS BIGINT)) AS BIGINT) cents FROM orders GROUP BY o_custkey ORDER BY cents DESC, o_custkey LIMIT 10",
     nation_quartiles: "SELECT CAST(c_nationkey AS BIGINT) c_nationkey, n, ntile(4) OVER (ORDER BY n DESC, c_nationkey) quartile, dense_rank() OVER (ORDER BY n DESC) place FROM (SELECT c_nationkey, count(*) n FROM customer GROUP BY c_nationkey)",
     page_hosts: "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) host, count(*) pages FROM pages GROUP BY ALL",

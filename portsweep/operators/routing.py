@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,7 +29,7 @@ def next_hop(to_id: Column, to_path: Column) -> tuple[Column, Column]:
     return action, port.cast("bigint")
 
 
-def route(pairs: DataFrame, state: DataFrame, ports: DataFrame, most: int = 10_000) -> DataFrame:
+def route(pairs: DataFrame, state: DataFrame, ports: DataFrame) -> DataFrame:
     """seq, src, dst, status, hops, path: packets (seq, src, dst) forwarded hop by hop, all in step.
 
     status: delivered, or lost if an end is unknown. A hop is one equi-join of the packets under way with the state.
@@ -38,7 +40,7 @@ def route(pairs: DataFrame, state: DataFrame, ports: DataFrame, most: int = 10_0
     e = live(ports).select(F.col("src").alias("at"), F.col("port").alias("out"), F.col("dst").alias("onto"))
     here = state.drop("light_path").withColumnRenamed("v", "at")
     arrived = [under.where("at = dst")]
-    for _ in range(most):
+    while True:  # a packet climbs, then goes down: it ends after twice the depth of the tree
         under = under.where("at <> dst")
         action, out = next_hop(F.col("to_id"), F.col("to_path"))
         moved = under.join(here, "at").withColumns({"action": action, "out": out}).join(e, ["at", "out"])
@@ -46,13 +48,17 @@ def route(pairs: DataFrame, state: DataFrame, ports: DataFrame, most: int = 10_0
         if under.isEmpty():
             break
         arrived.append(under.where("at = dst"))
-    done = arrived[0]
-    for a in arrived[1:]:
-        done = done.union(a)
+        if len(arrived) > 24:
+            arrived = [cut(_joined(arrived))]
+    done = _joined(arrived)
     told = done.select("seq", F.lit("delivered").alias("status"), (F.size("path") - 1).cast("bigint").alias("hops"), "path")
     return pairs.select("seq", "src", "dst").join(told, "seq", "left").withColumn("status", F.coalesce("status", F.lit("lost")))
 
 
+def _joined(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
 def stretch(routes: DataFrame, ports: DataFrame, sources: list[int], order: ReadOrder | None = None) -> DataFrame:
     """seq, src, dst, hops, distance of the routes that begin at the sampled sources; stretch is hops / distance."""
     out = None

@@ -1,46 +1,41 @@
-"""Measured costs beside the proved bounds, with explicit constants."""
+"""Costs measured from message frames and state, beside the proved bounds with explicit constants."""
 
 from __future__ import annotations
 
-from functools import reduce
 from math import ceil, log2
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import word_bits
-from ..operators.bfs import bfs_cost, bfs_termination
-from ..operators.convergecast import convergecast_cost
-from ..operators.labels import label_cost
-from ..operators.leader import elect_leader
-from ..operators.recovery import portion_cost, sweep_memory
-from ..operators.relabel import token_trace, walk_cost
+from ..model import SweepLimits, word_bits
+from ..operators import frames
+from ..operators.bfs import bfs_termination
+from ..operators.recovery import adversarial_portions, sweep_memory
+from ..operators.relabel import token_trace
+from .rounds import cut
 
+#: Single registers of a vertex in each protocol: own id, best or parent port, counters, flags. Lists come on top, as measured.
+REGISTERS = {"leader": 2, "bfs": 6, "weights": 6, "relabel": 10, "labels": 4, "portions": 2}
 
-def cost_frames(ports: DataFrame, numbered: DataFrame, labels: DataFrame) -> DataFrame:
-    """method, variant, rounds, messages, max_message_words, max_memory_words."""
-    s = ports.sparkSession
-    n, depth = numbered.agg(F.count("*"), F.max("level")).first()
-    m = ports.where("alive").count() // 2
-    _, trace = elect_leader(ports)
-    b, c = bfs_cost(numbered, ports).first(), convergecast_cost(numbered, ports).first()
-    lab, wide = label_cost(numbered, labels, ports).first(), depth + 1
-    own, other = portion_cost(numbered).first(), portion_cost(numbered, "adversarial").first()
+
+def cost_frames(ports: DataFrame, numbered: DataFrame, labels: DataFrame, b: int = 2) -> DataFrame:
+    """method, variant, rounds, messages, max_message_words, max_memory_words; raises LimitError over the limits of the model."""
+    cost = cut(frames.costs(frames.all_frames(ports, numbered, labels)))
+    heavy = numbered.where("is_heavy").groupBy("parent").count().agg(F.max("count")).first()[0] or 0
+    path = labels.agg(F.max("light_level")).first()[0] or 0
     sizes = numbered.where("n_children > 0").select(F.col("n_children").alias("size")).distinct()
-    held = sweep_memory(sizes).agg(F.max("peak_ids")).first()[0] or 0
-    walk, height = walk_cost(n, m), numbered.agg(F.max("height")).first()[0]
-    rows = [
-        ("leader", "fixpoint", len(trace), sum(x for _, x in trace), 1, 2),
-        ("bfs", "ascending", b["rounds"], b["messages"], 1, 6),
-        ("weights", "ask", height + 4, c["ask_total"], 2, 8),
-        ("weights", "broadcast", height + 2, c["broadcast_total"], 2, 8),
-        ("relabel", "walk", walk["hops"], walk["messages"], 3, 10),
-        ("labels", "wide", wide, lab["wide"], lab["widest"], 4 + lab["widest"]),
-        ("labels", "narrow", 2 * wide, lab["narrow"], 2, 4 + lab["widest"]),
-        ("portions", "self_ordered", own["rounds"], own["messages"], 9, held),
-        ("portions", "adversarial", other["rounds"], other["messages"], 9, 5),
-    ]
-    return s.createDataFrame(rows, "method string, variant string, rounds bigint, messages bigint, max_message_words bigint, max_memory_words bigint")
+    swept = sweep_memory(sizes).agg(F.max("peak_ids")).first()[0] or 0
+    picked = adversarial_portions(numbered).agg(F.max("held")).first()[0] or 0
+    lists = [("weights", None, 2 * heavy), ("labels", None, path), ("portions", "self_ordered", swept), ("portions", "adversarial", picked)]
+    held = F.lit(0)
+    for method, variant, words in lists:
+        held = F.when((F.col("method") == method) & (F.lit(variant is None) | (F.col("variant") == (variant or ""))), F.lit(int(words))).otherwise(held)
+    own = F.create_map(*[x for k, v in REGISTERS.items() for x in (F.lit(k), F.lit(v))])
+    out = cost.withColumn("max_memory_words", (own[F.col("method")] + held).cast("bigint"))
+    n = numbered.count()
+    words = max(2, b) * 8 + ceil(5 * log2(max(2, n)))
+    frames.enforce(out, SweepLimits(max(words * word_bits(n), word_bits(n) ** 2), max(9 * word_bits(n), word_bits(n) ** 2), n))
+    return out
 
 
 def bound_report(ports: DataFrame, numbered: DataFrame, labels: DataFrame, b: int = 2) -> DataFrame:
@@ -49,11 +44,12 @@ def bound_report(ports: DataFrame, numbered: DataFrame, labels: DataFrame, b: in
     n, depth, most, leaves = numbered.agg(F.count("*"), F.max("level"), F.max("n_children"), F.sum((F.col("n_children") == 0).cast("bigint"))).first()
     m = ports.where("alive").count() // 2
     degree = ports.where("alive").groupBy("src").count().agg(F.max("count")).first()[0]
-    cost = {(r["method"], r["variant"]): r for r in cost_frames(ports, numbered, labels).collect()}  # nine rows
+    cost = {(r["method"], r["variant"]): r for r in cost_frames(ports, numbered, labels, b).collect()}  # nine rows
     term = bfs_termination(numbered, ports).agg(F.max("done_round")).first()[0]
     uses = token_trace(numbered, ports).groupBy(F.least("src", "dst"), F.greatest("src", "dst")).agg(F.count("*").alias("n")).agg(F.max("n")).first()[0]
     heavy = numbered.where("is_heavy").groupBy("parent").count().agg(F.max("count")).first()[0] or 0
     light = labels.agg(F.max("light_level")).first()[0]
+    picked = adversarial_portions(numbered).agg(F.max("held")).first()[0] or 0
     diameter = 2 * depth  # the tree's is at most that of a walk over its root
     rows = [
         ("leader", "rounds", cost["leader", "fixpoint"]["rounds"], diameter + 1),
@@ -72,11 +68,8 @@ def bound_report(ports: DataFrame, numbered: DataFrame, labels: DataFrame, b: in
         ("portions", "rounds", cost["portions", "self_ordered"]["rounds"], 1),
         ("portions", "adversarial rounds", cost["portions", "adversarial"]["rounds"], most),
         ("portions", "ids held", cost["portions", "self_ordered"]["max_memory_words"], ceil(5 * log2(max(2, most)))),
-        ("portions", "words", 9, 9),
+        ("portions", "ids held against an adversary", picked, 5),
+        ("portions", "words", cost["portions", "self_ordered"]["max_message_words"], 9),
     ]
     out = s.createDataFrame([(a, x, int(y), int(z)) for a, x, y, z in rows], "method string, measure string, measured bigint, bound bigint")
     return out.withColumn("ok", F.col("measured") <= F.col("bound"))
-
-
-def union_costs(frames: list[DataFrame]) -> DataFrame:
-    return reduce(DataFrame.unionByName, frames)

@@ -14,7 +14,7 @@ from ..operators.labels import routing_labels
 from ..operators.leader import elect_leader
 from ..operators.ports import assign_ports
 from ..operators.recovery import recovery_portions
-from ..operators.relabel import relabel
+from ..operators.relabel import child_order, relabel, with_arrival
 from ..operators.routing import router_state
 from .rounds import cut
 
@@ -30,8 +30,12 @@ class Network:
     portions: DataFrame
 
 
-def numbered_tree(tree: DataFrame, b: int = 2, kind: str = "leaves", strict: bool = False, post: bool = True) -> DataFrame:
-    return relabel(mark_heavy(tree, subtree_weights(tree, kind), b, strict), post=post)
+def numbered_tree(tree: DataFrame, b: int = 2, kind: str = "leaves", strict: bool = False, post: bool = True, heavy_order: str = "port") -> DataFrame:
+    """Weights, heavy marks and numbers; heavy_order 'arrival' puts heavy children in the order of their answered asks."""
+    marked = mark_heavy(tree, subtree_weights(tree, kind), b, strict)
+    if heavy_order == "arrival":
+        marked = with_arrival(marked)
+    return relabel(marked, child_order(marked, heavy_order), post=post)
 
 
 def preprocess(edges: DataFrame, root: int | None = None, b: int = 2, order: ReadOrder | None = None, tree: DataFrame | None = None, label_mode: str = "wide") -> Network:

@@ -10,38 +10,50 @@ from pyspark.sql import functions as F
 
 from ..functions.halffull import with_links
 from ..model import ReadOrder
-from ..operators import bfs, convergecast, healing, labels, leader, recovery, relabel, routing
+from ..operators import bfs, convergecast, frames, healing, labels, leader, recovery, relabel, routing, upkeep
 from ..operators.ports import assign_ports, degrees
 from ..sources import graphs
 from . import bounds
 from . import oracles as o
 from .pipeline import numbered_tree
-from .rounds import keep
+from .rounds import keep, stamp
 
 _LONG = "bigint"
 
 
+def _held(s: SparkSession, d: str, name: str, make: Callable[[], DataFrame]) -> DataFrame:
+    """A stage that several queries share, computed anew when a file of the tables changes."""
+    return keep(f"{d}/{name}", make, s, stamp(s, d))
+
+
 def _ports(s: SparkSession, d: str, g: str) -> DataFrame:
-    return keep(f"{d}/{g}/ports", lambda: assign_ports(graphs.GRAPHS[g](s, d)), s)
+    return _held(s, d, f"{g}/ports", lambda: assign_ports(graphs.GRAPHS[g](s, d)))
 
 
 def _top(s: SparkSession, d: str, g: str) -> int:
     return _ports(s, d, g).agg(F.max("src")).first()[0]
 
 
-def _tree(s: SparkSession, d: str, g: str) -> DataFrame:
-    """The geographic tree as given, of other graphs the breadth-first tree from the leader."""
+def _given(s: SparkSession, d: str, g: str) -> DataFrame:
     if g == "geo":
-        return keep(f"{d}/geo/tree", lambda: bfs.hang(graphs.geo_tree(s, d), _ports(s, d, g)), s)
-    return keep(f"{d}/{g}/tree", lambda: bfs.bfs_tree(_ports(s, d, g), _top(s, d, g)), s)
+        return graphs.geo_tree(s, d)
+    up = graphs.event_tree(s, d)
+    return up.join(bfs.tree_levels(up), "v")
+
+
+def _tree(s: SparkSession, d: str, g: str) -> DataFrame:
+    """The geographic tree and that of the events as given, of other graphs the breadth-first tree from the leader."""
+    if g in ("geo", "event_chain"):
+        return _held(s, d, f"{g}/tree", lambda: bfs.hang(_given(s, d, g), _ports(s, d, g)))
+    return _held(s, d, f"{g}/tree", lambda: bfs.bfs_tree(_ports(s, d, g), _top(s, d, g)))
 
 
 def _numbered(s: SparkSession, d: str, g: str) -> DataFrame:
-    return keep(f"{d}/{g}/numbered", lambda: numbered_tree(_tree(s, d, g)), s)
+    return _held(s, d, f"{g}/numbered", lambda: numbered_tree(_tree(s, d, g)))
 
 
 def _labels(s: SparkSession, d: str, g: str, mode: str = "wide") -> DataFrame:
-    return keep(f"{d}/{g}/labels/{mode}", lambda: labels.routing_labels(_numbered(s, d, g), mode), s)
+    return _held(s, d, f"{g}/labels/{mode}", lambda: labels.routing_labels(_numbered(s, d, g), mode))
 
 
 def _dotted(c: str) -> F.Column:
@@ -65,7 +77,7 @@ def query(name: str, oracle: str | None = None):
 # Ports and leaders
 
 
-@query("ports_trade", o.sql(o.TRADE_E, o.ports("trade"), select="SELECT a.src, a.port, a.dst, b.port rev_port FROM trade_ports a JOIN trade_ports b ON b.src = a.dst AND b.dst = a.src"))
+@query("ports_trade", o.sql(o.TRADE_E, o.ports("trade"), select="SELECT src, port, dst, rev_port FROM trade_ports"))
 def ports_trade(s, d):
     return _ports(s, d, "trade").select("src", "port", "dst", "rev_port")
 
@@ -75,17 +87,16 @@ def leader_trade(s, d):
     return leader.elect_leader(_ports(s, d, "trade"))[0].select("v", "leader_id", "is_leader")
 
 
-_BEST = """trade_far(v, hop, best) AS (
-  SELECT src, 0, src FROM (SELECT DISTINCT src FROM trade_e)
-  UNION ALL SELECT e.src, any_value(f.hop) + 1, greatest(e.src, max(f.best)) FROM trade_far f JOIN trade_e e ON e.dst = f.v WHERE f.hop < 8 GROUP BY e.src),
-best AS (SELECT v, hop, max(best) OVER (PARTITION BY v ORDER BY hop) best FROM trade_far),
-deg AS (SELECT src v, count(*) degree FROM trade_e GROUP BY src),
-moved AS (SELECT v, hop, hop = 0 OR best > lag(best) OVER (PARTITION BY v ORDER BY hop) sends FROM best)"""
+for _g, _n, _edges in (("trade", "trade", o.TRADE_E), ("order_mesh", "mesh", o.MESH_E)):
 
+    @query(f"leader_messages_{_n}", o.sql(_edges, o.flooding(_n, 16), select=f"SELECT round, messages FROM {_n}_sent"))
+    def leader_messages(s, d, g=_g):
+        return s.createDataFrame(leader.elect_leader(_ports(s, d, g))[1], "round bigint, messages bigint")
 
-@query("leader_messages_trade", o.sql(o.TRADE_E, _BEST, select="SELECT CAST(hop AS BIGINT) round, CAST(sum(degree) AS BIGINT) messages FROM moved JOIN deg USING (v) WHERE sends GROUP BY hop"))
-def leader_messages_trade(s, d):
-    return s.createDataFrame(leader.elect_leader(_ports(s, d, "trade"))[1], "round bigint, messages bigint")
+
+@query("leader_mesh", o.sql(o.MESH_E, select="SELECT DISTINCT src v, (SELECT max(src) FROM mesh_e) leader_id, src = (SELECT max(src) FROM mesh_e) is_leader FROM mesh_e"))
+def leader_mesh(s, d):
+    return leader.elect_leader(_ports(s, d, "order_mesh"))[0].select("v", "leader_id", "is_leader")
 
 
 _TARGETS = "SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) target FROM pages"
@@ -110,11 +121,26 @@ def bfs_levels_mesh(s, d):
     return _tree(s, d, "order_mesh").select("v", "level")
 
 
-@query("bfs_parents_mesh", o.sql(o.MESH, o.ports("mesh"), select="SELECT t.v, t.parent, a.port parent_port, b.port port_at_parent FROM mesh_t t LEFT JOIN mesh_ports a ON a.src = t.v AND a.dst = t.parent LEFT JOIN mesh_ports b ON b.src = t.parent AND b.dst = t.v"))
+@query("bfs_parents_mesh", o.sql(o.MESH, o.ports("mesh"), select="SELECT t.v, t.parent, a.port parent_port, a.rev_port port_at_parent FROM mesh_t t LEFT JOIN mesh_ports a ON a.src = t.v AND a.dst = t.parent"))
 def bfs_parents_mesh(s, d):
     return _tree(s, d, "order_mesh").select("v", "parent", "parent_port", "port_at_parent")
 
 
+@query("bfs_levels_trade", o.sql(o.TRADE_E, o.breadth_first("trade"), select="SELECT v, level FROM trade_l"))
+def bfs_levels_trade(s, d):
+    return _tree(s, d, "trade").select("v", "level")
+
+
+_GIANT = f"""reach(v, w) AS (SELECT src, src FROM pg_e UNION SELECT r.v, e.dst FROM reach r JOIN pg_e e ON e.src = r.w), comp AS (SELECT v, max(w) c FROM reach GROUP BY v),
+big_e AS (SELECT src, dst FROM pg_e JOIN comp ON comp.v = src WHERE c = (SELECT c FROM comp GROUP BY c ORDER BY count(*) DESC, c DESC LIMIT 1))"""
+
+
+@query("bfs_levels_pages_giant", o.sql(_PAGES, _GIANT, o.breadth_first("big", 40), select="SELECT v, level FROM big_l"))
+def bfs_levels_pages_giant(s, d):
+    giant = _held(s, d, "page_links/giant", lambda: leader.giant_component(_ports(s, d, "page_links")))
+    return bfs.bfs_tree(giant, giant.agg(F.max("src")).first()[0]).select("v", "level")
+
+
 @query("bfs_children_mesh", o.sql(o.MESH, select="SELECT t.v, count(c.v) n_children FROM mesh_t t LEFT JOIN mesh_t c ON c.parent = t.v GROUP BY t.v"))
 def bfs_children_mesh(s, d):
     return _tree(s, d, "order_mesh").select("v", "n_children")
@@ -139,11 +165,7 @@ def bfs_termination_mesh(s, d):
     return bfs.bfs_termination(_tree(s, d, "order_mesh"), _ports(s, d, "order_mesh")).select("v", "joins", "yeses", "degree")
 
 
-_CHAIN = f"""ev AS (SELECT 8 * {10**12} + event_id v, coalesce(8 * {10**12} + lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id), 7 * {10**12} + user_id) parent, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) nth, user_id FROM events),
-us AS (SELECT user_id, row_number() OVER (ORDER BY user_id) - 1 level FROM (SELECT DISTINCT user_id FROM events))"""
-
-
-@query("event_chain_levels", o.sql(_CHAIN, select=f"SELECT v, us.level + nth AS level FROM ev JOIN us USING (user_id) UNION ALL SELECT 7 * {10**12} + user_id, level FROM us"))
+@query("event_chain_levels", o.sql(o.CHAIN, select="SELECT v, level FROM chain_t"))
 def event_chain_levels(s, d):
     return bfs.tree_levels(graphs.event_tree(s, d))
 
@@ -182,14 +204,7 @@ def heavy_count_bound(s, d):
     return n.agg(F.max("n").alias("most"), F.count("*").alias("parents"))
 
 
-_HEIGHT = """geo_ht AS (SELECT a v, max(t.level) - any_value(s.level) height FROM geo_up x JOIN geo_t t ON t.v = x.v JOIN geo_t s ON s.v = x.a GROUP BY a),
-geo_b AS (SELECT t.v, t.parent, h.height, p.height up, q.port FROM geo_t t JOIN geo_ht h ON h.v = t.v JOIN geo_ht p ON p.v = t.parent JOIN geo_ports q ON q.src = t.parent AND q.dst = t.v),
-geo_last AS (SELECT parent, max(port) last FROM geo_b WHERE height = up - 1 GROUP BY parent)"""
-
-
-@query("ask_vs_broadcast_cost", o.sql(o.GEO, o.ports("geo"), o.weights("geo"), _HEIGHT, select="""SELECT CAST(sum(greatest(3, up - height + 1) + CASE WHEN height <= up - 2 AND port < last THEN 1 ELSE 0 END) AS BIGINT) asks, 3 * count(*) answers, count(*) weights,
-  CAST(sum(greatest(3, up - height + 1) + CASE WHEN height <= up - 2 AND port < last THEN 1 ELSE 0 END) + 4 * count(*) AS BIGINT) ask_total,
-  count(*) + (SELECT count(*) FROM geo_e WHERE src IN (SELECT parent FROM geo_t)) broadcast_total FROM geo_b JOIN geo_last USING (parent)"""))
+@query("ask_vs_broadcast_cost", o.sql(o.GEO, o.ports("geo"), o.weights("geo"), o.heights("geo"), select=o.answers("geo")))
 def ask_vs_broadcast_cost(s, d):
     return convergecast.convergecast_cost(_numbered(s, d, "geo"), _ports(s, d, "geo"))
 
@@ -212,6 +227,42 @@ def preorder_geo(s, d):
     return numbered_tree(_tree(s, d, "geo"), post=False).select("v", "new_id")
 
 
+# The deep graph: users in a path, the events of each in a chain; every stage by doubling.
+_DEEP = (o.CHAIN, o.ports("chain"), o.weights("chain"), o.heavy("chain"))
+
+
+@query("weights_chain", o.sql(*_DEEP, select="SELECT v, weight, heavy is_heavy FROM chain_h"))
+def weights_chain(s, d):
+    return _numbered(s, d, "event_chain").select("v", "weight", "is_heavy")
+
+
+@query("postorder_chain", o.sql(*_DEEP, o.numbers("chain"), select="SELECT v, lo, new_id FROM chain_n"))
+def postorder_chain(s, d):
+    return _numbered(s, d, "event_chain").select("v", "lo", "new_id")
+
+
+@query("light_paths_chain", o.sql(*_DEEP, o.light_paths("chain"), select="SELECT v, light_level, light_path FROM chain_lp"))
+def light_paths_chain(s, d):
+    return _labels(s, d, "event_chain").select("v", "light_level", _dotted("light_path").alias("light_path"))
+
+
+@query("recovery_portions_chain", o.sql(*_DEEP, o.numbers("chain"), o.portions("chain"), select="SELECT * FROM chain_po"))
+def recovery_portions_chain(s, d):
+    return recovery.recovery_portions(_numbered(s, d, "event_chain"))
+
+
+@query("postorder_spider", o.sql(o.SPIDER_E, o.breadth_first("spider", 80), o.ports("spider"), o.weights("spider"), o.heavy("spider"), o.numbers("spider"), select="SELECT v, lo, new_id FROM spider_n"))
+def postorder_spider(s, d):
+    return _numbered(s, d, "conv_spider").select("v", "lo", "new_id")
+
+
+for _g, _n, _e in (("conv_spider", "spider", (o.SPIDER_E, o.breadth_first("spider", 80))), ("doc_source", "dc", (o.DOCS_E, o.breadth_first("dc")))):
+
+    @query(f"light_paths_{_g}", o.sql(*_e, o.ports(_n), o.weights(_n), o.heavy(_n), o.light_paths(_n), select=f"SELECT v, light_level, light_path FROM {_n}_lp"))
+    def light_paths(s, d, g=_g):
+        return _labels(s, d, g).select("v", "light_level", _dotted("light_path").alias("light_path"))
+
+
 @query("child_list_geo", o.sql(o.GEO, o.ports("geo"), o.weights("geo"), o.heavy("geo"), o.numbers("geo"), select="""SELECT r.v, r.rank, lead(q.port) OVER (PARTITION BY r.parent ORDER BY r.rank) next_port, f.port first_port FROM geo_r r
   LEFT JOIN geo_ports q ON q.src = r.parent AND q.dst = r.v LEFT JOIN geo_r c ON c.parent = r.v AND c.rank = 0 LEFT JOIN geo_ports f ON f.src = r.v AND f.dst = c.v WHERE r.parent IS NOT NULL"""))
 def child_list_geo(s, d):
@@ -243,10 +294,10 @@ def light_paths_narrow_mesh(s, d):
     return _labels(s, d, "order_mesh", "narrow").select("v", "light_level", _dotted("light_path").alias("light_path"))
 
 
-@query("labels_wide_eq_narrow", "SELECT CAST(0 AS BIGINT) differences")
+@query("labels_wide_eq_narrow", o.sql(o.MESH, select="SELECT count(*) vertices, CAST(0 AS BIGINT) differences FROM mesh_t"))
 def labels_wide_eq_narrow(s, d):
     a, b = _labels(s, d, "order_mesh"), _labels(s, d, "order_mesh", "narrow")
-    return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+    return a.agg(F.count("*").alias("vertices")).crossJoin(a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences")))  # one row each
 
 
 @query("narrow_label_cost", o.sql(*_PATHS, "deg AS (SELECT src v, count(*) degree FROM mesh_e GROUP BY src)", "topm(v, heavy) AS (SELECT v, heavy FROM mesh_h WHERE level = 1 UNION ALL SELECT h.v, t.heavy FROM topm t JOIN mesh_h h ON h.parent = t.v)", select="""SELECT CAST(sum(degree) AS BIGINT) wide,
@@ -256,26 +307,25 @@ def narrow_label_cost(s, d):
     return labels.label_cost(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"), _ports(s, d, "order_mesh"))
 
 
-def _packets(s, d):
-    """Packets between customers and parts that an arithmetic rule picks; two per thousand pairs of a slice of the mesh."""
-    v = _numbered(s, d, "order_mesh").select("v")
-    kind = lambda k: v.where((F.col("v") >= k * 10**12) & (F.col("v") < (k + 1) * 10**12))
-    key = F.pmod(F.col("v"), F.lit(10**12))
-    a = kind(3).where(key % 31 == 0).select(F.col("v").alias("src"))
-    b = kind(6).where(key % 37 == 0).select(F.col("v").alias("dst"))
-    every = a.join(b, (F.pmod(F.col("src"), F.lit(7)) == F.pmod(F.col("dst"), F.lit(7))))
-    return every.select(F.xxhash64("src", "dst").alias("seq"), "src", "dst")
+def _packets(n: DataFrame) -> DataFrame:
+    """seq, src, dst: one packet from every vertex, to the one that an arithmetic rule over the new numbers picks."""
+    size = n.count()
+    to = n.select(F.col("v").alias("dst"), F.col("new_id").alias("to"))
+    return n.select(F.col("new_id").alias("seq"), F.col("v").alias("src"), ((F.col("new_id") * 48271 + 7) % size + 1).alias("to")).join(to, "to").select("seq", "src", "dst")
 
 
-_PACKETS = f"""pk AS (SELECT a.v src, b.v dst FROM mesh_l a JOIN mesh_l b ON a.v % 7 = b.v % 7 WHERE a.v // {10**12} = 3 AND a.v % {10**12} % 31 = 0 AND b.v // {10**12} = 6 AND b.v % {10**12} % 37 = 0),
-up(v, a, level) AS (SELECT v, v, level FROM mesh_t UNION ALL SELECT u.v, t.parent, u.level - 1 FROM up u JOIN mesh_t t ON t.v = u.a WHERE t.parent IS NOT NULL),
-hops AS (SELECT src, dst, any_value(s.level) + any_value(e.level) - 2 * max(x.level) hops FROM pk JOIN up x ON x.v = src JOIN up y ON y.v = dst AND y.a = x.a JOIN mesh_l s ON s.v = src JOIN mesh_l e ON e.v = dst GROUP BY src, dst)"""
+def _routes(s, d, g):
+    n = _numbered(s, d, g)
+    return n, _held(s, d, f"{g}/state", lambda: routing.router_state(n, _labels(s, d, g)))
 
 
-@query("routes_sample_mesh", o.sql(o.MESH, _PACKETS, select="SELECT src, dst, 'delivered' status, CAST(hops AS BIGINT) hops FROM hops"))
-def routes_sample_mesh(s, d):
-    state = routing.router_state(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
-    return routing.route(_packets(s, d), state, _ports(s, d, "order_mesh")).select("src", "dst", "status", "hops")
+_NUMBERED = (o.MESH, o.weights("mesh"), o.heavy("mesh"), o.numbers("mesh"))
+
+
+@query("routes_mesh", o.sql(*_NUMBERED, o.packets("mesh"), o.route_lengths("mesh"), select="SELECT src, dst, 'delivered' status, hops FROM mesh_len"))
+def routes_mesh(s, d):
+    n, state = _routes(s, d, "order_mesh")
+    return routing.route(_packets(n), state, _ports(s, d, "order_mesh")).select("src", "dst", "status", "hops")
 
 
 @query("next_hop_mesh", o.sql(o.MESH, o.ports("mesh"), o.weights("mesh"), o.heavy("mesh"), "root AS (SELECT v FROM mesh_t WHERE parent IS NULL)", "down(v, top) AS (SELECT t.v, t.v FROM mesh_t t JOIN root ON t.parent = root.v UNION ALL SELECT t.v, x.top FROM down x JOIN mesh_t t ON t.parent = x.v)", select="SELECT x.v, CASE WHEN h.heavy THEN 'heavy' ELSE 'light' END AS action, q.port FROM down x JOIN mesh_h h ON h.v = x.top JOIN root ON true JOIN mesh_ports q ON q.src = root.v AND q.dst = x.top UNION ALL SELECT v, 'deliver', NULL FROM root"))
@@ -288,12 +338,17 @@ def next_hop_mesh(s, d):
     return to.crossJoin(F.broadcast(root)).select("v", action.alias("action"), port.alias("port"))  # one root
 
 
-@query("stretch_sample_mesh", o.sql(o.MESH, _PACKETS, f"src1 AS (SELECT min(src) s FROM pk)", "bw(v, level) AS (SELECT s, CAST(0 AS BIGINT) FROM src1 UNION SELECT e.dst, w.level + 1 FROM bw w JOIN mesh_e e ON e.src = w.v WHERE w.level < 16)", select="SELECT src, dst, CAST(hops AS BIGINT) hops, (SELECT min(level) FROM bw WHERE bw.v = dst) distance FROM hops JOIN src1 ON src = s"))
-def stretch_sample_mesh(s, d):
-    state = routing.router_state(_numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))
-    packets = _packets(s, d)
-    first = packets.agg(F.min("src")).first()[0]
-    routes = routing.route(packets.where(F.col("src") == first), state, _ports(s, d, "order_mesh"))
+_FROM = "mesh_pk AS (SELECT (SELECT min(v) FROM mesh_t) src, v dst FROM mesh_t)"
+_SHORT = """bw(v, level) AS (SELECT (SELECT min(v) FROM mesh_t), CAST(0 AS BIGINT) UNION SELECT e.dst, w.level + 1 FROM bw w JOIN mesh_e e ON e.src = w.v WHERE w.level < 16), near AS (SELECT v dst, min(level) distance FROM bw GROUP BY v)"""
+
+
+@query("stretch_from_least_id_mesh", o.sql(*_NUMBERED, _FROM, o.route_lengths("mesh"), _SHORT, select="SELECT src, dst, hops, distance FROM mesh_len JOIN near USING (dst)"))
+def stretch_from_least_id_mesh(s, d):
+    """Routes from the vertex of least id to every vertex, beside the distances in the graph."""
+    n, state = _routes(s, d, "order_mesh")
+    first = n.agg(F.min("v")).first()[0]
+    packets = n.select(F.col("new_id").alias("seq"), F.lit(first).cast(_LONG).alias("src"), F.col("v").alias("dst"))
+    routes = routing.route(packets, state, _ports(s, d, "order_mesh"))
     return routing.stretch(routes, _ports(s, d, "order_mesh"), [first]).select("src", "dst", "hops", "distance")
 
 
@@ -303,7 +358,7 @@ _LINKS = "SELECT size, y, leaf_parent, node_parent, left_label AS \"left\", left
 
 
 def _links(rows: DataFrame) -> DataFrame:
-    return with_links(rows.select("size", F.explode(F.sequence(F.lit(0).cast(_LONG), F.col("size") - 1)).alias("y"))).select("size", "y", "leaf_parent", "node_parent", "left", "left_is_leaf", "right", "right_is_leaf")
+    return with_links(recovery.labels_of(rows)).select("size", "y", "leaf_parent", "node_parent", "left", "left_is_leaf", "right", "right_is_leaf")
 
 
 @query("half_full_links_13", o.sql(o.half_full("SELECT CAST(13 AS BIGINT) size"), select=_LINKS))
@@ -319,16 +374,31 @@ def half_full_links_degrees(s, d):
     return _links(_tree(s, d, "geo").where("n_children > 0").select(F.col("n_children").alias("size")).distinct())
 
 
+_DC_SIZES = "SELECT DISTINCT count(*) size FROM dc_t WHERE parent IS NOT NULL GROUP BY parent"
+
+
+@query("half_full_links_doc_degrees", o.sql(o.DOCS_E, o.breadth_first("dc"), o.half_full(_DC_SIZES), select=_LINKS))
+def half_full_links_doc_degrees(s, d):
+    return _links(_tree(s, d, "doc_source").where("n_children > 0").select(F.col("n_children").alias("size")).distinct())
+
+
+@query("recovery_portions_supply", o.sql(o.SUPPLY_E, o.breadth_first("supply"), o.weights("supply"), o.heavy("supply"), o.numbers("supply"), o.portions("supply"), select="SELECT * FROM supply_po"))
+def recovery_portions_supply(s, d):
+    return recovery.recovery_portions(_numbered(s, d, "supply"))
+
+
+@query("adversarial_portions_geo", o.sql(o.GEO, o.weights("geo"), o.heavy("geo"), o.numbers("geo"), o.portions("geo"), select="SELECT rank AS round, * FROM geo_po"))
+def adversarial_portions_geo(s, d):
+    """The same portions, one of each parent a round."""
+    return recovery.adversarial_portions(_numbered(s, d, "geo")).drop("held")
+
+
 @query("recovery_portions_geo", o.sql(o.GEO, o.weights("geo"), o.heavy("geo"), o.numbers("geo"), o.portions("geo"), select="SELECT * FROM geo_po"))
 def recovery_portions_geo(s, d):
     return recovery.recovery_portions(_numbered(s, d, "geo"))
 
 
-_DOCS = o.edges("dc", f"""SELECT 11 * {10**12} + doc_id a, 12 * {10**12} + sk b FROM documents JOIN (SELECT source, row_number() OVER (ORDER BY source) sk FROM (SELECT DISTINCT source FROM documents)) USING (source)
-  UNION SELECT 12 * {10**12} + sk, 13 * {10**12} + lk FROM documents JOIN (SELECT source, row_number() OVER (ORDER BY source) sk FROM (SELECT DISTINCT source FROM documents)) USING (source) JOIN (SELECT lang, row_number() OVER (ORDER BY lang) lk FROM (SELECT DISTINCT lang FROM documents)) USING (lang)""")
-
-
-@query("recovery_portions_docs", o.sql(_DOCS, o.breadth_first("dc"), o.weights("dc"), o.heavy("dc"), o.numbers("dc"), o.portions("dc"), select="SELECT * FROM dc_po"))
+@query("recovery_portions_docs", o.sql(o.DOCS_E, o.breadth_first("dc"), o.weights("dc"), o.heavy("dc"), o.numbers("dc"), o.portions("dc"), select="SELECT * FROM dc_po"))
 def recovery_portions_docs(s, d):
     return recovery.recovery_portions(_numbered(s, d, "doc_source"))
 
@@ -353,21 +423,47 @@ for _mode, _sum, _rounds in (("self_ordered", "2 * n", "1"), ("adversarial", "n
 # Healing
 
 
-def _deleted_geo(s, d):
-    """Every seventh customer, the nations, and region 1 of the geographic tree."""
+def _deleted(s, d, g):
+    """Of the geographic tree every seventh customer, the nations and region 1; of the mesh every vertex whose key is a multiple of nine."""
     v, key = F.col("v"), F.col("v") % 10**12
     kind = F.floor(v / 10**12)
-    return _numbered(s, d, "geo").where(((kind == 3) & (key % 7 == 0)) | (kind == 2) | ((kind == 1) & (key == 1))).select("v")
+    rule = ((kind == 3) & (key % 7 == 0)) | (kind == 2) | ((kind == 1) & (key == 1)) if g == "geo" else key % 9 == 0
+    return _numbered(s, d, g).where(rule).select("v")
+
+
+def _healed(s, d, g):
+    return healing.heal(_numbered(s, d, g), _deleted(s, d, g))
 
 
 def _healed_geo(s, d):
-    return healing.heal(_numbered(s, d, "geo"), _deleted_geo(s, d))
+    return _healed(s, d, "geo")
+
+
+_LOST = {"geo": f"(v // {10**12} = 3 AND v % {10**12} % 7 = 0) OR v // {10**12} = 2 OR v = {10**12} + 1", "mesh": f"v % {10**12} % 9 = 0"}
 
+for _g, _n, _e in (("geo", "geo", o.GEO), ("order_mesh", "mesh", o.MESH)):
+    _base = (_e, o.weights(_n), o.heavy(_n), o.numbers(_n))
 
-@query("heal_degree")
-def heal_degree(s, d):
-    """How many live vertices gained how many links; never more than three."""
-    return healing.degree_increase(_numbered(s, d, "geo"), _healed_geo(s, d)).groupBy("increase").agg(F.count("*").alias("vertices"))
+    @query(f"heal_degree_{_n}", o.sql(*_base, o.healed(_n, _LOST[_n]), select=o.degree_growth(_n)))
+    def heal_degree(s, d, g=_g):
+        """How many live vertices gained how many links; never more than three."""
+        return healing.degree_increase(_numbered(s, d, g), _healed(s, d, g)).groupBy("increase").agg(F.count("*").alias("vertices"))
+
+    @query(f"heal_routes_{_n}", o.sql(*_base, o.packets(_n), f"gone AS (SELECT v FROM {_n}_t WHERE {_LOST[_n]})", select=f"SELECT CASE WHEN src IN (SELECT v FROM gone) OR dst IN (SELECT v FROM gone) THEN 'lost' ELSE 'delivered' END status, count(*) packets FROM {_n}_pk GROUP BY 1"))
+    def heal_routes(s, d, g=_g):
+        """A packet from every vertex over the healed tree, with the labels from before: all between live vertices arrive."""
+        n, state = _routes(s, d, g)
+        return healing.route_healed(_packets(n), state, _ports(s, d, g), _healed(s, d, g)).groupBy("status").agg(F.count("*").alias("packets"))
+
+
+@query("heal_edits_geo", o.sql(o.GEO, o.weights("geo"), f"gone AS (SELECT v FROM geo_t WHERE {_LOST['geo']})", "kept AS (SELECT DISTINCT a v FROM geo_up WHERE v NOT IN (SELECT v FROM gone))", select="SELECT t.parent, count(*) portions FROM geo_t t JOIN kept k ON k.v = t.v WHERE t.parent IS NOT NULL AND t.parent NOT IN (SELECT v FROM gone) GROUP BY t.parent"))
+def heal_edits_geo(s, d):
+    """How many portions each live vertex has after the first portions were edited for the deletions."""
+    n = _numbered(s, d, "geo")
+    whole = healing.heal(n, n.where("false").select("v"))
+    first = recovery.recovery_portions(n)
+    done = upkeep.apply_edits(first, upkeep.edits(first, n, whole, _healed_geo(s, d)))
+    return done.groupBy("parent").agg(F.count("*").alias("portions"))
 
 
 @query("heal_live_owners", o.sql(o.GEO, select=f"SELECT v owner FROM geo_t WHERE NOT ((v // {10**12} = 3 AND v % {10**12} % 7 = 0) OR v // {10**12} = 2 OR v = {10**12} + 1)"))
@@ -382,17 +478,6 @@ def heal_helpers_per_plan(s, d):
     return _healed_geo(s, d).nodes.where("b >= 0").groupBy(F.col("a").alias("plan")).agg(F.count("*").alias("helpers"))
 
 
-@query("heal_routes")
-def heal_routes(s, d):
-    """Packets between suppliers over the healed tree, with the labels from before."""
-    n = _numbered(s, d, "geo")
-    sup = n.where((F.col("v") >= 4 * 10**12) & (F.col("v") < 5 * 10**12) & (F.col("v") % 10 == 0)).select("v")
-    pairs = sup.select(F.col("v").alias("src")).join(sup.select(F.col("v").alias("dst")), F.col("src") % 3 == F.col("dst") % 3).where("src < dst")
-    state = routing.router_state(n, _labels(s, d, "geo"))
-    routes = healing.route_healed(pairs.select(F.xxhash64("src", "dst").alias("seq"), "src", "dst"), state, _ports(s, d, "geo"), _healed_geo(s, d))
-    return routes.groupBy("status").agg(F.count("*").alias("packets"))
-
-
 # Bottom-up sums and bounds
 
 
@@ -404,16 +489,45 @@ def bottomup_revenue_geo(s, d):
     return convergecast.bottomup(t, values, {"cents": F.sum})
 
 
-@query("answer_mode_all_graphs")
+_ALL = {
+    "geo": ("geo", o.GEO), "trade": ("trade", f"{o.TRADE_E}, {o.breadth_first('trade')}"), "supply": ("supply", f"{o.SUPPLY_E}, {o.breadth_first('supply')}"), "order_mesh": ("mesh", o.MESH),
+    "event_chain": ("chain", o.CHAIN), "conv_spider": ("spider", f"{o.SPIDER_E}, {o.breadth_first('spider', 80)}"), "doc_source": ("dc", f"{o.DOCS_E}, {o.breadth_first('dc')}"),
+}
+_MODES = " UNION ALL ".join(f"SELECT '{g}' graph, *, CASE WHEN ask_total < broadcast_total THEN 'ask' ELSE 'broadcast' END \"mode\" FROM ({o.answers(n)})" for g, (n, _) in _ALL.items())
+
+
+@query("answer_mode_all_graphs", o.sql(*[x for n, e in _ALL.values() for x in (e, o.ports(n), o.weights(n), o.heights(n))], select=_MODES))
 def answer_mode_all_graphs(s, d):
-    """Which way of answering is cheaper on each graph that is not too deep for rounds."""
+    """Which way of answering is cheaper on each graph."""
     rows = []
-    for g in ("geo", "trade", "supply", "order_mesh", "conv_spider", "doc_source"):
+    for g in _ALL:
         t = _numbered(s, d, g)
         rows.append(convergecast.choose_answer_mode(convergecast.convergecast_cost(t, _ports(s, d, g))).withColumn("graph", F.lit(g)))
     return reduce(DataFrame.unionByName, rows)
 
 
+_M = "(SELECT count(*) / 2 FROM mesh_e)"
+_NV = "(SELECT count(*) FROM mesh_t)"
+_ASKED = f"({o.answers('mesh')})"
+_KIDS = "(SELECT count(*) n FROM mesh_t WHERE parent IS NOT NULL GROUP BY parent)"
+_SENT = (
+    ("leader", "fixpoint", "candidate", "SELECT sum(messages) FROM mesh_sent"), ("bfs", "ascending", "accept", f"SELECT {_NV} - 1"), ("bfs", "ascending", "join", f"SELECT 2 * {_M} - {_NV} + 1"),
+    ("weights", "ask", "weight", f"SELECT weights FROM {_ASKED}"), ("weights", "ask", "ask", f"SELECT asks FROM {_ASKED}"), ("weights", "ask", "answer", f"SELECT answers FROM {_ASKED}"),
+    ("weights", "broadcast", "weight", f"SELECT weights FROM {_ASKED}"), ("weights", "broadcast", "answer", f"SELECT broadcast_total - weights FROM {_ASKED}"),
+    ("relabel", "walk", "hop", f"SELECT 4 * {_M} - 2 * {_NV} + 2"), ("relabel", "walk", "sibling", f"SELECT {_NV} - 1"), ("labels", "wide", "label", f"SELECT 2 * {_M}"), ("labels", "narrow", "port", f"SELECT 2 * {_M}"),
+    ("portions", "self_ordered", "offer", f"SELECT {_NV} - 1"), ("portions", "self_ordered", "portion", f"SELECT {_NV} - 1"),
+    ("portions", "adversarial", "offer", f"SELECT sum(n * n) FROM {_KIDS}"), ("portions", "adversarial", "portion", f"SELECT sum(n) FROM {_KIDS}"),
+    ("labels", "narrow", "relay", "SELECT sum((g.degree - 1) * (light_level + CASE WHEN t.heavy THEN 1 ELSE 0 END)) FROM mesh_h h JOIN mesh_lp p ON p.v = h.v JOIN mesh_deg g ON g.v = h.v JOIN topm t ON t.v = h.v WHERE h.parent IS NOT NULL AND h.v IN (SELECT parent FROM mesh_t)"),
+)
+_TOPM = "topm(v, heavy) AS (SELECT v, heavy FROM mesh_h WHERE level = 1 UNION ALL SELECT h.v, t.heavy FROM topm t JOIN mesh_h h ON h.parent = t.v)"
+
+
+@query("message_counts_mesh", o.sql(*_PATHS, o.heights("mesh"), o.flooding("mesh", 16), _TOPM, select=" UNION ALL ".join(f"SELECT '{a}' method, '{b}' variant, '{c}' kind, CAST(({q}) AS BIGINT) messages" for a, b, c, q in _SENT)))
+def message_counts_mesh(s, d):
+    """What every protocol sends on the mesh, counted from its message frame."""
+    return frames.by_kind(frames.all_frames(_ports(s, d, "order_mesh"), _numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))).drop("max_words")
+
+
 @query("bound_report", "SELECT CAST(0 AS BIGINT) broken")
 def bound_report(s, d):
     r = bounds.bound_report(_ports(s, d, "order_mesh"), _numbered(s, d, "order_mesh"), _labels(s, d, "order_mesh"))

@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..model import vid
+from ..operators.ports import ranked
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -58,9 +59,9 @@ def event_tree(spark: SparkSession, d: str) -> DataFrame:
     e = table(spark, d, "events").select("event_id", "ts", "user_id")
     by = W.partitionBy("user_id").orderBy("ts", "event_id")
     events = e.select(vid("event", "event_id").alias("v"), F.coalesce(vid("event", F.lag("event_id").over(by)), vid("user", "user_id")).alias("parent"))
-    users = e.select("user_id").distinct()
-    before = users.select("user_id", F.lag("user_id").over(W.orderBy("user_id")).alias("prev"))  # one row per user
-    return events.union(before.select(vid("user", "user_id"), vid("user", "prev")))
+    users = _ranked(e, "user_id")
+    prev = users.select((F.col("key") + 1).alias("key"), F.col("user_id").alias("prev"))
+    return events.union(users.join(prev, "key", "left").select(vid("user", "user_id"), vid("user", "prev")))
 
 
 def event_chain(spark: SparkSession, d: str) -> DataFrame:
@@ -76,8 +77,9 @@ def conv_spider(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _ranked(df: DataFrame, name: str) -> DataFrame:
-    """name, key: the place of each distinct value; one row per value."""
-    return df.select(name).where(F.col(name).isNotNull()).distinct().select(name, F.row_number().over(W.orderBy(name)).cast("bigint").alias("key"))
+    """name, key: the place of each distinct value from 1 on; ranges are ranked apart and added up."""
+    values = df.select(name).where(F.col(name).isNotNull()).distinct().withColumn("all", F.lit(0))
+    return ranked(values, "all", [F.col(name)], "key", hubs=True).select(name, (F.col("key") + 1).alias("key"))
 
 
 def doc_source(spark: SparkSession, d: str) -> DataFrame:

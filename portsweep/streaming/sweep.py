@@ -9,7 +9,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-from ..operators.healing import Healed, heal
+from ..functions.halffull import portion_labels
+from ..operators.healing import Healed, heal, route_healed
+from ..operators.routing import router_state
 
 
 def round_fold(messages: DataFrame, fold: Callable[[str], Column], width: str = "1 hour", late: str = "1 day", reader: str = "dst", value: str = "a", ts: str = "ts") -> DataFrame:
@@ -40,6 +42,11 @@ def matched(left: DataFrame, right: DataFrame, key: str, within: str = "1 hour",
     return a.join(b, F.expr(f"l.{key} = r.{key} AND r.ts BETWEEN l.ts AND l.ts + INTERVAL {within}"))
 
 
+def known_readers(messages: DataFrame, state: DataFrame, reader: str = "dst") -> DataFrame:
+    """A stream's messages with what a static frame (v, ...) holds about their readers; others are dropped."""
+    return messages.join(state.withColumnRenamed("v", reader), reader)
+
+
 def sweep_node(messages: DataFrame, words: int = 2, reader: str = "dst", value: str = "a") -> DataFrame:
     """reader, sent: the greatest value so far, sent again only when it grows. State per vertex: `words` longs, whatever its degree."""
 
@@ -59,6 +66,70 @@ def sweep_node(messages: DataFrame, words: int = 2, reader: str = "dst", value:
     return messages.groupBy(reader).applyInPandasWithState(step, f"{reader} bigint, sent bigint", "best bigint, seen bigint", "append", "NoTimeout")
 
 
+_PORTION = "parent bigint, rank bigint, v bigint, leaf_parent bigint, helper_parent bigint, `left` bigint, `right` bigint, left_is_leaf boolean, right_is_leaf boolean, is_successor boolean, held bigint"
+
+
+def named(y: int, size: int) -> set[int]:
+    """The labels that portion y names."""
+    leaf, helper, left, _, right, _ = portion_labels(y, size)
+    return {x for x in (leaf, helper, left, right) if x is not None}
+
+
+def sweep_portions(children: DataFrame) -> DataFrame:
+    """The portions of every parent from one sweep over its children, and how many ids were held when each left.
+
+    children: a stream of parent, rank, v, size, grandparent in which a parent's children come in rank order. A portion
+    leaves with the last id it names; an id is dropped when no portion that is still open names it. The state of a parent
+    is the ids and portions that are open, a few times log2(size).
+    """
+
+    def step(key: tuple, chunks: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        ranks, ids, open_ = state.get if state.exists else ([], [], [])
+        known, waiting, out = dict(zip(ranks, ids, strict=True)), list(open_), []
+        for chunk in chunks:
+            for rank, v, size, above in sorted(zip(chunk["rank"], chunk["v"], chunk["size"], chunk["grandparent"], strict=True)):
+                known[int(rank)] = int(v)
+                waiting.append(int(rank))
+                size = int(size)
+                for y in list(waiting):
+                    leaf, helper, left, left_leaf, right, right_leaf = portion_labels(y, size)
+                    if any(x > rank for x in named(y, size)):
+                        continue
+                    told = [None if x is None else known[x] for x in (leaf, helper, left, right)]
+                    last = y == size - 1
+                    if last:
+                        told[1] = None if pd.isna(above) else int(above)
+                    out.append((key[0], y, known[y], *told, left_leaf, None if last else right_leaf, last, len(known)))
+                    waiting.remove(y)
+                # Two children name each other or not at all, so a later portion can only name children that still wait.
+                needed = set(waiting) | {x for y in waiting for x in named(y, size)}
+                known = {k: x for k, x in known.items() if k in needed}
+        state.update((list(known), list(known.values()), waiting))
+        yield pd.DataFrame(out, columns=["parent", "rank", "v", "leaf_parent", "helper_parent", "left", "right", "left_is_leaf", "right_is_leaf", "is_successor", "held"])
+
+    return children.groupBy("parent").applyInPandasWithState(step, _PORTION, "ranks array<bigint>, ids array<bigint>, waiting array<bigint>", "append", "NoTimeout")
+
+
+def run_event_churn(events: DataFrame, ports: DataFrame, numbered: DataFrame, labels: DataFrame, out: str, users: int, vertex: Callable[[Column], Column]) -> StreamingQuery:
+    """Events as churn: an `error` deletes its user's vertex, a `click` sends a packet to the vertex of user (user * 7 + 3) mod users.
+
+    events: a stream of event_id, user_id, event_type; vertex makes the id of a user's vertex. A micro-batch heals after its
+    deletions and then routes its packets with the labels from the start; seq, src, dst, status, hops stand in
+    out/packets/batch=number. Repeated batches overwrite their own output, and repeated events count once.
+    """
+    state = router_state(numbered, labels)
+
+    def apply(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        once = batch.dropDuplicates(["event_id"])
+        once.where("event_type = 'error'").select(vertex(F.col("user_id")).alias("v")).distinct().write.mode("overwrite").parquet(f"{out}/deleted/batch={number}")
+        gone = spark.read.schema("v bigint, batch int").parquet(f"{out}/deleted").where(F.col("batch") <= number)
+        packets = once.where("event_type = 'click'").select(F.col("event_id").alias("seq"), vertex(F.col("user_id")).alias("src"), vertex(F.pmod(F.col("user_id") * 7 + 3, F.lit(users))).alias("dst"))
+        route_healed(packets, state, ports, heal(numbered, gone)).write.mode("overwrite").parquet(f"{out}/packets/batch={number}")
+
+    return events.writeStream.foreachBatch(apply).option("checkpointLocation", f"{out}/checkpoint").trigger(availableNow=True).start()
+
+
 def run_churn(events: DataFrame, numbered: DataFrame, out: str, keep: Callable[[DataFrame], DataFrame], on_batch: Callable[[int, Healed], None] | None = None) -> StreamingQuery:
     """Heals after every micro-batch of deletions; keep(batch) gives the batch's deleted v.
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from portsweep.functions import halffull
 from portsweep.model import FOLDS, LimitError, ReadOrder, SweepLimits
-from portsweep.operators import baselines, bfs, healing, labels, leader, ports, recovery, relabel, routing
+from portsweep.operators import baselines, bfs, frames, healing, labels, leader, ports, recovery, relabel, routing, upkeep
 from portsweep.plans import bounds, pipeline
 from portsweep.plans.rounds import cut
 from portsweep.sources import graphs
@@ -217,7 +217,89 @@ def test_routes(spark, mesh):
     s = routing.stretch(intact, mesh.ports, [intact.first().src])
     assert s.where("hops < distance").isEmpty()
     h = healing.heal(mesh.numbered, healing.deletions_by_rule(mesh.numbered, "random", 20))
-    after = healing.route_healed(pairs, mesh.state, mesh.ports, h, 80)
+    after = healing.route_healed(pairs, mesh.state, mesh.ports, h)
     ends = h.dead.select("v")
     lost = after.join(ends, F.col("src") == F.col("v"), "left_anti").join(ends, F.col("dst") == F.col("v"), "left_anti").where("status = 'lost'")
     assert lost.isEmpty() and not after.where("status = 'delivered'").isEmpty()
+
+
+def test_portions_stay_up_to_date(spark, mesh):
+    """Edits after each batch give what a rebuild gives, and a second deletion runs from edited portions alone."""
+    n = mesh.numbered
+    leaf = n.where("n_children = 0 and level >= 2").orderBy("v").limit(2).select("v")
+    gone, before = n.where("false").select("v"), healing.heal(n, n.where("false").select("v"))
+    portions = cut(recovery.recovery_portions(n))
+    assert upkeep.live_portions(n, before).exceptAll(portions).isEmpty()
+    inner = n.where("n_children > 1 and parent is not null").orderBy("v").limit(1).select("v")
+    for step in (leaf, inner):
+        gone = cut(gone.union(step).distinct())
+        after = healing.heal(n, gone)
+        changed = cut(upkeep.edits(portions, n, before, after))
+        assert 0 < changed.count() < portions.count()
+        portions = cut(upkeep.apply_edits(portions, changed))
+        rebuilt = upkeep.live_portions(n, after)
+        assert portions.exceptAll(rebuilt).isEmpty() and rebuilt.exceptAll(portions).isEmpty()
+        before = after
+    x = portions.groupBy("parent").count().where("count > 1").orderBy("parent").first().parent
+    last = healing.heal(n, gone.union(spark.createDataFrame([(x,)], "v bigint")))
+    want = last.nodes.where((F.col("a") == x) & (F.col("b") >= 0)).select("b", "owner").count()
+    links = upkeep.executed(portions, x)
+    assert links.where("kind = 'leaf'").count() == want + 1 and links.where("kind = 'helper'").count() == want + 1
+
+
+def test_helpers_pass_to_the_leafs_successor(spark, mesh):
+    n = mesh.numbered
+    x = n.where("n_children > 1 and parent is not null").orderBy(F.desc("n_children")).first().v
+    one = spark.createDataFrame([(x,)], "v bigint")
+    before = healing.heal(n, one)
+    owner = before.nodes.where((F.col("a") == x) & (F.col("b") >= 0)).orderBy("b").first().owner
+    after = healing.heal(n, one.union(spark.createDataFrame([(owner,)], "v bigint")))
+    passed = upkeep.handovers(before, after).collect()
+    alive = {r.v for r in n.select("v").collect()} - {x, owner}
+    assert all(r.owner == owner and r.successor in alive for r in passed)
+    assert healing.check_connected(after) and healing.degree_increase(n, after).agg(F.max("increase")).first()[0] <= 3
+
+
+def test_adversarial_rounds(spark, mesh):
+    got = recovery.adversarial_portions(mesh.numbered)
+    assert got.select(*mesh.portions.columns).exceptAll(mesh.portions).isEmpty() and got.agg(F.max("held")).first()[0] <= 5
+    assert got.where("round <> rank").isEmpty()
+
+
+def test_strong_adversary_and_inbox(spark, mesh):
+    root = mesh.numbered.where("parent is null").first().v
+    seen = mesh.numbered.select("v", F.col("new_id").alias("state_id"))
+    other = bfs.bfs_tree(mesh.ports, root, ReadOrder.strong(lambda reader, port, turn: F.pmod(F.col("state_id") * port, F.lit(7)) * 1000 + port), seen)
+    assert other.select("v", "level").exceptAll(mesh.numbered.select("v", "level")).isEmpty()
+    box = ports.deliver(ports.broadcast_all(spark.createDataFrame([(1, 5)], "v bigint, a bigint"), mesh.ports))
+    assert box.take().where("reader = dst").count() > 0
+    with pytest.raises(RuntimeError):
+        box.take()
+
+
+def test_heavy_children_by_arrival(mesh):
+    tree = mesh.numbered.select("v", "parent", "parent_port", "port_at_parent", "level", "n_children")
+    other = pipeline.numbered_tree(tree, heavy_order="arrival")
+    n = tree.count()
+    assert sorted(r.new_id for r in other.select("new_id").collect()) == list(range(1, n + 1)) and other.where("new_id - lo + 1 <> size").isEmpty()
+
+
+def test_deep_trees_by_doubling(spark):
+    """A path far deeper than the rounds: weights, numbers, labels, portions and a walk of the token."""
+    net = pipeline.preprocess(graphs.path(spark, 300), root=0)
+    rows = net.numbered.collect()
+    assert all(r.weight == 1 and r.size == 300 - r.v and r.new_id == 300 - r.v and r.height == 299 - r.v for r in rows)
+    assert net.labels.where("light_level > 0").isEmpty() and net.portions.count() == 299
+    assert relabel.token_trace(net.numbered, net.ports).count() == relabel.walk_cost(300, 299)["hops"]
+
+
+def test_frames_agree_with_closed_forms(mesh):
+    n, m = mesh.numbered.count(), mesh.ports.count() // 2
+    cost = {(r.method, r.variant): r for r in frames.costs(frames.all_frames(mesh.ports, mesh.numbered, mesh.labels)).collect()}
+    assert cost["bfs", "ascending"].messages == cost["labels", "wide"].messages == 2 * m
+    assert cost["relabel", "walk"].messages == relabel.walk_cost(n, m)["messages"] and cost["portions", "self_ordered"].messages == 2 * (n - 1)
+    assert cost["portions", "adversarial"].rounds == mesh.numbered.agg(F.max("n_children")).first()[0]
+    assert cost["labels", "narrow"].max_message_words == 2 and cost["portions", "self_ordered"].max_message_words <= 9
+    assert cost["leader", "fixpoint"].messages == sum(x for _, x in leader.elect_leader(mesh.ports)[1])
+    with pytest.raises(LimitError):
+        frames.enforce(bounds.cost_frames(mesh.ports, mesh.numbered, mesh.labels), SweepLimits.compact(40, words=1))
