@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import ReadOrder
+from ..plans.rounds import cut
 from .bfs import bfs_tree
 from .ports import live, ranked
 
@@ -13,10 +14,10 @@ from .ports import live, ranked
 def read_all_rounds(ports: DataFrame, rounds: int) -> DataFrame:
     """v, leader_id, memory: flooding with unlimited memory, all messages of a round held in a list. For small graphs: a hub's list is its degree."""
     e = live(ports).select("src", "dst")
-    state = e.select(F.col("src").alias("v")).distinct().withColumns({"best": F.col("v"), "memory": F.lit(0)})
+    state = cut(e.select(F.col("src").alias("v")).distinct().withColumns({"best": F.col("v"), "memory": F.lit(0)}))
     for _ in range(rounds):
         heard = state.join(e, F.col("v") == F.col("src")).groupBy(F.col("dst").alias("v")).agg(F.collect_list("best").alias("all"))
-        state = state.join(heard, "v").select("v", F.greatest("best", F.array_max("all")).alias("best"), F.greatest("memory", F.size("all")).alias("memory"))
+        state = cut(state.join(heard, "v").select("v", F.greatest("best", F.array_max("all")).alias("best"), F.greatest("memory", F.size("all")).alias("memory")))
     return state.select("v", F.col("best").alias("leader_id"), F.col("memory").cast("bigint").alias("memory"))
 
 
