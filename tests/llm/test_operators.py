@@ -7,7 +7,9 @@ import html
 import re
 import zlib
 from collections import Counter, defaultdict
+from pathlib import Path
 
+import duckdb
 import numpy as np
 import public_tokenizers
 import pytest
@@ -359,3 +361,14 @@ def test_em_learns_accuracies():
     says, share = quality.fit(patterns.astype(float), counts.astype(float))
     told = quality.accuracies(says, share)
     assert abs(share - 0.7) < 0.05 and told.argmin() == 2 and told[0] > 0.9
+
+
+@pytest.mark.parametrize("name", sorted(queries.oracle_sql()))
+def test_sql(spark, name):
+    con = duckdb.connect()
+    for p in Path(SF).glob("*.parquet"):
+        con.execute(f"CREATE VIEW {p.stem} AS SELECT * FROM '{p}'")
+    want = con.execute(queries.oracle_sql()[name])
+    names = [c[0] for c in want.description]
+    got = queries.queries()[name](spark, SF)
+    assert sorted(names) == sorted(got.columns) and Counter(map(tuple, got.select(*names).collect())) == Counter(want.fetchall())
