@@ -61,7 +61,7 @@ def test_streams(spark, tmp_path):
     assert run(sweep.known_readers(stream, few), "known").count() == e.where("dst in (1, 2)").count()
     assert run(sweep.sliding_rate(stream, late="40 days"), "rate", "complete").agg(F.sum("messages")).first()[0] == 4 * e.count()
     assert run(sweep.activity_sessions(stream, late="40 days"), "sessions", "complete").agg(F.sum("messages")).first()[0] == e.count()
-    both = run(sweep.matched(stream.select("event_id", "ts"), stream.select("event_id", "ts"), "event_id"), "matched")
+    both = run(sweep.matched(stream.select("event_id", "ts"), stream.select("event_id", "ts"), "event_id", late="40 days"), "matched")
     assert both.count() == e.count()
 
 
