@@ -108,9 +108,10 @@ def packets(name: str) -> str:
 
 def route_lengths(name: str) -> str:
     """{name}_len(src, dst, hops): up to the lowest common ancestor and down; needs weights and {name}_pk."""
-    return f"""{name}_len AS (SELECT src, dst, CAST(any_value(s.level) + any_value(e.level) - 2 * max(c.level) AS BIGINT) hops FROM {name}_pk
-  JOIN {name}_up x ON x.v = src JOIN {name}_up y ON y.v = dst AND y.a = x.a JOIN {name}_t c ON c.v = x.a JOIN {name}_t s ON s.v = src JOIN {name}_t e ON e.v = dst GROUP BY src, dst)"""
-
+    return f"""{name}_px AS MATERIALIZED (SELECT src, dst, x.a FROM {name}_pk JOIN {name}_up x ON x.v = src),
+{name}_pa AS MATERIALIZED (SELECT p.src, p.dst, p.a FROM {name}_px p JOIN {name}_up y ON y.v = p.dst AND y.a = p.a),
+{name}_pc AS MATERIALIZED (SELECT src, dst, max(c.level) top FROM {name}_pa JOIN {name}_t c ON c.v = a GROUP BY src, dst),
+{name}_len AS (SELECT src, dst, CAST(s.level + e.level - 2 * top AS BIGINT) hops FROM {name}_pc JOIN {name}_t s ON s.v = src JOIN {name}_t e ON e.v = dst)"""
 
 def weights(name: str, kind: str = "leaves") -> str:
     """{name}_w(v, weight, size) from the closure of ancestors."""
