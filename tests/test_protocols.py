@@ -285,12 +285,12 @@ def test_heavy_children_by_arrival(mesh):
 
 
 def test_deep_trees_by_doubling(spark):
-    """A path far deeper than the rounds: weights, numbers, labels, portions and a walk of the token."""
-    net = pipeline.preprocess(graphs.path(spark, 300), root=0)
+    """A path deeper than what is worked on level by level: weights, numbers, labels, portions and a walk of the token."""
+    net = pipeline.preprocess(graphs.path(spark, 60), root=0)
     rows = net.numbered.collect()
-    assert all(r.weight == 1 and r.size == 300 - r.v and r.new_id == 300 - r.v and r.height == 299 - r.v for r in rows)
-    assert net.labels.where("light_level > 0").isEmpty() and net.portions.count() == 299
-    assert relabel.token_trace(net.numbered, net.ports).count() == relabel.walk_cost(300, 299)["hops"]
+    assert all(r.weight == 1 and r.size == 60 - r.v and r.new_id == 60 - r.v and r.height == 59 - r.v for r in rows)
+    assert net.labels.where("light_level > 0").isEmpty() and net.portions.count() == 59
+    assert relabel.token_trace(net.numbered, net.ports).count() == relabel.walk_cost(60, 59)["hops"]
 
 
 def test_frames_agree_with_closed_forms(mesh):
