@@ -286,11 +286,11 @@ def test_heavy_children_by_arrival(mesh):
 
 def test_deep_trees_by_doubling(spark):
     """A path deeper than what is worked on level by level: weights, numbers, labels, portions and a walk of the token."""
-    net = pipeline.preprocess(graphs.path(spark, 60), root=0)
+    net = pipeline.preprocess(graphs.path(spark, 24), root=0)
     rows = net.numbered.collect()
-    assert all(r.weight == 1 and r.size == 60 - r.v and r.new_id == 60 - r.v and r.height == 59 - r.v for r in rows)
-    assert net.labels.where("light_level > 0").isEmpty() and net.portions.count() == 59
-    assert relabel.token_trace(net.numbered, net.ports).count() == relabel.walk_cost(60, 59)["hops"]
+    assert all(r.weight == 1 and r.size == 24 - r.v and r.new_id == 24 - r.v and r.height == 23 - r.v for r in rows)
+    assert net.labels.where("light_level > 0").isEmpty() and net.portions.count() == 23
+    assert relabel.token_trace(net.numbered, net.ports).count() == relabel.walk_cost(24, 23)["hops"]
 
 
 def test_frames_agree_with_closed_forms(mesh):
