@@ -125,7 +125,7 @@ def apart(tmp_path_factory):
     return str(d)
 
 
-@pytest.mark.parametrize("name", ("bfs_message_count", "dfs_walk_cost", "dfs_link_uses"))
+@pytest.mark.parametrize("name", ("bfs_message_count", "dfs_walk_cost", "dfs_link_uses", "leader_mesh", "leader_trade"))
 def test_several_components(spark, apart, name):
     con = duckdb.connect()
     for p in Path(apart).glob("*.parquet"):
