@@ -135,3 +135,9 @@ def test_several_components(spark, apart, name):
     names = [c[0] for c in want.description]
     assert sorted(names) == sorted(got.columns)
     assert Counter(tuple(r) for r in got.select(*names).collect()) == Counter(want.fetchall())
+
+
+def test_plans_of_thirteen_orders(spark):
+    got, orders = registry.queries()["half_full_links_13"](spark, SF), graphs.table(spark, SF, "orders")
+    assert got.count() == orders.count() and any(p.endswith("orders.parquet") for p in got.inputFiles())
+    test_oracle(spark, "half_full_links_13")
