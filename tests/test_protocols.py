@@ -303,3 +303,11 @@ def test_frames_agree_with_closed_forms(mesh):
     assert cost["leader", "fixpoint"].messages == sum(x for _, x in leader.elect_leader(mesh.ports)[1])
     with pytest.raises(LimitError):
         frames.enforce(bounds.cost_frames(mesh.ports, mesh.numbered, mesh.labels), SweepLimits.compact(40, words=1))
+
+
+def test_costs_frame_by_frame(mesh):
+    whole = frames.costs(frames.all_frames(mesh.ports, mesh.numbered, mesh.labels)).collect()
+    apart = frames.metered(frames.each_frame(mesh.ports, mesh.numbered, mesh.labels), frames.costs)
+    assert sorted(whole) == sorted(apart.collect()) and len(whole) == 9
+    plan = apart._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Aggregate" not in plan  # nothing but the counted rows is left to one job
