@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from portsweep.functions import halffull
 from portsweep.model import FOLDS, LimitError, ReadOrder, SweepLimits
 from portsweep.operators import baselines, bfs, frames, healing, labels, leader, ports, recovery, relabel, routing, upkeep
-from portsweep.plans import bounds, pipeline
+from portsweep.plans import bounds, pipeline, rounds
 from portsweep.plans.rounds import cut
 from portsweep.sources import graphs
 
@@ -311,3 +311,17 @@ def test_costs_frame_by_frame(mesh):
     assert sorted(whole) == sorted(apart.collect()) and len(whole) == 9
     plan = apart._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan and "Aggregate" not in plan  # nothing but the counted rows is left to one job
+
+
+def test_small_frontiers_are_sent_to_every_task(spark, mesh, monkeypatch):
+    plan = lambda df: df._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan(ports.assign_ports(graphs.random_graph(spark, 40, 40, 3)))  # both numbers come from one pass over the links each
+    few = cut(spark.range(10))
+    sent = rounds.spread(few)
+    assert "broadcast" in sent._jdf.queryExecution().analyzed().toString()
+    root = mesh.numbered.where("parent is null").first().v
+    want = mesh.numbered.select("v", "parent", "level")
+    monkeypatch.setattr(rounds, "SMALL", 0)
+    assert "broadcast" not in rounds.spread(few)._jdf.queryExecution().analyzed().toString()
+    got = bfs.bfs_tree(mesh.ports, root).select("v", "parent", "level")
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
