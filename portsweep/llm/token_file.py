@@ -5,21 +5,31 @@ A block holds up to BLOCK ids and starts from empty models, so that it is read w
 16-bit words. For each id the order-2 and the order-1 context predict one id each, and order 0 keeps counts of recent
 ids in hashed slots. What happens (hit by order 2, by order 1, by an order-0 slot, or none) is coded with a mix of three
 adaptive distributions, one chosen by each order's confidence, weighted by how well each has done; then the slot by its
-counts, or the id plainly. All blocks of a batch are coded in step, one id of each at a time, as array operations.
+counts, or the id plainly.
+
+The coder has two forms with the same bytes. Files are written and read by the one in TokenBlocks.java, block by block in the
+executors' JVM: the driver compiles it with the compiler that Spark brings along and adds it to the session as a jar. Python
+workers only make the ids. encode_blocks() and decode_blocks() are the form without Spark: all blocks of a batch are coded
+in step, one id of each at a time, as array operations.
 
 Files are Parquet rows in ascending doc_id order, each of whole documents: part and before (ids of the part before this
 row), the documents' ids and lengths, and their blocks.
 
 Defined results: null text counts as empty (the end id alone); rows that repeat a doc_id follow each other in an order
-fixed by their text; extra columns are ignored; texts are coded whole.
+fixed by their text; extra columns are ignored; texts are coded whole. The ids of one document must fit in 2 GB.
 """
 
 from __future__ import annotations
 
+import os
 import struct
+import tempfile
 import uuid
+import zipfile
 import zlib
 from collections.abc import Iterator
+from functools import cache
+from importlib.resources import files as package_files
 
 import numpy as np
 import pyarrow as pa
@@ -32,6 +42,8 @@ from .common import maybe_broadcast, scratch_dir, with_columns_only
 from .tokens import cached
 
 BLOCK, LANES, ROW_IDS = 2048, 2048, 32_768
+#: Ids that a Python worker hands over at once, in rows of whole documents.
+HANDED_IDS = 1 << 20
 MAGIC, MAGIC_WIDE = b"TIB3", b"TIB4"
 _HEADER = struct.Struct("<4sII")
 _CONTEXTS, _SLOTS, _BITS = 1024, 1024, 3
@@ -42,6 +54,9 @@ _LEAST = 16
 _SPREAD = np.float32(_ONE - 4 * _LEAST)
 #: How fast events are learned; every so many ids the slots' sums, the weights and the events are renewed.
 _RATE, _FREEZE, _WEIGH, _COUNT = 0.0625, 64, 4, 2
+#: Session functions of the coder.
+_ENCODE, _DOCUMENTS, _DOCUMENTS_IDS = "portsweep_encode_blocks", "portsweep_block_documents", "portsweep_block_documents_ids"
+_DOCUMENT = "doc_id: bigint, start: bigint, n_tokens: bigint, ids_crc32: bigint"
 _FILE = "part int, before bigint, doc_ids array<bigint>, lengths array<bigint>, blocks array<binary>"
 
 
@@ -307,23 +322,62 @@ def _decode(blocks: list[bytes], wide: bool) -> list[np.ndarray]:
     return done
 
 
-def _write(path: str, end: int):
+@cache
+def _jar(jvm) -> str:
+    """A jar of the classes of TokenBlocks.java, compiled once."""
+    compiler = jvm.org.codehaus.janino.SimpleCompiler()
+    compiler.setParentClassLoader(jvm.java.lang.Thread.currentThread().getContextClassLoader())
+    compiler.cook(package_files(__package__).joinpath("TokenBlocks.java").read_text("utf-8"))
+    path = f"{os.path.realpath(tempfile.mkdtemp(prefix='portsweep-'))}/token-blocks-{uuid.uuid4().hex}.jar"
+    with zipfile.ZipFile(path, "w") as jar:
+        for name, code in compiler.getBytecodes().items():
+            jar.writestr(name.replace(".", "/") + ".class", bytes(code))
+    return path
+
+
+def _register(spark: SparkSession) -> None:
+    """Gives the session, and its executors by a jar, the coder's functions."""
+    if spark.catalog.functionExists(_DOCUMENTS_IDS):
+        return
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    path = _jar(jvm)
+    spark.sql(f"ADD JAR '{path}'")
+    urls = gateway.new_array(jvm.java.net.URL, 1)
+    urls[0] = jvm.java.io.File(path).toURI().toURL()
+    loader = jvm.java.net.URLClassLoader(urls, jvm.java.lang.Thread.currentThread().getContextClassLoader())
+
+    def add(name: str, kind: str, given: list, returns: str) -> None:
+        values = gateway.new_array(jvm.java.lang.Object, len(given))
+        for i, x in enumerate(given):
+            values[i] = x
+        made = loader.loadClass(f"portsweep.TokenBlocks${kind}").getConstructors()[0].newInstance(values)
+        spark._jsparkSession.udf().register(name, made, jvm.org.apache.spark.sql.types.DataType.fromDDL(returns))
+
+    add(_ENCODE, "Encode", [], "array<binary>")
+    add(_DOCUMENTS, "Documents", [False], f"array<struct<{_DOCUMENT}>>")
+    add(_DOCUMENTS_IDS, "Documents", [True], f"array<struct<{_DOCUMENT}, ids: array<bigint>>>")
+
+
+def _tokenized(path: str, end: int):
+    """Rows of a file whose blocks are still ids, as little-endian unsigned 32-bit integers."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokenizer, part, before = cached(path, False), TaskContext.get().partitionId(), 0
         rows: list[tuple[list, list[np.ndarray]]] = [([], [])]
         size = held = 0
+        last = np.array([end], np.uint32)
 
         def emit() -> pa.RecordBatch:
             nonlocal before, rows, held
             rows = [r for r in rows if r[0]]
-            whole = [np.concatenate(r[1]) for r in rows]
-            cuts = [[w[a : a + BLOCK] for a in range(0, len(w), BLOCK)] for w in whole]
-            coded = iter(encode_blocks([c for cut in cuts for c in cut]))
-            starts = []
-            for w in whole:
+            starts, lengths, blocks = [], [], []
+            for _, own in rows:
+                whole = np.concatenate([x for ids in own for x in (ids, last)]).astype("<u4", copy=False)
                 starts.append(before)
-                before += len(w)
-            data = [[part] * len(rows), starts, [r[0] for r in rows], [[len(i) for i in r[1]] for r in rows], [[next(coded) for _ in cut] for cut in cuts]]
+                before += len(whole)
+                lengths.append([len(ids) + 1 for ids in own])
+                blocks.append([whole[a : a + BLOCK].tobytes() for a in range(0, len(whole), BLOCK)])
+            data = [[part] * len(rows), starts, [r[0] for r in rows], lengths, blocks]
             types = [pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.binary())]
             rows, held = [([], [])], 0
             return pa.RecordBatch.from_arrays([pa.array(d, t) for d, t in zip(data, types, strict=True)], ["part", "before", "doc_ids", "lengths", "blocks"])
@@ -331,13 +385,13 @@ def _write(path: str, end: int):
         for b in batches:
             for doc, ids in zip(b.column("doc_id").to_pylist(), tokenizer.encode(b.column("text")), strict=True):
                 rows[-1][0].append(doc)
-                rows[-1][1].append(np.append(ids, np.uint32(end)))
+                rows[-1][1].append(ids)
                 size += len(ids) + 1
                 if size >= ROW_IDS:
                     held += size
                     rows.append(([], []))
                     size = 0
-                    if held >= LANES * BLOCK:
+                    if held >= HANDED_IDS:
                         yield emit()
         if rows[0][0]:
             yield emit()
@@ -349,48 +403,17 @@ def write(docs: DataFrame, path: str, out: str, end: int = 0) -> None:
     """Encode docs (doc_id, text) with the vocabulary file at `path`, `end` after each, into token files in folder `out`."""
     d = with_columns_only(docs, "doc_id", "text").withColumn("doc_id", F.col("doc_id").cast("bigint"))
     d = d.repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
-    d.mapInArrow(_write(path, end), _FILE).write.parquet(out)
-
-
-def _read(keep_ids: bool):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            blocks = b.column("blocks").to_pylist()
-            per_row = max(1, max(map(len, blocks), default=1))
-            step = max(1, LANES // per_row) if per_row < LANES else 1
-            for a in range(0, len(blocks), step):
-                yield _rows_of(b.slice(a, step), blocks[a : a + step], keep_ids)
-
-    return run
-
-
-def _rows_of(b: pa.RecordBatch, blocks: list[list[bytes]], keep_ids: bool) -> pa.RecordBatch:
-    got = iter(decode_blocks([x for row in blocks for x in row]))
-    part, docs, starts, sizes, crcs, kept = [], [], [], [], [], []
-    for p, before, ids, lengths, row in zip(b.column("part").to_pylist(), b.column("before").to_pylist(), b.column("doc_ids").to_pylist(), b.column("lengths").to_pylist(), blocks, strict=True):
-        whole = np.concatenate([next(got) for _ in row]) if row else np.empty(0, np.uint32)
-        at = 0
-        for doc, n in zip(ids, lengths, strict=True):
-            own = whole[at : at + n].astype("<u4")
-            part.append(p)
-            docs.append(doc)
-            starts.append(before + at)
-            sizes.append(n)
-            crcs.append(zlib.crc32(own.tobytes()))
-            kept.append(own if keep_ids else None)
-            at += n
-    cols = [pa.array(part, pa.int32()), pa.array(docs, pa.int64()), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64())]
-    names = ["part", "doc_id", "start", "n_tokens", "ids_crc32"]
-    if keep_ids:
-        cols, names = [*cols, pa.array([k.astype(np.int64) for k in kept], pa.list_(pa.int64()))], [*names, "ids"]
-    return pa.RecordBatch.from_arrays(cols, names)
+    _register(docs.sparkSession)
+    rows = d.mapInArrow(_tokenized(path, end), _FILE)
+    rows.withColumn("blocks", F.call_function(_ENCODE, "blocks")).write.parquet(out)
 
 
 def read(spark: SparkSession, out: str, keep_ids: bool = False) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 (and ids): one row per document of the token files in folder `out`."""
     files = spark.read.schema(_FILE).parquet(out)
-    schema = "part int, doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint" + ", ids array<bigint>" * keep_ids
-    docs = files.mapInArrow(_read(keep_ids), schema)
+    _register(spark)
+    own = F.inline(F.call_function(_DOCUMENTS_IDS if keep_ids else _DOCUMENTS, "doc_ids", "lengths", "blocks"))
+    docs = files.select("part", "before", own).withColumn("start", F.col("before") + F.col("start"))
     ends = files.select("part", (F.col("before") + F.aggregate("lengths", F.lit(0).cast("bigint"), lambda a, n: a + n)).alias("upto"))
     totals = ends.groupBy("part").agg(F.max("upto").alias("n"))  # a row per file
     first = totals.select(F.col("part").alias("of"), (F.sum("n").over(W.orderBy("part")) - F.col("n")).alias("first"))

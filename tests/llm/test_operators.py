@@ -293,6 +293,35 @@ def test_blocks_round_trip_and_catch_damage():
         token_file.decode_blocks([bytes(hurt)])
 
 
+def test_token_files_are_coded_in_the_jvm_with_the_same_bytes(spark, docs, tmp_path):
+    rng = np.random.default_rng(1)
+    odd = [[], [5], [7] * 2048, rng.integers(0, 2**32, 2048), rng.integers(0, 70_000, 2048), np.arange(1500) % 3, [2**32 - 1, 65535, 65536, 0] * 9, rng.zipf(1.2, 2048).clip(0, 2**32 - 1)]
+    blocks = [np.array(x, "<u4") for x in odd]
+    coded = token_file.encode_blocks(blocks)
+    token_file.write(docs, BYTES, f"{tmp_path}/files")
+    got = spark.createDataFrame([([bytearray(b.tobytes()) for b in blocks],)], "b array<binary>").select(F.call_function("portsweep_encode_blocks", "b").alias("b")).first().b
+    assert [bytes(b) for b in got] == coded
+    written = [bytes(r.b) for r in spark.read.parquet(f"{tmp_path}/files").select(F.explode("blocks").alias("b")).collect()]
+    assert token_file.encode_blocks(token_file.decode_blocks(written)) == written
+    kept = token_file.read(spark, f"{tmp_path}/files", keep_ids=True)
+    assert "InArrow" not in kept._jdf.queryExecution().toString()
+    for r in kept.collect():
+        assert (len(r.ids), zlib.crc32(np.array(r.ids, "<u4").tobytes())) == (r.n_tokens, r.ids_crc32)
+
+    def file_of(blocks, folder):
+        n = sum(map(len, odd))
+        row = (0, 0, [1, 2, 3], [0, n - 4000, 4000], [bytearray(b) for b in blocks])
+        spark.createDataFrame([row], "part int, before bigint, doc_ids array<bigint>, lengths array<bigint>, blocks array<binary>").write.parquet(folder)
+        return token_file.read(spark, folder, keep_ids=True).orderBy("doc_id")
+
+    assert [i for r in file_of(coded, f"{tmp_path}/odd").collect() for i in r.ids] == np.concatenate(blocks).tolist()
+    for at in (0, 9, 200):  # the mark, the checksum, a coded word
+        hurt = bytearray(coded[4])
+        hurt[at] ^= 4
+        with pytest.raises(Exception, match="checksum differs|not a token block"):
+            file_of([*coded[:4], hurt, *coded[5:]], f"{tmp_path}/hurt{at}").collect()
+
+
 def test_packing(docs, texts, empty):
     lib = tokens.load(WORDS)
     rows = packing.pack(docs, WORDS).collect()
