@@ -3,8 +3,8 @@
 No pre-token of either vocabulary reaches over a single space between two characters that are no white space, so columns
 of texts are cut there (by Arrow, without Python strings), each distinct piece is encoded once and ids are gathered by
 index. A new piece of common characters is cut into pre-tokens by the vocabulary's own rules for these characters, and each
-distinct pre-token is merged once by the library's model; any other piece is encoded by the library as a whole. Ids are the
-library's own for the whole text.
+distinct pre-token is merged once by the library's model (where white space is kept, many in one call); any other piece is
+encoded by the library as a whole. Ids are the library's own for the whole text.
 """
 
 from __future__ import annotations
@@ -12,6 +12,7 @@ from __future__ import annotations
 import os
 import re
 from collections.abc import Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +24,8 @@ from .common import CACHES
 PIECES, PRETOKENS = 600_000, 300_000
 #: Rows encoded together at most, and bytes of text at most (one text may have more).
 ROWS, BYTES = 4000, 8 << 20
+#: Pre-tokens merged in one call of the library.
+MERGED = 10_000
 
 # Common characters beyond ASCII (letters that normalising leaves alone and whose lower case is one letter,
 # and punctuation), and the pre-token patterns of the two kinds of vocabulary for texts of common characters.
@@ -31,6 +34,8 @@ _MARKS = "\u00a1\u00ab\u00bb\u00bf\u2013\u2014\u2018-\u201e\u2026"
 _UNCOMMON = re.compile(rf"[^\x00-\x7f{_LETTERS}{_MARKS}]|<")  # "<": it may begin a special token
 _PRE_WORD = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[0-9]|[^\t-\r 0-9{_LETTERS}]+")
 _PRE_BYTE = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\t-\r 0-9{_LETTERS}]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
+#: Texts of common characters that are a single pre-token, whatever is beside them (as Arrow's patterns are written).
+_ONE_BYTE = rf"\A ?(?:[{_LETTERS}]+|[0-9]+|[^\t-\r 0-9{_LETTERS}]+)\z"
 #: Punctuation after a letter or digit, which is a pre-token of its own in a vocabulary of words.
 _ENDS, _ENDS_BYTE = r"([a-z0-9])([.,;:!?])", r"([A-Za-z0-9])([.,;:!?])"
 #: A single line end before a letter, likewise where white space is kept.
@@ -39,6 +44,8 @@ _LINES = r"([!-~])\n([A-Za-z])"
 _SEAM = "\x00"
 #: White space beside a space, or a seam: such texts are not simply cut at spaces.
 _BESIDE = r"[\t-\r\x1c-\x1f\x85\p{Z}] | [\t-\r\x1c-\x1f\x85\p{Z}]|\x00"
+#: Between pre-tokens that are merged together: in no common text, so its symbols are in none of theirs.
+_APART = "\uffff"
 _BLANK = re.compile(r"[\t-\r ]")
 _BETWEEN = re.compile(r"(?<=\S)(?= \S)")
 
@@ -60,6 +67,10 @@ def as_symbols(text: str) -> str:
     return text.encode("utf-8", "surrogatepass").decode("latin-1").translate(_SYMBOLS)
 
 
+_APART_SYMBOLS = as_symbols(_APART)
+_SYMBOL_OF = np.array([ord(_SYMBOLS.get(b, chr(b))) for b in range(256)], "<u4")
+
+
 def is_common(text: str) -> bool:
     """Only common characters, and nothing that may be a special token: pretokens() holds for it."""
     return _UNCOMMON.search(text) is None
@@ -96,6 +107,14 @@ class CachedTokenizer:
         """words: the vocabulary drops white space and letter case; else a space belongs to the word after it."""
         self.tokenizer, self.by_words = load(path), words
         self.model = self.tokenizer.model
+        if not words:
+            from tokenizers import Tokenizer, pre_tokenizers
+
+            self.merging = Tokenizer(self.model)
+            self.merging.pre_tokenizer = pre_tokenizers.Split(_APART_SYMBOLS, "removed")
+            vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
+            self.sizes = np.zeros(max(vocabulary.values(), default=0) + 1, np.int64)  # symbols of each id
+            self.sizes[list(vocabulary.values())] = list(map(len, vocabulary))
         self._empty()
 
     def _empty(self) -> None:
@@ -128,26 +147,66 @@ class CachedTokenizer:
             out[i] = e.ids
         return out
 
-    def _learn(self, missing: list[str]) -> None:
-        found = self._encoded(missing)
-        lengths = np.fromiter(map(len, found), np.int64, len(found))
-        at, total = len(self.codes), int(lengths.sum())
-        while at + len(found) > len(self.starts):
+    def _merged(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of pre-tokens of common characters, and how many each has: where an id ends is told by its symbols."""
+        ids, lengths = [], []
+        for at in range(0, len(words), MERGED):
+            some = _SYMBOL_OF[np.frombuffer(_APART.join(words[at : at + MERGED]).encode(), np.uint8)].tobytes().decode("utf-32-le")
+            apart = some.split(_APART_SYMBOLS)
+            ends = np.cumsum(np.fromiter(map(len, apart), np.int64, len(apart)))
+            own = np.array(self.merging.encode_batch_fast([some], add_special_tokens=False)[0].ids, np.uint32)
+            upto = np.cumsum(self.sizes[own])
+            if not len(own) or upto[-1] != ends[-1]:  # a vocabulary that lacks symbols
+                each = [[x.id for x in self.model.tokenize(w)] for w in apart]
+                ids.append(np.array([i for e in each for i in e], np.uint32))
+                lengths.append(np.fromiter(map(len, each), np.int64, len(each)))
+                continue
+            ids.append(own)
+            lengths.append(np.diff(np.searchsorted(upto, ends) + 1, prepend=0))
+        return np.concatenate(ids), np.concatenate(lengths)
+
+    def _keep(self, pieces: list[str], ids: np.ndarray, lengths: np.ndarray) -> None:
+        at, total = len(self.codes), len(ids)
+        while at + len(pieces) > len(self.starts):
             self.starts, self.lengths = np.resize(self.starts, 2 * len(self.starts)), np.resize(self.lengths, 2 * len(self.lengths))
         while self.used + total > len(self.ids):
             self.ids = np.resize(self.ids, 2 * len(self.ids))
-        self.starts[at : at + len(found)] = self.used + np.cumsum(lengths) - lengths
-        self.lengths[at : at + len(found)] = lengths
-        self.ids[self.used : self.used + total] = [i for ids in found for i in ids]
+        self.starts[at : at + len(pieces)] = self.used + np.cumsum(lengths) - lengths
+        self.lengths[at : at + len(pieces)] = lengths
+        self.ids[self.used : self.used + total] = ids
         self.used += total
-        self.codes.update(zip(missing, range(at, at + len(found)), strict=True))
+        self.codes.update(zip(pieces, range(at, at + len(pieces)), strict=True))
+
+    def _learn(self, missing: list[str]) -> None:
+        """Keeps the ids of distinct new pieces."""
+        if not self.by_words:
+            column, pieces = pa.array(missing, pa.large_string()), np.array(missing, object)
+            odd, one = (pc.match_substring_regex(column, x).to_numpy(zero_copy_only=False) for x in (_UNCOMMON.pattern, _ONE_BYTE))
+            single, missing = pieces[one & ~odd].tolist(), pieces[odd].tolist()
+            if single:
+                self._keep(single, *self._merged(single))
+            several = [(p, _PRE_BYTE.findall(p)) for p in pieces[~(one | odd)].tolist()]
+            new = [t for t in dict.fromkeys(chain.from_iterable(c for _, c in several)) if t not in self.codes]  # a pre-token is a piece, too
+            if new:
+                self._keep(new, *self._merged(new))
+            several = [(p, c) for p, c in several if c != [p]]
+            if several:
+                codes = np.fromiter(map(self.codes.get, chain.from_iterable(c for _, c in several)), np.int64)
+                ids, ends = self._gathered(codes, np.cumsum([0, *(len(c) for _, c in several)]))
+                self._keep([p for p, _ in several], ids, np.diff(ends))
+            if not missing:
+                return
+        found = self._encoded(missing)
+        self._keep(missing, np.array([i for ids in found for i in ids], np.uint32), np.fromiter(map(len, found), np.int64, len(found)))
 
     def _codes(self, pieces: list[str]) -> np.ndarray:
-        get = self.codes.get
-        missing = [p for p in pieces if get(p) is None]
+        codes = np.fromiter(map(self.codes.get, pieces, repeat(-1)), np.int64, len(pieces))
+        missing = np.flatnonzero(codes < 0).tolist()
         if missing:
-            self._learn(missing)
-        return np.fromiter(map(self.codes.get, pieces), np.int64, len(pieces))
+            new = [pieces[i] for i in missing]
+            self._learn(new)
+            codes[missing] = np.fromiter(map(self.codes.get, new), np.int64, len(new))
+        return codes
 
     def _cut(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Codes of the pieces of texts (no nulls), and where the pieces of each text begin and end."""
@@ -167,8 +226,13 @@ class CachedTokenizer:
     def _gathered(self, codes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         lengths = self.lengths[codes]
         upto = np.concatenate([[0], np.cumsum(lengths)])
-        shift = self.starts[codes] - upto[:-1]
-        return self.ids[np.arange(upto[-1]) + np.repeat(shift, lengths)], upto[ends]
+        some = codes[lengths > 0]
+        first, lengths = self.starts[some], self.lengths[some]
+        places = np.ones(upto[-1], np.int64)  # steps from the place of one id to that of the next
+        if len(some):
+            places[0] = first[0]
+            places[np.cumsum(lengths[:-1])] = first[1:] - first[:-1] - lengths[:-1] + 1
+        return self.ids[np.cumsum(places, out=places)], upto[ends]
 
     def _group(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         if len(self.codes) > PIECES:

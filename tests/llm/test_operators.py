@@ -12,8 +12,10 @@ from pathlib import Path
 import duckdb
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer, models, pre_tokenizers
 
 from . import brute
 from portsweep.llm import bpe, html_extract, jaccard_join, packing, pii, quality, queries, secret_scan, substring_dedup, token_file, tokens, topk_search
@@ -269,6 +271,28 @@ def test_bpe(docs, texts):
         assert got[i].decoded_sha256 == hashlib.sha256(lib.decode(ids, skip_special_tokens=False).encode()).hexdigest(), i
 
 
+def test_new_byte_pieces_are_merged_together(tmp_path):
+    rng, some = np.random.default_rng(0), list("ab Zé9\n\t'.,!<>|s’—日\uffff\x00\x1f ")
+    odd = ["", None, "a  b \n c <|endoftext|> x's don't İΣ  日本語", "1" * 5000 + " 4111", "\uffff x \uffff\uffff ï¿¿ y", "\x00 a\x00b", "é\n\nX'll we've  'S ", "tab\t\tnext \x1c q", "don't!'s !'s ''s"]
+    column = [*odd, *("".join(rng.choice(some, rng.integers(1, 60))) for _ in range(3000))]
+    lib, own = tokens.load(BYTES), tokens.CachedTokenizer(BYTES, False)
+
+    class OneByOne:
+        def tokenize(self, word):
+            raise AssertionError(f"merged alone: {word!r}")
+
+    own.model = OneByOne()
+    for part in (column[:1500], column[1000:]):
+        for text, ids in zip(part, own.encode(pa.array(part)), strict=True):
+            assert ids.tolist() == lib.encode(text or "", add_special_tokens=False).ids, text
+    # A vocabulary that lacks symbols drops these.
+    small = Tokenizer(models.BPE(vocab={"a": 0, "b": 1, "ab": 2, "Ġ": 3}, merges=[("a", "b")]))
+    small.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False)
+    small.save(f"{tmp_path}/small.json")
+    few = ["abc cab", "c", "ab ab", "", "xyz abé"]
+    assert [x.tolist() for x in tokens.CachedTokenizer(f"{tmp_path}/small.json", False).encode(pa.array(few))] == [small.encode(t).ids for t in few]
+
+
 def test_token_file(docs, texts):
     lib, start = tokens.load(BYTES), 0
     got = token_file.round_trip(docs, BYTES).orderBy("doc_id").collect()
