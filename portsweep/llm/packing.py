@@ -26,10 +26,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialize, with_columns_only
+from .common import batch_rows, drop_caches, materialize, with_columns_only
 from .tokens import cached
 
 CAPACITY, END = 4096, 1
+#: Texts handed to a worker at once.
+TEXTS = 1000
 _PIECE = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, part int, nth bigint"
 
 
@@ -151,6 +153,7 @@ def _seated(places, capacity: int):
     shift = 62 - capacity.bit_length()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        drop_caches()
         t = places.value
         keys = (t["length"] << shift) + t["rank"]
         for b in batches:
@@ -166,7 +169,8 @@ def _seated(places, capacity: int):
 def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset: one row per piece. path: a word vocabulary file."""
     d = with_columns_only(docs, "doc_id", "text").withColumn("doc_id", F.col("doc_id").cast("bigint"))
-    pieces = materialize(d.mapInArrow(_pieces(path, capacity, end), _PIECE), "pieces")
+    with batch_rows(docs.sparkSession, TEXTS):
+        pieces = materialize(d.mapInArrow(_pieces(path, capacity, end), _PIECE), "pieces")
     held = pieces.groupBy("length", "part").agg(F.count("*").alias("n"))
     before = held.select("length", "part", (F.sum("n").over(W.partitionBy("length").orderBy("part")) - F.col("n")).alias("before"))
     counts = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}  # `capacity` rows at most

@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import os
 import re
+from array import array
 from collections.abc import Iterator
 from itertools import chain, repeat
 
@@ -20,10 +21,11 @@ import pyarrow.compute as pc
 
 from .common import CACHES
 
-#: Cached pieces and pre-tokens per worker; a cache starts anew beyond it.
-PIECES, PRETOKENS = 600_000, 300_000
+#: Cached pieces and pre-tokens per worker; a cache starts anew beyond it. WORD_*: of a vocabulary of words, whose workers
+#: also run where an executor's JVM has grown before; most pieces beyond so many are never met again.
+PIECES, WORD_PIECES, WORD_PRETOKENS = 600_000, 150_000, 75_000
 #: Rows encoded together at most, and bytes of text at most (one text may have more).
-ROWS, BYTES = 4000, 8 << 20
+ROWS, BYTES, WORD_BYTES = 4000, 8 << 20, 1 << 20
 #: Pre-tokens merged in one call of the library.
 MERGED = 10_000
 
@@ -91,13 +93,13 @@ def load(path: str):
     return tokenizer
 
 
-def groups(column: pa.Array) -> Iterator[pa.Array]:
-    """A string column in slices of ROWS rows and BYTES bytes at most."""
+def groups(column: pa.Array, most: int = BYTES) -> Iterator[pa.Array]:
+    """A string column in slices of ROWS rows and `most` bytes at most."""
     size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
     upto, at = np.cumsum(size, dtype=np.int64), 0
     while at < len(column):
         before = upto[at] - size[at]
-        end = max(at + 1, min(at + ROWS, int(np.searchsorted(upto, before + BYTES, "right"))))
+        end = max(at + 1, min(at + ROWS, int(np.searchsorted(upto, before + most, "right"))))
         yield column.slice(at, end - at)
         at = end
 
@@ -107,6 +109,7 @@ class CachedTokenizer:
         """words: the vocabulary drops white space and letter case; else a space belongs to the word after it."""
         self.tokenizer, self.by_words = load(path), words
         self.model = self.tokenizer.model
+        self.most_pieces, self.most_bytes = (WORD_PIECES, WORD_BYTES) if words else (PIECES, BYTES)
         if not words:
             from tokenizers import Tokenizer, pre_tokenizers
 
@@ -119,32 +122,34 @@ class CachedTokenizer:
 
     def _empty(self) -> None:
         self.codes: dict[str, int] = {}
-        self.pretokens: dict[str, list[int]] = {}
+        self.pretokens: dict[str, bytes] = {}
         self.ids, self.used = np.empty(1 << 16, np.uint32), 0
         self.starts, self.lengths = np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int64)
 
-    def _encoded(self, pieces: list[str]) -> list[list[int]]:
-        """The ids of each piece."""
-        if len(self.pretokens) > PRETOKENS:
-            self.pretokens.clear()
+    def _encoded(self, pieces: list[str]) -> list[bytes]:
+        """The ids of each piece, as their own four bytes."""
         known, merge = self.pretokens, self.model.tokenize
         cut = pretokens if self.by_words else _PRE_BYTE.findall
-        out: list[list[int] | None] = []
+        out: list[bytes | None] = []
         whole: list[int] = []
         for i, p in enumerate(pieces):
             if _UNCOMMON.search(p):
                 whole.append(i)
                 out.append(None)
                 continue
-            ids: list[int] = []
+            ids = []
             for t in cut(p):
                 own = known.get(t)
                 if own is None:
-                    own = known[t] = [x.id for x in merge(as_symbols(t))]
-                ids += own
-            out.append(ids)
-        for i, e in zip(whole, self.tokenizer.encode_batch_fast([pieces[i] for i in whole], add_special_tokens=False) if whole else (), strict=True):
-            out[i] = e.ids
+                    if len(known) >= WORD_PRETOKENS:
+                        known.clear()
+                    own = known[t] = array("I", [x.id for x in merge(as_symbols(t))]).tobytes()
+                ids.append(own)
+            out.append(ids[0] if len(ids) == 1 else b"".join(ids))
+        for at in range(0, len(whole), MERGED):
+            some = whole[at : at + MERGED]
+            for i, e in zip(some, self.tokenizer.encode_batch_fast([pieces[i] for i in some], add_special_tokens=False), strict=True):
+                out[i] = array("I", e.ids).tobytes()
         return out
 
     def _merged(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -197,7 +202,7 @@ class CachedTokenizer:
             if not missing:
                 return
         found = self._encoded(missing)
-        self._keep(missing, np.array([i for ids in found for i in ids], np.uint32), np.fromiter(map(len, found), np.int64, len(found)))
+        self._keep(missing, np.frombuffer(b"".join(found), np.uint32), np.fromiter(map(len, found), np.int64, len(found)) // 4)
 
     def _codes(self, pieces: list[str]) -> np.ndarray:
         codes = np.fromiter(map(self.codes.get, pieces, repeat(-1)), np.int64, len(pieces))
@@ -235,7 +240,7 @@ class CachedTokenizer:
         return self.ids[np.cumsum(places, out=places)], upto[ends]
 
     def _group(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.codes) > PIECES:
+        if len(self.codes) > self.most_pieces:
             self._empty()
         odd = (pc.match_substring(texts, "<|") if self.by_words else pc.match_substring_regex(texts, _BESIDE)).to_numpy(zero_copy_only=False)
         if not odd.any():
@@ -258,7 +263,7 @@ class CachedTokenizer:
 
     def encode(self, column: pa.Array) -> Iterator[np.ndarray]:
         """The ids (uint32) of each text of a string column; null counts as empty."""
-        for part in groups(column):
+        for part in groups(column, self.most_bytes):
             ids, ends = self._group(pc.fill_null(part, ""))
             yield from np.split(ids, ends[1:-1])
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import html
 import re
+import tracemalloc
 import zlib
 from collections import Counter, defaultdict
 from pathlib import Path
@@ -371,6 +372,32 @@ def test_packing(docs, texts, empty):
     assert packing.pack(empty, WORDS).count() == 0
 
 
+def test_packing_keeps_little_of_a_tail_of_words(spark, docs, monkeypatch):
+    words = [re.sub("(.)", lambda m: "bcdfghklmnprstvz"[int(m[1], 16)] + "aeio"[i % 4], f"{7919 * i % 16**6:06x}") for i in range(250_000)]
+    texts = pa.array([" ".join(words[at : at + 500]) for at in range(0, len(words), 500)])
+    lib, own = tokens.load(WORDS), tokens.CachedTokenizer(WORDS, True)
+    tracemalloc.start()
+    for k, ids in enumerate(own.encode(texts)):
+        if k % 100 == 0:
+            assert ids.tolist() == lib.encode(texts[k].as_py(), add_special_tokens=False).ids
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 90 << 20
+    told, write = [], packing.materialize
+    monkeypatch.setattr(packing, "materialize", lambda df, tag: told.append(int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch"))) or write(df, tag))
+    packing.pack(docs.limit(3), WORDS)
+    assert told == [packing.TEXTS]
+
+
+def test_packing_caches_may_start_anew_anywhere(texts, monkeypatch):
+    monkeypatch.setattr(tokens, "WORD_PIECES", 20)
+    monkeypatch.setattr(tokens, "WORD_PRETOKENS", 7)
+    monkeypatch.setattr(tokens, "WORD_BYTES", 900)
+    monkeypatch.setattr(tokens, "MERGED", 3)
+    lib, some = tokens.load(WORDS), list(texts.values())[-60:]
+    assert [x.tolist() for x in tokens.CachedTokenizer(WORDS, True).encode(pa.array(some))] == [lib.encode(t, add_special_tokens=False).ids for t in some]
+
+
 def test_plan_uses_each_piece_once():
     rng = np.random.default_rng(3)
     for _ in range(20):
