@@ -325,3 +325,33 @@ def test_small_frontiers_are_sent_to_every_task(spark, mesh, monkeypatch):
     assert "broadcast" not in rounds.spread(few)._jdf.queryExecution().analyzed().toString()
     got = bfs.bfs_tree(mesh.ports, root).select("v", "parent", "level")
     assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
+def test_healed_routes_take_several_hops_a_job(mesh, monkeypatch):
+    dead = healing.deletions_by_rule(mesh.numbered, "max_degree", 6)
+    h = healing.heal(mesh.numbered, dead)
+    ends = mesh.numbered.select("new_id", "v")
+    pairs = ends.select(F.col("new_id").alias("seq"), F.col("v").alias("src"), (F.col("new_id") * 7 % 40 + 1).alias("to")).join(ends.toDF("to", "dst"), "to").select("seq", "src", "dst")
+    up = {(r.a, r.b): None if r.up_a is None else (r.up_a, r.up_b) for r in h.nodes.collect()}
+
+    def over(x):
+        return [x, *over(up[x])] if up.get(x) else [x]
+
+    def far(src, dst):
+        a, b = over((src, -1)), over((dst, -1))
+        return len({*a} ^ {*b})
+
+    written = []
+    monkeypatch.setattr(healing, "cut", lambda df: written.append(1) or cut(df))
+    gone = {r.v for r in dead.collect()}
+    got = [r for r in healing.route_healed(pairs, mesh.state, mesh.ports, h).collect() if r.status == "delivered"]
+    assert len(got) == sum(not {r.src, r.dst} & gone for r in pairs.collect())
+    assert all(r.hops == far(r.src, r.dst) for r in got)
+    assert len(written) <= 5 + max(r.hops for r in got) // 2
+
+
+def test_hubs_are_found_by_coarse_counts(spark, monkeypatch):
+    monkeypatch.setattr(ports, "HUB", 3)
+    for groups in (16_384, 2):
+        monkeypatch.setattr(ports, "_COARSE", groups)
+        assert ports._hubs(graphs.star(spark, 9), "u", "v") and not ports._hubs(graphs.path(spark, 9), "u", "v")
